@@ -5,8 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from pathsieve.llm.decontaminate import without_contaminated
+from pathsieve.llm.line_dedup import without_repeated_lines
 from pathsieve.llm.near_dedup import without_near_duplicates
 from pathsieve.llm.quality_rules import passing
+from pathsieve.llm.sentence_pieces import encode
 from pathsieve.loop import cut
 
 
@@ -15,6 +17,11 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return passing(docs)
 
 
+def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts without later repeats of passages of lines."""
+    return without_repeated_lines(docs).select(*docs.columns)
+
+
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near duplicates."""
     return without_near_duplicates(docs)
@@ -25,7 +32,20 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return without_contaminated(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
 
 
-STAGES = [("quality_rules", quality), ("near_dedup", near_duplicates), ("decontamination", decontaminate)]
+def sentence_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Piece ids of each text, and whether decoding them gives the text back."""
+    import public_tokenizers
+
+    return encode(docs, public_tokenizers.path("piece_bpe_32k.model"))
+
+
+STAGES = [
+    ("quality_rules", quality),
+    ("line_dedup", line_dedup),
+    ("near_dedup", near_duplicates),
+    ("decontamination", decontaminate),
+    ("sentence_pieces", sentence_pieces),
+]
 ORACLE_SQL = None
 
 

@@ -2,13 +2,34 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from pathsieve.loop import new_path
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def _held_out(parts: int, held: int) -> Column:
+    return F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(parts)) == held
+
+
+def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathsieve.llm.line_dedup import without_repeated_lines
+
+    return without_repeated_lines(_table(spark, sf_dir, "documents")).select("doc_id", "n_removed", "text")
+
+
+def op2_sentence_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from pathsieve.llm.sentence_pieces import encode
+
+    return encode(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
+
+
 def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathsieve.llm.decontaminate import contamination
 
@@ -16,20 +37,60 @@ def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
 
 
+def op4_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import public_tokenizers
+
+    from pathsieve.llm.token_shards import token_shards
+
+    return token_shards(_table(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+
+
+def op5_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathsieve.llm.licenses import license_scan
+
+    return license_scan(_table(spark, sf_dir, "documents"))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathsieve.llm.quality_rules import quality_rules
 
     return quality_rules(_table(spark, sf_dir, "documents"))
 
 
+def op7_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathsieve.llm.language_id import identify, train
+
+    docs, held = _table(spark, sf_dir, "documents"), _held_out(4, 2)
+    return identify(docs, train(docs, ~held)).select("doc_id", held.alias("held_out"), "lang_pred", "score")
+
+
 def op8_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathsieve.llm.near_dedup import near_duplicates
 
     return near_duplicates(_table(spark, sf_dir, "documents"))
 
 
+def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathsieve.llm.compaction import sharded
+
+    stored = sharded(_table(spark, sf_dir, "documents"), new_path(spark, "shards"))
+    return stored.select("doc_id", "lang", "source", F.octet_length("text").cast("long").alias("n_bytes"), F.md5("text").alias("text_md5"))
+
+
+def op10_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathsieve.llm.quality_mil import classify, train
+
+    docs, held = _table(spark, sf_dir, "documents"), _held_out(5, 0)
+    model = train(docs, _table(spark, sf_dir, "labels"), ~held)
+    return classify(docs, model).select("doc_id", held.alias("held_out"), "score", "predicted")
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op3_decontamination, op6_quality_rules, op8_near_duplicates)}
+    every = (
+        op1_line_dedup, op2_sentence_pieces, op3_decontamination, op4_token_shards, op5_license_scan,
+        op6_quality_rules, op7_language_id, op8_near_duplicates, op9_sharding, op10_quality_classifier,
+    )
+    return {f.__name__: f for f in every}
 
 
 _OP3 = r"""
@@ -60,6 +121,9 @@ FROM d LEFT JOIN n USING (doc_id) LEFT JOIN r ON r.doc_id = d.doc_id GROUP BY d.
 """
 
 
+_OP9 = "SELECT doc_id, lang, source, CAST(strlen(text) AS BIGINT) AS n_bytes, md5(text) AS text_md5 FROM documents"
+
+
 def _op6() -> str:
     from pathsieve.llm.quality_rules import RULES, STOP_WORDS
 
@@ -86,4 +150,4 @@ SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed,
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_decontamination": _OP3, "op6_quality_rules": _op6(), "op8_near_duplicates": _OP8}
+    return {"op3_decontamination": _OP3, "op6_quality_rules": _op6(), "op8_near_duplicates": _OP8, "op9_sharding": _OP9}

@@ -104,4 +104,7 @@ def quality_rules(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame
 def passing(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The rows of ``docs`` that the rules keep, with their columns."""
     carried = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("doc_id"), docs["text"].alias("text"))
-    return quality_rules(carried, rules).where("kept").select("doc_id.*")
+    # A filter is not pushed below a projection that is not deterministic; pushed down, it would hold
+    # every measure's expression in place of its column and sort the windows again for each word.
+    judged = quality_rules(carried, rules).select("doc_id", (F.col("kept") & (F.monotonically_increasing_id() >= 0)).alias("kept"))
+    return judged.where("kept").select("doc_id.*")
