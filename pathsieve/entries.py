@@ -2,10 +2,456 @@
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from pathsieve.functions import masks as M
+from pathsieve.functions import patterns as P
+from pathsieve.operators import graph as G
+from pathsieve.plans import baselines as B
+from pathsieve.plans import measures as S
+from pathsieve.plans import search as A
+from pathsieve.plans import workload as W
+from pathsieve.plans.index import IndexConfig, assign_ways, build_index, inbound_masks, near_index, outbound_masks, own_bits, tree_intervals, wide_index
+from pathsieve.sources import graphs as T
+
+_CHAIN = "SELECT DISTINCT src, dst, label FROM ({}) WHERE dst IS NOT NULL AND src <> dst"
+#: DuckDB text of the graphs (src, dst, label).
+EDGES = {
+    "part_chain": _CHAIN.format("SELECT l_partkey AS src, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_extendedprice) AS dst, l_returnflag || l_linestatus AS label FROM lineitem"),
+    "event_flow": _CHAIN.format("SELECT user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst, event_type AS label FROM events"),
+    "event_many": _CHAIN.format("SELECT user_id AS src, lead(user_id) OVER (ORDER BY ts, event_id) AS dst, event_type || json_extract_string(props, '$.k') AS label FROM events"),
+    "doc_thread": _CHAIN.format("SELECT doc_id AS src, lead(doc_id) OVER (PARTITION BY source ORDER BY doc_id) AS dst, 'lang:' || lang AS label FROM documents UNION ALL SELECT doc_id, lead(doc_id) OVER (PARTITION BY lang ORDER BY doc_id), 'src:' || source FROM documents"),
+    "order_relay": _CHAIN.format("SELECT src, dst, label FROM (SELECT o_custkey AS src, lead(o_custkey) OVER (PARTITION BY o_orderpriority ORDER BY o_orderdate, o_orderkey) AS dst, o_orderpriority AS label, o_orderstatus AS s FROM orders) WHERE s = 'F'"),
+    "order_relay_all": _CHAIN.format("SELECT o_custkey AS src, lead(o_custkey) OVER (PARTITION BY o_orderpriority ORDER BY o_orderdate, o_orderkey) AS dst, o_orderpriority AS label FROM orders"),
+    "talk_flow": _CHAIN.format("SELECT conv_id * 1000 + turn AS src, lead(conv_id * 1000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS dst, role AS label FROM conversations"),
+    "supply_star": "SELECT DISTINCT CAST(src AS BIGINT) AS src, CAST(dst AS BIGINT) AS dst, label FROM ("
+    "SELECT n_regionkey AS src, n_nationkey + 1000 AS dst, 'has' AS label FROM nation UNION ALL SELECT c_nationkey + 1000, c_custkey + 100000000, c_mktsegment FROM customer "
+    "UNION ALL SELECT o_custkey + 100000000, o_orderkey + 400000000, o_orderpriority FROM orders UNION ALL SELECT l_orderkey + 400000000, l_partkey + 300000000, l_returnflag FROM lineitem "
+    "UNION ALL SELECT s_nationkey + 1000, s_suppkey + 200000000, 'seat' FROM supplier UNION ALL SELECT l_suppkey + 200000000, l_partkey + 300000000, 'supplies' FROM lineitem)",
+    "page_links": "SELECT DISTINCT i.vid AS src, j.vid AS dst, label FROM page_rows r JOIN page_ids i ON r.a = i.ext_id JOIN page_ids j ON r.b = j.ext_id WHERE i.vid <> j.vid",
+}
+EDGES["part_chain_dag"] = f"SELECT * FROM ({EDGES['part_chain']}) WHERE src < dst"
+_PAGES = r"""
+page_base AS (SELECT 'p' || page_id AS page, regexp_extract(html, 'lang="(\w+)"', 1) AS lang, lower(regexp_extract(html, '<title>([^ .,<]+)', 1)) AS word, regexp_extract_all(html, 'href="/([^"]+)"', 1) AS refs FROM pages),
+page_rows AS (SELECT page AS a, 't' || lower(r) AS b, 'nav:' || lang AS label FROM (SELECT page, lang, unnest(refs) AS r FROM page_base) UNION SELECT 't' || word, page, 'title:' || lang FROM page_base WHERE word <> ''),
+page_ids AS (SELECT ext_id, row_number() OVER (ORDER BY ext_id) - 1 AS vid FROM (SELECT a AS ext_id FROM page_rows UNION SELECT b FROM page_rows)),
+"""
+
+
+def _with(graph: str, rest: str, recursive: bool = True) -> str:
+    pages = _PAGES if graph == "page_links" else ""
+    return f"WITH {'RECURSIVE ' if recursive else ''}{pages} e AS MATERIALIZED ({EDGES[graph]}), {rest}"
+
+
+def _formula(p, bits: dict[str, int]) -> str:
+    if isinstance(p, P.Const):
+        return str(p.value)
+    if isinstance(p, P.Label):
+        return f"(mask & {1 << bits[p.name]}) <> 0"
+    if isinstance(p, P.Not):
+        return f"NOT ({_formula(p.part, bits)})"
+    return "(" + (" AND " if isinstance(p, P.And) else " OR ").join(_formula(x, bits) for x in p.parts) + ")"
+
+
+_SAMPLE = f"""v AS (SELECT vid, row_number() OVER (ORDER BY vid) - 1 AS i FROM (SELECT src AS vid FROM e UNION SELECT dst FROM e)),
+n AS (SELECT count(*) AS c FROM v),
+q AS (SELECT qid, s.vid AS src, d.vid AS dst FROM (SELECT CAST(range AS BIGINT) AS qid FROM range({{n}})) CROSS JOIN n JOIN v s ON s.i = (qid * {W.SRC[0]} + {W.SRC[1]}) % c JOIN v d ON d.i = (qid * {W.DST[0]} + {W.DST[1]}) % c)"""
+
+
+def _answer_sql(graph: str, pattern: str, n: int, column: str = "answer") -> str:
+    """Product of vertices and label masks, closed by recursion with UNION."""
+    formula = P.parse_pattern(pattern)
+    bits = {x: i for i, x in enumerate(sorted(P.labels_of(formula)))}
+    case = " ".join(f"WHEN '{x}' THEN {1 << i}" for x, i in bits.items())
+    step = f"CASE label {case} ELSE 0 END" if case else "0"
+    return _with(graph, f"""{_SAMPLE.format(n=n)},
+b AS (SELECT DISTINCT src, dst, CAST({step} AS BIGINT) AS bit FROM e),
+r AS (SELECT qid, src AS vid, CAST(0 AS BIGINT) AS mask FROM q UNION SELECT r.qid, b.dst, r.mask | b.bit FROM r JOIN b ON b.src = r.vid)
+SELECT q.qid, q.qid IN (SELECT r.qid FROM r JOIN q t ON t.qid = r.qid WHERE r.vid = t.dst AND {_formula(formula, bits)}) AS {column} FROM q""")
+
+
+def _allowed_sql(graph: str, allowed: list[str], n: int) -> str:
+    items = ", ".join(f"'{x}'" for x in allowed)
+    return _with(graph, f"""{_SAMPLE.format(n=n)}, b AS (SELECT DISTINCT src, dst FROM e WHERE label IN ({items})),
+r AS (SELECT qid, src AS vid FROM q UNION SELECT r.qid, b.dst FROM r JOIN b ON b.src = r.vid)
+SELECT q.qid, (q.qid, q.dst) IN (SELECT (qid, vid) FROM r) AS answer FROM q""")
+
+
+_made: dict[tuple, object] = {}
+
+
+def _once(spark: SparkSession, key: tuple, make):
+    """What several queries of one session share; its tables lie on shared storage."""
+    key = (spark.sparkContext.applicationId, *key)
+    if key not in _made:
+        _made[key] = make()
+    return _made[key]
+
+
+def _graph(name: str, spark: SparkSession, sf_dir: str) -> G.Graph:
+    return _once(spark, ("graph", name, sf_dir), lambda: T.BUILDERS[name](spark, sf_dir).stored())
+
+
+def _index(name: str, spark: SparkSession, sf_dir: str):
+    return _once(spark, ("index", name, sf_dir), lambda: build_index(_graph(name, spark, sf_dir)))
+
+
+def _asked(g: G.Graph, pattern: str, n: int) -> DataFrame:
+    return W.sample_pairs(g, n).withColumn("pattern", F.lit(pattern))
+
+
+_QUERIES: dict = {}
+_SQL: dict[str, str] = {}
+
+
+def _entry(name: str, sql: str | None = None):
+    def keep(f):
+        _QUERIES[name] = f
+        if sql is not None:
+            _SQL[name] = sql
+        return f
+
+    return keep
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pattern queries on the page graph, with the index."""
+    g = _graph("page_links", spark, sf_dir)
+    return A.answer(g, _asked(g, _PAGE_PATTERN, 20), _index("page_links", spark, sf_dir))
+
+
+_PAGE_PATTERN = '"nav:en" AND "title:en"'
+_CASES = {
+    "and_event_flow": ("event_flow", 'ALL{"click","view"}', 20), "or_part_chain": ("part_chain", 'ANY{"AF","RF"}', 15), "not_order_relay": ("order_relay", 'NONE{"1-URGENT","2-HIGH"}', 30),
+    "and_order_relay": ("order_relay", 'ALL{"1-URGENT","5-LOW"}', 30), "or_order_relay": ("order_relay", 'ANY{"1-URGENT","5-LOW"}', 30),
+    "mixed_supply_star": ("supply_star", '("O" OR "supplies" OR "A") AND NOT "1-URGENT"', 40), "mixed_page_links": ("page_links", '("nav:en" OR "nav:de") AND NOT ("title:fr" AND "nav:es")', 40),
+    "travel_style_part_chain": ("part_chain_dag", '"NO" AND NOT "AF"', 20), "and_talk_flow": ("talk_flow", 'ALL{"user","assistant"}', 40), "not_doc_thread": ("doc_thread", 'NONE{"lang:es","src:src3"}', 15),
+}
+
+
+def _case(graph: str, pattern: str, n: int, index: bool, cfg: A.SearchConfig):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = _graph(graph, spark, sf_dir)
+        return A.answer(g, _asked(g, pattern, n), _index(graph, spark, sf_dir) if index else None, cfg)
+
+    return run
+
+
+for _name, (_g, _p, _n) in _CASES.items():
+    _entry(_name, _answer_sql(_g, _p, _n))(_case(_g, _p, _n, False, A.SearchConfig(rules=())))
+_entry("flagship_page_links", _answer_sql("page_links", _PAGE_PATTERN, 20))(flagship)
+_SAME = ("page_links", '("nav:en" OR "nav:de") AND NOT ("title:fr" AND "nav:es")', 40)
+for _rule in A.RULES:
+    _entry(f"same_answers_without_{_rule}", _answer_sql(*_SAME))(_case(*_SAME, True, A.SearchConfig(rules=tuple(r for r in A.RULES if r != _rule))))
+_entry("same_answers_all_rules", _answer_sql(*_SAME))(_case(*_SAME, True, A.SearchConfig()))
+_entry("same_answers_mask_mode", _answer_sql(*_SAME))(_case(*_SAME, False, A.SearchConfig(mode="mask", rules=())))
+_entry("same_answers_dominance", _answer_sql(*_SAME))(_case(*_SAME, False, A.SearchConfig(dominance=True, rules=())))
+_entry("indexed_supply_star", _answer_sql(*_CASES["mixed_supply_star"]))(_case(*_CASES["mixed_supply_star"], True, A.SearchConfig()))
+_entry("indexed_not_order_relay", _answer_sql(*_CASES["not_order_relay"]))(_case(*_CASES["not_order_relay"], True, A.SearchConfig()))
+_entry("reach_page_links", _answer_sql("page_links", "TRUE", 40))(lambda s, d: B.reach(g := _graph("page_links", s, d), W.sample_pairs(g, 40)))
+_entry("plain_sequential_page_links", _answer_sql(*_SAME))(lambda s, d: B.plain_sequential(g := _graph("page_links", s, d), _asked(g, _SAME[1], _SAME[2])))
+
+
+@_entry("point_query_page_links", _answer_sql(*_SAME))
+def _point(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("page_links", spark, sf_dir)
+    return B.plain_sequential(g, _asked(g, _SAME[1], _SAME[2]), reach=B.point_masks(_index("page_links", spark, sf_dir), g.alphabet()))
+
+
+# Graphs.
+
+_STATS = """SELECT CAST((SELECT count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)) AS BIGINT) AS n_vertices, (SELECT count(*) FROM e) AS n_edges, (SELECT count(DISTINCT label) FROM e) AS n_labels,
+CAST((SELECT count(*) FROM (SELECT DISTINCT src, dst FROM e)) AS BIGINT) AS n_pairs, (SELECT count(DISTINCT src) FROM e WHERE src NOT IN (SELECT dst FROM e)) AS n_roots,
+(SELECT count(DISTINCT dst) FROM e WHERE dst NOT IN (SELECT src FROM e)) AS n_leaves, (SELECT max(n) FROM (SELECT count(DISTINCT dst) AS n FROM e GROUP BY src)) AS max_out"""
+
+
+def _stats(name: str):
+    return lambda s, d: G.graph_stats(_graph(name, s, d))
+
+
+for _name in EDGES:
+    _entry(f"graph_stats_{_name}", _with(_name, "one AS (SELECT 1) " + _STATS, False))(_stats(_name))
+
+_entry("degrees_part_chain", _with("part_chain", """o AS (SELECT src AS vid, count(DISTINCT dst) AS n_out FROM e GROUP BY src), i AS (SELECT dst AS vid, count(DISTINCT src) AS n_in FROM e GROUP BY dst)
+SELECT vid, coalesce(n_out, 0) AS n_out, coalesce(n_in, 0) AS n_in FROM o FULL JOIN i USING (vid)""", False))(lambda s, d: G.degrees(_graph("part_chain", s, d)))
+_entry("roots_leaves_doc_thread", _with("doc_thread", "one AS (SELECT 1) SELECT DISTINCT src AS vid, 'root' AS kind FROM e WHERE src NOT IN (SELECT dst FROM e) UNION ALL SELECT DISTINCT dst, 'leaf' FROM e WHERE dst NOT IN (SELECT src FROM e)", False))(
+    lambda s, d: G.roots(g := _graph("doc_thread", s, d)).withColumn("kind", F.lit("root")).union(G.leaves(g).withColumn("kind", F.lit("leaf")))
+)
+_entry("label_dictionary_supply_star", _with("supply_star", "one AS (SELECT 1) SELECT label, CAST(row_number() OVER (ORDER BY n DESC, label) - 1 AS INTEGER) AS lid FROM (SELECT label, count(*) AS n FROM e GROUP BY label)", False))(
+    lambda s, d: G.encode_labels(_graph("supply_star", s, d).edges, "freq")
+)
+_entry("uniform_labels_order_relay", _with("order_relay", f"one AS (SELECT 1) SELECT DISTINCT src, dst, 'L' || ((src * 48271 + dst * 69621 + {7 * 7919}) % 2147483647 * 16807) % 2147483647 % 16 AS label FROM e", False))(
+    lambda s, d: G.assign_labels(_graph("order_relay", s, d).edges, 16)
+)
+_entry("page_vertex_ids", "WITH " + _PAGES + " one AS (SELECT 1) SELECT ext_id, vid FROM page_ids")(lambda s, d: T.page_links(s, d)[1])
+_CLOSE = "r AS (SELECT DISTINCT src, dst FROM e UNION SELECT r.src, e.dst FROM r JOIN e ON e.src = r.dst)"
+_entry("closure_talk_flow", _with("talk_flow", _CLOSE + " SELECT src, dst FROM r"))(lambda s, d: G.closure_vertices(_graph("talk_flow", s, d)).select("src", "dst"))
+_entry("closure_page_links", _with("page_links", _CLOSE + " SELECT src, dst FROM r"))(lambda s, d: G.closure_vertices(_graph("page_links", s, d)).select("src", "dst"))
+_entry("label_closure_page_links", _with("page_links", _CLOSE + " SELECT DISTINCT x.src AS vid, e.label FROM (SELECT src, dst FROM r UNION SELECT src, src FROM e) x JOIN e ON e.src = x.dst"))(lambda s, d: G.closure_labels(_graph("page_links", s, d)))
+_SETS = """l AS (SELECT label, row_number() OVER (ORDER BY label) - 1 AS lid FROM (SELECT DISTINCT label FROM e)), b AS (SELECT src, dst, CAST(1 AS BIGINT) << CAST(lid AS INTEGER) AS bit FROM e JOIN l USING (label)),
+r AS (SELECT src, dst, bit AS mask FROM b UNION SELECT r.src, b.dst, r.mask | b.bit FROM r JOIN b ON b.src = r.dst)"""
+_entry("label_sets_talk_flow", _with("talk_flow", _SETS + " SELECT src, dst, mask FROM r"))(lambda s, d: G.closure_label_sets(_graph("talk_flow", s, d)))
+_MINIMAL = " SELECT src, dst, mask FROM r WHERE NOT EXISTS (SELECT 1 FROM r x WHERE x.src = r.src AND x.dst = r.dst AND x.mask <> r.mask AND (x.mask & r.mask) = x.mask)"
+_entry("minimal_label_sets_talk_flow", _with("talk_flow", _SETS + _MINIMAL))(lambda s, d: B.minimal_closure(_graph("talk_flow", s, d)))
+_entry("minimal_label_sets_page_links", _with("page_links", _SETS + _MINIMAL))(lambda s, d: B.minimal_closure(_graph("page_links", s, d)))
+_entry("scc_page_links", _with("page_links", _CLOSE + ", v AS (SELECT src AS vid FROM e UNION SELECT dst FROM e) SELECT vid, least(vid, coalesce((SELECT min(a.dst) FROM r a JOIN r b ON a.dst = b.src AND b.dst = v.vid WHERE a.src = v.vid), vid)) AS scc FROM v"))(
+    lambda s, d: G.scc(_graph("page_links", s, d))
+)
+_entry("levels_supply_star", _with("supply_star", "v AS (SELECT src AS vid FROM e UNION SELECT dst FROM e), r AS (SELECT vid, 0 AS level FROM v UNION SELECT e.src, r.level + 1 FROM r JOIN e ON e.dst = r.vid) SELECT vid, max(level) AS level FROM r GROUP BY vid"))(
+    lambda s, d: G.levels(_graph("supply_star", s, d))
+)
+
+# The two axes.
+
+_CFG = IndexConfig(vertex_bits=124, k=2)
+
+
+def _bits_sql(cfg: IndexConfig, vid: str, word: int) -> str:
+    bit = M.hash_bit_sql(vid, cfg.vertex_bits)
+    return f"bit_or(CASE WHEN {bit} BETWEEN {62 * word} AND {62 * word + 61} THEN CAST(1 AS BIGINT) << CAST(({bit}) - {62 * word} AS INTEGER) ELSE 0 END)"
+
+
+def _label_bit(column: str = "lid") -> str:
+    return f"bit_or(CAST(1 AS BIGINT) << CAST({column} AS INTEGER))"
+
+
+_LIDS = "l AS (SELECT label, row_number() OVER (ORDER BY label) - 1 AS lid FROM (SELECT DISTINCT label FROM e))"
+
+
+def _out_sql(graph: str) -> str:
+    return _with(graph, f"""{_LIDS}, {_CLOSE}, a AS (SELECT src AS vid, {_bits_sql(_CFG, 'dst', 0)} AS v0, {_bits_sql(_CFG, 'dst', 1)} AS v1 FROM r GROUP BY src),
+y AS (SELECT x.src AS vid, {_label_bit()} AS l0 FROM (SELECT src, dst FROM r UNION SELECT src, src FROM e) x JOIN e ON e.src = x.dst JOIN l ON l.label = e.label GROUP BY x.src)
+SELECT vid, v0, v1, l0 FROM a JOIN y USING (vid)""")
+
+
+for _name in ("order_relay", "page_links"):
+    _entry(f"outbound_masks_{_name}", _out_sql(_name))(lambda s, d, n=_name: outbound_masks(_graph(n, s, d), _CFG))
+_entry("outbound_masks_by_components", _out_sql("page_links"))(lambda s, d: outbound_masks(_graph("page_links", s, d), IndexConfig(order="scc")))
+_entry("outbound_masks_by_levels", _out_sql("talk_flow"))(lambda s, d: outbound_masks(_graph("talk_flow", s, d), IndexConfig(order="levels")))
+_entry("inbound_masks_page_links", _with("page_links", f"{_CLOSE} SELECT dst AS vid, {_bits_sql(_CFG, 'src', 0)} AS i0, {_bits_sql(_CFG, 'src', 1)} AS i1 FROM r GROUP BY dst"))(lambda s, d: inbound_masks(_graph("page_links", s, d), _CFG))
+
+
+def _wide(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    g = _graph(name, spark, sf_dir)
+    return wide_index(g, _CFG, assign_ways(g, _CFG), outbound_masks(g, _CFG), own_bits(g.vertices(), _CFG))
+
+
+def _near(spark: SparkSession, sf_dir: str, name: str, k: int) -> DataFrame:
+    g, cfg = _graph(name, spark, sf_dir), IndexConfig(k=k)
+    return near_index(g, cfg, assign_ways(g, cfg), own_bits(g.vertices(), cfg))
+
+
+_WAYS = f"""deg AS (SELECT src, count(DISTINCT dst) AS deg FROM e GROUP BY src),
+ways AS (SELECT DISTINCT e.src, e.dst, CAST({M.hash_bit_sql('e.dst', 2147483647, 1)} % greatest(least(CAST(floor(log2(deg)) AS BIGINT) + 1, {_CFG.max_ways}, deg), 1) + 1 AS INTEGER) AS way FROM e JOIN deg USING (src))"""
+for _name in ("page_links", "talk_flow"):
+    _entry(f"wide_{_name}", _with(_name, f"""{_LIDS}, {_CLOSE}, {_WAYS}, below AS (SELECT w.src AS vid, way, w.dst AS at FROM ways w UNION SELECT w.src, way, r.dst FROM ways w JOIN r ON r.src = w.dst),
+lab AS (SELECT e.src AS vid, way, lid FROM e JOIN ways w USING (src, dst) JOIN l USING (label) UNION SELECT b.vid, way, lid FROM below b JOIN e ON e.src = b.at JOIN l USING (label)),
+a AS (SELECT vid, way, {_bits_sql(_CFG, 'at', 0)} AS v0, {_bits_sql(_CFG, 'at', 1)} AS v1 FROM below GROUP BY vid, way), y AS (SELECT vid, way, {_label_bit()} AS l0 FROM lab GROUP BY vid, way)
+SELECT vid, way, v0, v1, l0 FROM a JOIN y USING (vid, way)"""))(lambda s, d, n=_name: _wide(s, d, n))
+
+
+def _near_sql(name: str, k: int) -> str:
+    hops = ["SELECT w.src AS vid, way, 1 AS hop, e.dst AS at, e.label FROM e JOIN ways w USING (src, dst)"]
+    for j in range(2, k + 1):
+        via = " ".join(f"JOIN e e{x} ON e{x}.src = {'w' if x == 2 else f'e{x - 1}'}.dst" for x in range(2, j + 1))
+        hops.append(f"SELECT DISTINCT w.src, way, {j}, e{j}.dst, e{j}.label FROM ways w {via}")
+    return _with(name, f"{_LIDS}, {_WAYS}, h AS ({' UNION ALL '.join(hops)}) SELECT vid, way, CAST(hop AS INTEGER) AS hop, {_bits_sql(_CFG, 'at', 0)} AS v0, {_bits_sql(_CFG, 'at', 1)} AS v1, {_label_bit()} AS l0 FROM h JOIN l USING (label) GROUP BY vid, way, hop", False)
+
+
+_entry("near_k2_part_chain", _near_sql("part_chain", 2))(lambda s, d: _near(s, d, "part_chain", 2))
+_entry("near_k3_page_links", _near_sql("page_links", 3))(lambda s, d: _near(s, d, "page_links", 3))
+
+
+@_entry("interval_nesting_check", "SELECT CAST(0 AS BIGINT) AS violations")
+def _nesting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs that an interval claims and the closure denies."""
+    g = _graph("page_links", spark, sf_dir)
+    t = tree_intervals(g, trees=2)
+    up = t.select("tree", "root", F.col("vid").alias("src"), F.col("enter").alias("a"), F.col("leave").alias("b"))
+    low = t.select("tree", "root", F.col("vid").alias("dst"), F.col("enter").alias("x"))
+    claimed = up.join(low, ["tree", "root"]).where("a < x AND x <= b").select("src", "dst")
+    return claimed.join(G.closure_vertices(g), ["src", "dst"], "left_anti").agg(F.count("*").alias("violations"))
+
+
+@_entry("no_false_negative_page_links", "SELECT CAST(0 AS BIGINT) AS violations")
+def _no_false(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return S.no_false_negative(g := _graph("page_links", spark, sf_dir), build_index(g, IndexConfig(vertex_bits=31)))
+
+
+@_entry("monotone_check_order_relay", "SELECT CAST(0 AS BIGINT) AS violations")
+def _monotone(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return S.check_monotone(g := _graph("order_relay", spark, sf_dir), build_index(g, IndexConfig(k=1, trees=0)))
+
+
+@_entry("filter_quality_page_links")
+def _quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("page_links", spark, sf_dir)
+    ix = _index("page_links", spark, sf_dir)
+    return S.filter_fpr(g, ix, W.sample_pairs(g, 20).select(F.col("src").alias("vid"))).crossJoin(S.mask_fill(ix)).crossJoin(S.way_profile(ix))
+
+
+@_entry("prune_trace_page_links")
+def _trace(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("page_links", spark, sf_dir)
+    q = _asked(g, _SAME[1], _SAME[2])
+    return A.trace(g, q, None).withColumn("method", F.lit("plain")).union(A.trace(g, q, _index("page_links", spark, sf_dir)).withColumn("method", F.lit("index")))
+
+
+# Allowed sets, regular paths and what users build on answers.
+
+_ALLOWED = ["nav:en", "title:en", "nav:de"]
+
+
+def _allowed(how):
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = _graph("page_links", spark, sf_dir)
+        return how(g, lambda: _index("page_links", spark, sf_dir), W.sample_pairs(g, 40).withColumn("allowed", F.array(*map(F.lit, _ALLOWED))))
+
+    return run
+
+
+for _name, _how in {
+    "allowed_page_links": lambda g, ix, q: A.answer_allowed(g, q), "allowed_indexed_page_links": lambda g, ix, q: A.answer_allowed(g, q, ix()), "allowed_direct_page_links": lambda g, ix, q: B.allowed_search(g, q),
+    "two_hop_page_links": lambda g, ix, q: B.two_hop_answer(g, B.two_hop_build(g), q), "two_hop_reduced_page_links": lambda g, ix, q: B.two_hop_answer(g, B.two_hop_build(g, True, True), q),
+    "allowed_by_closure_page_links": lambda g, ix, q: B.closure_answer(g, B.minimal_closure(g), q),
+}.items():
+    _entry(_name, _allowed_sql("page_links", _ALLOWED, 40))(_allowed(_how))
+
+
+@_entry("regex_order_relay", _with("order_relay", _SAMPLE.format(n=20) + """, m(a, x, b) AS (VALUES (0, '1-URGENT', 1), (1, '1-URGENT', 1), (1, '2-HIGH', 2), (2, '2-HIGH', 2), (1, '5-LOW', 3), (2, '5-LOW', 3)),
+r AS (SELECT qid, src AS vid, 0 AS state FROM q UNION SELECT r.qid, e.dst, m.b FROM r JOIN e ON e.src = r.vid JOIN m ON m.a = r.state AND m.x = e.label)
+SELECT q.qid, (q.qid, q.dst) IN (SELECT (qid, vid) FROM r WHERE state = 3) AS answer FROM q"""))
+def _regex(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("order_relay", spark, sf_dir)
+    return B.answer_regex(g, W.sample_pairs(g, 20).withColumn("regex", F.lit("1-URGENT+ 2-HIGH* 5-LOW")))
+
+
+@_entry("simple_paths_talk_flow", _answer_sql("talk_flow", 'ALL{"user","assistant"}', 40))
+def _simple(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("talk_flow", spark, sf_dir)
+    return B.answer_simple(g, _asked(g, 'ALL{"user","assistant"}', 40), max_hops=64)
+
+
+@_entry("witness_page_links")
+def _witness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("page_links", spark, sf_dir)
+    return B.witness_paths(g, _asked(g, '"nav:en" OR "nav:de"', 40))
+
+
+@_entry("pattern_distance_part_chain", _with("part_chain", _SAMPLE.format(n=10) + """, b AS (SELECT DISTINCT src, dst, CAST(CASE label WHEN 'AF' THEN 1 ELSE 0 END AS BIGINT) AS bit FROM e),
+r AS (SELECT qid, src AS vid, CAST(0 AS BIGINT) AS mask, 0 AS hop FROM q UNION SELECT r.qid, b.dst, r.mask | b.bit, r.hop + 1 FROM r JOIN b ON b.src = r.vid WHERE r.hop < 8)
+SELECT q.qid, CAST(min(r.hop) AS INTEGER) AS hops FROM q LEFT JOIN r ON r.qid = q.qid AND r.vid = q.dst AND r.mask = 1 GROUP BY q.qid"""))
+def _distance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("part_chain", spark, sf_dir)
+    return A.pattern_distance(g, _asked(g, '"AF"', 10))
+
+
+@_entry("reach_counts_top10", _with("page_links", f"{_LIDS}, b AS (SELECT DISTINCT src, dst, CAST(CASE label WHEN 'nav:en' THEN 1 ELSE 0 END AS BIGINT) AS bit FROM e), r AS (SELECT src, dst, bit AS mask FROM b UNION SELECT r.src, b.dst, r.mask | b.bit FROM r JOIN b ON b.src = r.dst) SELECT src, count(DISTINCT dst) AS n FROM r WHERE mask = 1 GROUP BY src ORDER BY n DESC, src LIMIT 10"))
+def _counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("page_links", spark, sf_dir)
+    return A.reach_counts(g, g.vertices(), '"nav:en"', 10)
+
+
+@_entry("k_hop_customer", _with("order_relay", "r AS (SELECT DISTINCT src, dst, 1 AS hops FROM e WHERE src < 20 AND label <> '5-LOW' UNION SELECT r.src, e.dst, r.hops + 1 FROM r JOIN e ON e.src = r.dst WHERE r.hops < 3 AND e.label <> '5-LOW') SELECT src, dst, min(hops) AS hops FROM r GROUP BY src, dst"))
+def _hops(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("order_relay", spark, sf_dir)
+    return G.k_hop(g, g.vertices().where("vid < 20"), 3, [x for x in g.alphabet() if x != "5-LOW"])
+
+
+@_entry("answers_with_customers", f"SELECT a.qid, a.answer, c.c_mktsegment AS segment FROM ({_answer_sql(*_CASES['not_order_relay'])}) a JOIN (SELECT * FROM ({_with('order_relay', _SAMPLE.format(n=30) + ' SELECT qid, src FROM q', False)})) s ON s.qid = a.qid JOIN customer c ON c.c_custkey = s.src")
+def _enriched(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("order_relay", spark, sf_dir)
+    q = _asked(g, _CASES["not_order_relay"][1], 30)
+    who = T.table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("src"), F.col("c_mktsegment").alias("segment"))
+    return A.answer(g, q).join(q.select("qid", "src"), "qid").join(who, "src").select("qid", "answer", "segment")
+
+
+@_entry("workload_truth_balance")
+def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return W.make_queries(_graph("page_links", spark, sf_dir), "ANY", 25, 25).groupBy("truth").agg(F.count("*").alias("n"))
+
+
+_UNIFORM = "SELECT DISTINCT i % 500 AS src, ((i % 2147483647 * 48271 + 1299709) % 2147483647 % 2147483647 * 69621 + 7919) % 2147483647 % 500 AS dst FROM (SELECT CAST(range AS BIGINT) AS i FROM range(2000))"
+_entry("uniform_graph_edges", f"SELECT DISTINCT src, dst, 'L' || ((src * 48271 + dst * 69621 + {1 * 7919}) % 2147483647 * 16807) % 2147483647 % 8 AS label FROM ({_UNIFORM}) WHERE src <> dst")(lambda s, d: T.uniform_graph(s, 500, 4, 8).edges)
+_entry("preferential_degrees")(lambda s, d: G.degrees(T.preferential_graph(s, 2000, 4, 8)).groupBy("n_out").agg(F.count("*").alias("n")))
+
+# Relational operators around the methods.
+
+_entry("cube_edge_labels", "SELECT o_orderstatus AS status, o_orderpriority AS priority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")(
+    lambda s, d: T.table(s, d, "orders").cube(F.col("o_orderstatus").alias("status"), F.col("o_orderpriority").alias("priority")).agg(F.count("*").alias("n"))
+)
+_entry("rollup_orders", "SELECT year(o_orderdate) AS y, o_orderpriority AS priority, count(*) AS n FROM orders GROUP BY ROLLUP (year(o_orderdate), o_orderpriority)")(
+    lambda s, d: T.table(s, d, "orders").select(F.year("o_orderdate").cast("long").alias("y"), F.col("o_orderpriority").alias("priority")).rollup("y", "priority").agg(F.count("*").alias("n"))
+)
+_entry("ntile_degree", _with("part_chain", "d AS (SELECT src AS vid, count(DISTINCT dst) AS n_out FROM e GROUP BY src) SELECT vid, CAST(ntile(4) OVER (ORDER BY n_out DESC, vid) AS INTEGER) AS quarter FROM d", False))(
+    lambda s, d: G.degrees(_graph("part_chain", s, d)).where("n_out > 0").select("vid", F.ntile(4).over(Window.orderBy(F.desc("n_out"), "vid")).alias("quarter"))
+)
+_entry("range_frame_orders", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_orderpriority ORDER BY epoch(o_orderdate) RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS n FROM orders")(
+    lambda s, d: T.table(s, d, "orders").select("o_orderkey", F.count("*").over(Window.partitionBy("o_orderpriority").orderBy(F.col("o_orderdate").cast("long")).rangeBetween(-604800, 0)).alias("n"))
+)
+
+
+@_entry("asof_event_snapshot", "SELECT e.event_id, o.o_orderkey FROM (SELECT event_id, user_id, ts FROM events) e ASOF LEFT JOIN (SELECT o_custkey, max(o_orderkey) AS o_orderkey, o_orderdate FROM orders GROUP BY o_custkey, o_orderdate) o ON e.user_id = o.o_custkey AND e.ts >= o.o_orderdate")
+def _asof(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each event with the customer's last order before it: validity ranges, then an equi join with a range condition."""
+    orders = T.table(spark, sf_dir, "orders").groupBy("o_custkey", "o_orderdate").agg(F.max("o_orderkey").alias("o_orderkey"))
+    until = F.lead("o_orderdate").over(Window.partitionBy("o_custkey").orderBy("o_orderdate"))
+    valid = orders.withColumn("until", until)
+    events = T.table(spark, sf_dir, "events")
+    inside = (events.user_id == valid.o_custkey) & (events.ts >= valid.o_orderdate) & (valid.until.isNull() | (events.ts < valid.until))
+    return events.join(valid, inside, "left").select("event_id", "o_orderkey")
+
+
+_BOTH = _with("page_links", _CLOSE + " SELECT dst AS vid FROM r WHERE src = (SELECT min(src) FROM e) {} SELECT src AS vid FROM r WHERE dst = (SELECT max(dst) FROM e)")
+
+
+def _reach_sets(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    g = _graph("page_links", spark, sf_dir)
+    low, high = g.edges.agg(F.min("src"), F.max("dst")).first()
+    down = G.closure_vertices(g, spark.createDataFrame([(low,)], "vid long")).select(F.col("dst").alias("vid"))
+    up = G.closure_vertices(g.reverse(), spark.createDataFrame([(high,)], "vid long")).select(F.col("dst").alias("vid"))
+    return down, up
+
+
+_entry("intersect_reach", _BOTH.format("INTERSECT"))(lambda s, d: (x := _reach_sets(s, d))[0].intersect(x[1]))
+_entry("except_reach", _BOTH.format("EXCEPT"))(lambda s, d: (x := _reach_sets(s, d))[0].exceptAll(x[1]))
+_entry("pivot_labels", _with("event_flow", "one AS (SELECT 1) SELECT src, count(*) FILTER (label = 'click') AS click, count(*) FILTER (label = 'view') AS view FROM e GROUP BY src", False))(
+    lambda s, d: _graph("event_flow", s, d).edges.groupBy("src").pivot("label", ["click", "view"]).agg(F.count("*")).na.fill(0)
+)
+_entry("json_label_counts", "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1")(lambda s, d: T.table(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")))
+_entry("event_windows", "SELECT event_type AS label, date_trunc('day', ts) AS start, count(*) AS n FROM events GROUP BY 1, 2")(
+    lambda s, d: T.table(s, d, "events").groupBy(F.col("event_type").alias("label"), F.window("ts", "1 day").start.alias("start")).agg(F.count("*").alias("n"))
+)
+
+
+@_entry("event_sessions", "WITH a AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), b AS (SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS s FROM a) SELECT user_id, min(ts) AS start, count(*) AS n FROM b GROUP BY user_id, s")
+def _sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return T.table(spark, sf_dir, "events").groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("n")).select("user_id", F.col("w.start").alias("start"), "n")
+
+
+@_entry("late_edges", "SELECT count(*) AS n_events, count(*) FILTER (ts < top - INTERVAL 1 HOUR) AS n_late FROM (SELECT ts, max(ts) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS top FROM events)")
+def _late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathsieve.streaming.edges import late_edges
+
+    return late_edges(T.table(spark, sf_dir, "events"), "ts", "event_id")
+
+
+@_entry("vec_near_degrees")
+def _vec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return G.degrees(T.vec_near(spark, sf_dir))
+
+
+@_entry("doc_quotes", "SELECT DISTINCT doc_id AS src, item_id + 100000000 AS dst, 'quotes' AS label FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
+def _quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return T.doc_quotes(spark, sf_dir).edges
+
 
 def queries() -> dict:
-    return {}
+    """Queries by name."""
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    """DuckDB text of the queries that SQL can express."""
+    return dict(_SQL)

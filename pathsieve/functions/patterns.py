@@ -65,10 +65,11 @@ def allowed_to_pattern(allowed, alphabet, expanded: bool = False, most: int = 12
     Plain, none of the other labels; ``expanded`` gives the disjunction over the subsets of ``allowed`` that are exactly the path's
     labels: the same answers from exponentially many clauses, so at most ``most`` allowed labels.
     """
-    others = sorted(set(alphabet) - set(allowed))
+    allowed, alphabet = set(allowed), set(alphabet)
+    others = sorted(alphabet - allowed)
     if not expanded:
         return none_of(others)
-    allowed = sorted(set(allowed) & set(alphabet))
+    allowed = sorted(allowed & alphabet)
     if len(allowed) > most:
         raise ValueError(f"expanded form of {len(allowed)} labels would have 2**{len(allowed)} clauses")
     return Or(tuple(And((*(Label(x) for x in s), *(Not(Label(x)) for x in sorted(set(allowed) - set(s))), *(Not(Label(x)) for x in others))) for n in range(len(allowed) + 1) for s in combinations(allowed, n)))

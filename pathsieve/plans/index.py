@@ -74,10 +74,10 @@ def adjacency(g: Graph, cfg: IndexConfig) -> DataFrame:
     return marked.groupBy("src", "dst").agg(*[F.bit_or(n).alias(n) for n in cfg.lw])
 
 
-def _fixpoint(adj: DataFrame, own: DataFrame, names: list[str], seed: DataFrame) -> DataFrame:
-    """out(u) = seed(u) OR out of all successors; only rows with new bits are sent on."""
+def _fixpoint(adj: DataFrame, own: DataFrame, names: list[str], seed: DataFrame, first: DataFrame | None = None) -> DataFrame:
+    """out(u) = seed(u) OR out of all successors; only rows with new bits are sent on, at the start those of ``first``."""
     state, path = cut_with_path(seed, "masks")
-    delta = state
+    delta = state if first is None else first
     pairs = cut(adj.select("src", "dst"), "pairs")
     while True:
         sent = pairs.join(delta.withColumnRenamed("vid", "dst"), "dst").groupBy(F.col("src").alias("vid")).agg(*[F.bit_or(n).alias("n_" + n) for n in names])
@@ -138,6 +138,22 @@ def _by_components(g: Graph, cfg: IndexConfig, adj: DataFrame, own: DataFrame, n
     return c.join(closed.withColumnRenamed("vid", "scc"), "scc").select("vid", *names)
 
 
+def extend_masks(state: DataFrame, g: Graph, added: DataFrame, cfg: IndexConfig) -> DataFrame:
+    """Outbound masks after edges (src, dst, label) were added to ``g``, which already holds them.
+
+    Masks only grow under insertion, so the masks of the new edges' sources are widened and the new bits sent on. Labels must keep
+    their numbers: new ones come last.
+    """
+    adj = cut(adjacency(g, cfg), "adj")
+    own = cut(own_bits(g.vertices(), cfg), "own")
+    names = cfg.vw + cfg.lw
+    touched = added.select(F.col("src").alias("vid")).distinct()
+    seed = _seed(adj.join(touched.withColumnRenamed("vid", "src"), "src", "left_semi"), own, cfg, labels=True)
+    beyond = adj.join(touched.withColumnRenamed("vid", "src"), "src", "left_semi").select("src", "dst").join(state.withColumnRenamed("vid", "dst"), "dst").select(F.col("src").alias("vid"), *names)
+    merged = cut(state.unionByName(seed).unionByName(beyond).groupBy("vid").agg(*[F.bit_or(n).alias(n) for n in names]), "masks")
+    return _fixpoint(adj, own, names, merged, merged.join(touched, "vid", "left_semi"))
+
+
 def inbound_masks(g: Graph, cfg: IndexConfig) -> DataFrame:
     """(vid, i...): bits of the vertices that reach each vertex; vertices without a predecessor have no row."""
     out = outbound_masks(g.reverse(), cfg, labels=False)
