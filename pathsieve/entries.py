@@ -245,18 +245,18 @@ def _near(spark: SparkSession, sf_dir: str, name: str, k: int) -> DataFrame:
 _WAYS = f"""deg AS (SELECT src, count(DISTINCT dst) AS deg FROM e GROUP BY src),
 ways AS (SELECT DISTINCT e.src, e.dst, CAST({M.hash_bit_sql('e.dst', 2147483647, 1)} % greatest(least(CAST(floor(log2(deg)) AS BIGINT) + 1, {_CFG.max_ways}, deg), 1) + 1 AS INTEGER) AS way FROM e JOIN deg USING (src))"""
 for _name in ("page_links", "talk_flow"):
-    _entry(f"wide_{_name}", _with(_name, f"""{_LIDS}, {_CLOSE}, {_WAYS}, below AS (SELECT w.src AS vid, way, w.dst AS at FROM ways w UNION SELECT w.src, way, r.dst FROM ways w JOIN r ON r.src = w.dst),
-lab AS (SELECT e.src AS vid, way, lid FROM e JOIN ways w USING (src, dst) JOIN l USING (label) UNION SELECT b.vid, way, lid FROM below b JOIN e ON e.src = b.at JOIN l USING (label)),
-a AS (SELECT vid, way, {_bits_sql(_CFG, 'at', 0)} AS v0, {_bits_sql(_CFG, 'at', 1)} AS v1 FROM below GROUP BY vid, way), y AS (SELECT vid, way, {_label_bit()} AS l0 FROM lab GROUP BY vid, way)
+    _entry(f"wide_{_name}", _with(_name, f"""{_LIDS}, {_CLOSE}, {_WAYS}, below AS (SELECT w.src AS vid, way, w.dst AS tgt FROM ways w UNION SELECT w.src, way, r.dst FROM ways w JOIN r ON r.src = w.dst),
+lab AS (SELECT e.src AS vid, way, lid FROM e JOIN ways w USING (src, dst) JOIN l USING (label) UNION SELECT b.vid, way, lid FROM below b JOIN e ON e.src = b.tgt JOIN l USING (label)),
+a AS (SELECT vid, way, {_bits_sql(_CFG, 'tgt', 0)} AS v0, {_bits_sql(_CFG, 'tgt', 1)} AS v1 FROM below GROUP BY vid, way), y AS (SELECT vid, way, {_label_bit()} AS l0 FROM lab GROUP BY vid, way)
 SELECT vid, way, v0, v1, l0 FROM a JOIN y USING (vid, way)"""))(lambda s, d, n=_name: _wide(s, d, n))
 
 
 def _near_sql(name: str, k: int) -> str:
-    hops = ["SELECT w.src AS vid, way, 1 AS hop, e.dst AS at, e.label FROM e JOIN ways w USING (src, dst)"]
+    hops = ["SELECT w.src AS vid, way, 1 AS hop, e.dst AS tgt, e.label FROM e JOIN ways w USING (src, dst)"]
     for j in range(2, k + 1):
         via = " ".join(f"JOIN e e{x} ON e{x}.src = {'w' if x == 2 else f'e{x - 1}'}.dst" for x in range(2, j + 1))
         hops.append(f"SELECT DISTINCT w.src, way, {j}, e{j}.dst, e{j}.label FROM ways w {via}")
-    return _with(name, f"{_LIDS}, {_WAYS}, h AS ({' UNION ALL '.join(hops)}) SELECT vid, way, CAST(hop AS INTEGER) AS hop, {_bits_sql(_CFG, 'at', 0)} AS v0, {_bits_sql(_CFG, 'at', 1)} AS v1, {_label_bit()} AS l0 FROM h JOIN l USING (label) GROUP BY vid, way, hop", False)
+    return _with(name, f"{_LIDS}, {_WAYS}, h AS ({' UNION ALL '.join(hops)}) SELECT vid, way, CAST(hop AS INTEGER) AS hop, {_bits_sql(_CFG, 'tgt', 0)} AS v0, {_bits_sql(_CFG, 'tgt', 1)} AS v1, {_label_bit()} AS l0 FROM h JOIN l USING (label) GROUP BY vid, way, hop", False)
 
 
 _entry("near_k2_part_chain", _near_sql("part_chain", 2))(lambda s, d: _near(s, d, "part_chain", 2))
