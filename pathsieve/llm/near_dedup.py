@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -10,7 +12,12 @@ from pyspark.sql import functions as F
 from pathsieve.llm import kernels as K
 from pathsieve.loop import cut
 
-BANDS, ROWS = 25, 5
+BANDS, ROWS = 34, 6
+#: Standard deviations below the mean of a pair at the threshold, at which signature bits reject a candidate.
+SLACK = 5.0
+#: Set elements in a block where blocks of sets are compared.
+BLOCK_ELEMENTS = 16_384
+_BITS = ("s0", "s1", "s2", "s3")
 _U32 = np.uint32
 
 
@@ -47,6 +54,19 @@ def band_keys(signatures: np.ndarray, bands: int, per_band: int) -> np.ndarray:
     return K.mix64(keys)
 
 
+def signature_bits(signatures: np.ndarray) -> np.ndarray:
+    """The lowest bits of the first 256 coordinates as four 64-bit words for each row."""
+    low = np.zeros((len(signatures), 256), np.uint8)
+    low[:, : signatures.shape[1]] = signatures[:, :256] & _U32(1)
+    return np.packbits(low, axis=1, bitorder="little").view("<u8")
+
+
+def most_unequal_bits(size: int, percent: int) -> int:
+    """Bits that may differ: a bit agrees with probability (1 + similarity) / 2."""
+    size, agree = min(size, 256), (100 + percent) / 200
+    return math.ceil(size * (1 - agree) + SLACK * math.sqrt(size * agree * (1 - agree)))
+
+
 def _sets(column: pa.Array, k: int):
     """For each chunk of rows: its range, and the rows' distinct shingle hashes."""
     data, offsets = K.flat(column)
@@ -63,18 +83,21 @@ def _signed(batches, k: int, bands: int, per_band: int):
             n = np.diff(rows)
             full = np.flatnonzero(n)
             keys = np.zeros((j - i, 2), K.U64)
-            bits = np.zeros((0, bands), K.U64)
+            marks = np.zeros((0, bands), K.U64)
+            bits = np.zeros((j - i, 4), K.U64)
             if len(full):
                 at = np.append(rows[:-1][full], rows[-1])
                 keys[full, 0] = np.add.reduceat(K.mix64(values.copy()), at[:-1])
                 keys[full, 1] = np.add.reduceat(K.mix64(values * K.U64(0xA0761D6478BD642F)), at[:-1])
-                bits = band_keys(circulant_signatures(values, at, bands * per_band), bands, per_band)
+                signatures = circulant_signatures(values, at, bands * per_band)
+                marks, bits[full] = band_keys(signatures, bands, per_band), signature_bits(signatures)
             at = np.concatenate([[0], np.cumsum(np.where(n > 0, bands, 0))])
             parts.append(pa.RecordBatch.from_arrays([
                 batch.column("doc_id").slice(i, j - i), pa.array(n, pa.int64()),
                 pa.array(keys[:, 0].view(np.int64)), pa.array(keys[:, 1].view(np.int64)),
-                K.lists(bits.reshape(-1).view(np.int64), at, pa.int64()),
-            ], names=["doc_id", "n_shingles", "k1", "k2", "bands"]))
+                *(pa.array(np.ascontiguousarray(bits[:, c]).view(np.int64)) for c in range(4)),
+                K.lists(marks.reshape(-1).view(np.int64), at, pa.int64()),
+            ], names=["doc_id", "n_shingles", "k1", "k2", *_BITS, "bands"]))
         yield from parts
 
 
@@ -106,16 +129,69 @@ def components(edges: DataFrame) -> DataFrame:
         labels = step.select("id", "component")
 
 
-def _linked(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _close(percent: int, unequal: int) -> str:
+    """Condition on the sizes and signature bits of a pair (na, a0.. and nb, b0..)."""
+    apart = " + ".join(f"bit_count(a{c} ^ b{c})" for c in range(4))
+    return f"100 * least(na, nb) >= {percent} * greatest(na, nb) AND {apart} <= {unequal}"
+
+
+def _side(info: DataFrame, side: str) -> DataFrame:
+    """Size and signature bits under the names of one side of a pair."""
+    return info.select(F.col("id").alias(side), F.col("n").alias(f"n{side}"), *[F.col(x).alias(f"{side}{c}") for c, x in enumerate(_BITS)])
+
+
+def _linked(pairs: DataFrame, texts: DataFrame, shingle: int, id_type: str, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets are similar enough."""
-    left = sets.select(F.col("id").alias("a"), F.col("elements").alias("ea"))
-    right = sets.select(F.col("id").alias("b"), F.col("elements").alias("eb"))
-    near = pairs.join(left, "a").where(f"100 * least(n, size(ea)) >= {percent} * greatest(n, size(ea))")
-    both = near.join(right, "b").select("a", "b", F.size("ea").alias("na"), F.size("eb").alias("nb"), F.size(F.array_intersect("ea", "eb")).alias("same"))
-    return both.where(f"100 * same >= {percent} * (na + nb - same)").select("a", "b")
+    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
+    rows = texts.join(wanted.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    sets = cut(rows.mapInArrow(lambda it: _full_sets(it, shingle), f"id {id_type}, elements array<long>"), "sets")
+    near = pairs.join(sets.select(F.col("id").alias("a"), F.col("elements").alias("ea")), "a")
+    both = near.join(sets.select(F.col("id").alias("b"), F.col("elements").alias("eb")), "b")
+    counted = both.select("a", "b", F.size("ea").alias("na"), F.size("eb").alias("nb"), F.size(F.array_intersect("ea", "eb")).alias("same"))
+    return cut(counted.where(f"100 * same >= {percent} * (na + nb - same)").select("a", "b"), "edges")
+
+
+def _block_pairs(batches, percent: int):
+    """Links between two blocks of sets: all intersections of one set with a block come from one look-up."""
+    for batch in batches:
+        a, b = [], []
+        columns = [batch.column(c).to_pylist() for c in ("outer", "inner")]
+        for outer, inner in zip(*columns, strict=True):
+            sizes = np.array([len(x["elements"]) for x in inner])
+            values = np.concatenate([np.array(x["elements"], np.int64) for x in inner])
+            owner = np.repeat(np.arange(len(inner)), sizes)
+            order = np.argsort(values, kind="stable")
+            values, owner = values[order], owner[order]
+            for x in outer:
+                own = np.array(x["elements"], np.int64)
+                lo, hi = np.searchsorted(values, own, "left"), np.searchsorted(values, own, "right")
+                same = np.bincount(owner[K.ragged(lo, hi - lo)], minlength=len(inner))
+                for y in np.flatnonzero(100 * same >= percent * (len(own) + sizes - same)):
+                    a.append(x["id"])
+                    b.append(inner[y]["id"])
+        yield pa.RecordBatch.from_arrays([pa.array(a, batch.schema.field("outer").type.value_type.field("id").type), pa.array(b, batch.schema.field("outer").type.value_type.field("id").type)], names=["a", "b"])
+
 
+def _block_links(inner: DataFrame, outer: DataFrame, texts: DataFrame, shingle: int, id_type: str, percent: int, block: int = BLOCK_ELEMENTS) -> DataFrame:
+    """Links between the sets of ``outer`` and ``inner`` (id, n, main) with the same main.
 
-def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80, bands: int = BANDS, per_band: int = ROWS, pair_bound: int = 20) -> DataFrame:
+    Each side of a main is dealt into blocks of about ``block`` elements by a hash of id; every block of one side meets every block of
+    the other in a row of its own, so neither a hot main nor its pairs ever meet in one task.
+    """
+    shares = lambda df, name: df.groupBy("main").agg(F.ceil(F.sum("n") / block).alias(name))
+    plan = cut(shares(inner, "rows").join(shares(outer, "columns"), "main"), "blocks")
+    wanted = inner.select(F.col("id").alias("doc_id")).union(outer.select("id")).distinct()
+    rows = texts.join(wanted.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    sets = cut(rows.mapInArrow(lambda it: _full_sets(it, shingle), f"id {id_type}, elements array<long>"), "sets")
+    dealt = lambda df, count, to: df.join(plan, "main").select("id", "main", "rows", F.pmod(F.xxhash64("id"), F.col(count)).alias(to)).join(sets, "id")
+    packed = F.collect_list(F.struct("id", "elements"))
+    in_blocks = dealt(inner, "rows", "row").groupBy("main", "row").agg(packed.alias("inner"))
+    out_blocks = dealt(outer, "columns", "column").groupBy("main", "column").agg(packed.alias("outer"), F.first("rows").alias("rows"))
+    met = out_blocks.withColumn("row", F.explode(F.sequence(F.lit(0).cast("long"), F.col("rows") - 1))).join(in_blocks, ["main", "row"])
+    return cut(met.select("outer", "inner").mapInArrow(lambda it: _block_pairs(it, percent), f"a {id_type}, b {id_type}"), "edges")
+
+
+def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80, bands: int = BANDS, per_band: int = ROWS) -> DataFrame:
     """Components of documents with Jaccard similarity of at least ``percent``/100.
 
     Takes ``doc_id`` and ``text``; returns, for each row, doc_id, n_shingles, component_id
@@ -127,44 +203,49 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, percent: int = 80, bands:
 
     Equal sets become one class by an aggregate; only a class's smallest doc_id is banded.
     In each bucket, the smallest member is compared with all others. Where a bucket still
-    holds several components, each member outside its most frequent one is compared with all members of
-    other components, in blocks of about ``pair_bound`` pairs for each class. So no pair that shares a
-    bucket and might join two components is given up, and no step puts a bucket into one task. At a similarity of 0.8, a pair shares no bucket with a
-    probability of (1 - 0.8**per_band)**bands, 5e-5 by default.
+    holds several components, the members outside its most frequent one are compared with those of that component, block
+    of full sets against block of full sets, and with each other. So no pair that shares a bucket and
+    might join two components is given up, and no step puts a bucket into one task. Pairs whose sizes
+    or signature bits rule the similarity out are dropped before their full sets are compared. At a similarity of 0.8, a pair shares no
+    bucket with a probability of (1 - 0.8**per_band)**bands, 3e-5 by default, and its bits rule it out
+    with less than 1e-6.
     """
     spark = docs.sparkSession
     texts = docs.select("doc_id", "text")
     id_type = dict(texts.dtypes)["doc_id"]
-    base = cut(texts.mapInArrow(lambda it: _signed(it, shingle, bands, per_band), f"doc_id {id_type}, n_shingles long, k1 long, k2 long, bands array<long>"), "signed")
+    base = cut(texts.mapInArrow(lambda it: _signed(it, shingle, bands, per_band), f"doc_id {id_type}, n_shingles long, k1 long, k2 long, s0 long, s1 long, s2 long, s3 long, bands array<long>"), "signed")
     classes = cut(base.where("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("rep")), "classes")
     leaders = base.join(classes.withColumnRenamed("rep", "doc_id"), ["k1", "k2", "doc_id"], "left_semi").dropDuplicates(["doc_id"])
-    exploded = leaders.select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), F.posexplode("bands").alias("band", "key"))
+    leaders = leaders.select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), *_BITS, "bands")
+    exploded = leaders.select("id", F.posexplode("bands").alias("band", "key"))
     pivots = exploded.groupBy("band", "key").agg(F.min("id").alias("a"), F.count("*").alias("m")).where("m > 1").drop("m")
     members = cut(exploded.join(pivots, ["band", "key"]).where("id <> a"), "members")
-    pairs = cut(members.select("a", F.col("id").alias("b"), "n").distinct(), "pairs")
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-    sets = cut(texts.join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]).mapInArrow(lambda it: _full_sets(it, shingle), f"id {id_type}, elements array<long>"), "sets")
-    edges = cut(_linked(pairs, sets, percent), "edges")
+    in_buckets = members.select("id").union(members.select("a")).distinct()
+    info = cut(leaders.drop("bands").join(in_buckets, "id", "left_semi"), "info")
+    close = _close(percent, most_unequal_bits(bands * per_band, percent))
+    star = members.select("a", F.col("id").alias("b")).distinct().join(_side(info, "b"), "b").join(_side(info, "a"), "a").where(close)
+    edges = _linked(cut(star.select("a", "b"), "pairs"), texts, shingle, id_type, percent)
     labels = components(edges)
-    n_classes = classes.count()
     bucket = ["band", "key"]
-    marked = members.select(*bucket, "id", "n").join(labels, "id", "left").withColumn("component", F.coalesce("component", "id"))
+    marked = members.select(*bucket, "id").join(labels, "id", "left").withColumn("component", F.coalesce("component", "id"))
     shares = marked.groupBy(*bucket, "component").agg(F.count("*").alias("c"))
     tops = shares.groupBy(*bucket).agg(F.sum("c").alias("m"), F.max("c").alias("most"), F.count("*").alias("parts")).where("parts > 1")
-    main = shares.join(tops, bucket).where("c = most").groupBy(*bucket).agg(F.min("component").alias("main"), F.first("m").alias("m"), F.first("most").alias("most"))
+    main = shares.join(tops, bucket).where("c = most").groupBy(*bucket).agg(F.min("component").alias("main"))
     rest = cut(marked.join(main, bucket), "rest")
-    work = rest.where("component <> main").agg(F.sum("m")).first()[0] or 0
-    blocks = -(-work // (pair_bound * n_classes + 1000))
-    for block in range(blocks):
-        others = rest.where(f"component <> main AND pmod(xxhash64(id), {blocks}) = {block}").select(*bucket, F.col("id").alias("a"), F.col("component").alias("own"))
-        against = rest.select(*bucket, F.col("id").alias("b"), "n", "component", "main")
-        pairs = others.join(against, bucket).where("own <> component AND (component = main OR a < b)").select("a", "b", "n").distinct()
-        more = cut(_linked(pairs, sets, percent), "edges")
-        if not more.isEmpty():
-            edges = edges.union(more)
-            labels = components(edges)
+    sized = rest.join(info.select("id", "n"), "id")
+    inner = sized.where("component = main").select("id", "n", "main").distinct()
+    outer = sized.where("component <> main").select("id", "n", "main").distinct()
+    across = _block_links(inner, outer, texts, shingle, id_type, percent)
+    others = rest.where("component <> main").select(*bucket, "id", "component")
+    left = others.select(*bucket, F.col("id").alias("a"), F.col("component").alias("own")).join(_side(info, "a"), "a")
+    right = others.select(*bucket, F.col("id").alias("b"), "component").join(_side(info, "b"), "b")
+    met = F.expr(f"own <> component AND a < b AND {close}")
+    pairs = left.alias("x").join(right.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.key") == F.col("y.key")) & met)
+    more = across.union(_linked(cut(pairs.select("a", "b").distinct(), "pairs"), texts, shingle, id_type, percent))
+    if not more.isEmpty():
+        labels = components(edges.union(more))
     grouped = classes.join(labels, classes.rep == labels.id, "left").select("k1", "k2", F.coalesce("component", "rep").alias("group_id"))
-    joined = base.drop("bands").join(cut(grouped, "groups"), ["k1", "k2"], "left")
+    joined = base.select("doc_id", "n_shingles", "k1", "k2").join(cut(grouped, "groups"), ["k1", "k2"], "left")
     found = joined.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("group_id")).otherwise(F.col("doc_id")).alias("component_id"))
     return found.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
