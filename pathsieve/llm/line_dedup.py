@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm import kernels as K
@@ -77,40 +77,42 @@ def _lines(batches, gram_words: int, window_words: int):
             ], names=["row_key", "h", "n", "number", "place", "mark"])
 
 
-def matched_lines(h, n, h0, places, shift: int, gram_words: int) -> set[int]:
+def matched_lines(h: np.ndarray, n: np.ndarray, h0: np.ndarray, places: np.ndarray, shift: int, gram_words: int) -> np.ndarray:
     """Lines of the runs through ``places`` that equal the lines ``shift`` earlier in ``h0``."""
-    out: set[int] = set()
-    for p in sorted(places):
-        if p in out:
-            continue
-        s = e = p
-        while s > 0 and s - shift > 0 and h[s - 1] == h0[s - shift - 1]:
-            s -= 1
-        while e < len(h) and e - shift < len(h0) and h[e] == h0[e - shift]:
-            e += 1
-        if sum(n[s:e]) >= gram_words:
-            out.update(range(s, e))
-    return out
+    low, high = max(0, shift), min(len(h), len(h0) + shift)
+    breaks = np.concatenate([[low - 1], low + np.flatnonzero(h[low:high] != h0[low - shift : high - shift]), [high]])
+    at = np.unique(np.searchsorted(breaks, places))
+    words = np.concatenate([[0], np.cumsum(n)])
+    starts, ends = breaks[at - 1] + 1, breaks[at]
+    long = words[ends] - words[starts] >= gram_words
+    return K.ragged(starts[long], ends[long] - starts[long])
 
 
 def _extended(batches, gram_words: int):
     for batch in batches:
-        keys, lines = [], []
-        for key, h, n, number, h0, places, shift in zip(*(batch.column(c).to_pylist() for c in ("row_key", "h", "n", "number", "h0", "places", "shift")), strict=True):
-            gone = sorted(matched_lines(h, n, h0, places, shift, gram_words))
-            keys.extend([key] * len(gone))
-            lines.extend(number[x] for x in gone)
-        yield pa.RecordBatch.from_arrays([pa.array(keys, pa.string()), pa.array(lines, pa.int32())], names=["row_key", "line"])
-
-
-def _keyed(docs: DataFrame) -> DataFrame:
-    """A key whose order is that of the documents: by doc_id, then text; equal rows share it."""
+        part = {c: (batch.column(c).offsets.to_numpy(), batch.column(c).values.to_numpy(zero_copy_only=False)) for c in ("h", "n", "number", "h0", "places")}
+        shifts = batch.column("shift").to_numpy(zero_copy_only=False).tolist()
+        count, lines = np.zeros(len(shifts), np.int64), [np.zeros(0, np.int32)]
+        for x, shift in enumerate(shifts):
+            h, n, number, h0, places = (v[o[x] : o[x + 1]] for o, v in part.values())
+            gone = matched_lines(h, n, h0, places, shift, gram_words)
+            count[x] = len(gone)
+            lines.append(number[gone])
+        keys = batch.column("row_key").take(pa.array(np.repeat(np.arange(len(shifts)), count)))
+        yield pa.RecordBatch.from_arrays([keys, pa.array(np.concatenate(lines), pa.int32())], names=["row_key", "line"])
+
+
+def _keyed() -> Column:
+    """A key whose order is that of the documents: by doc_id, then a hash of the text; equal rows share it.
+
+    Negative ids come first, in the order of their digits; rows without an id come last.
+    """
     return F.concat_ws(":", F.when(F.col("doc_id") < 0, "0").otherwise("1"), F.lpad(F.col("doc_id").cast("string"), 20, "0"), F.xxhash64("text").cast("string"))
 
 
 def repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window_words: int = WINDOW_WORDS) -> DataFrame:
     """(row_key, lines): the numbers of the lines to delete from each text that has any."""
-    texts = docs.select(_keyed(docs).alias("row_key"), "text").where("text IS NOT NULL")
+    texts = docs.select(_keyed().alias("row_key"), "text").where("text IS NOT NULL")
     kind = "row_key string, h array<long>, n array<int>, number array<int>, place array<int>, mark array<long>"
     table = cut(texts.mapInArrow(lambda it: _lines(it, gram_words, window_words), kind), "lines").dropDuplicates(["row_key"])
     marks = table.select("row_key", F.explode(F.arrays_zip("place", "mark")).alias("x")).select("row_key", "x.place", "x.mark")
@@ -141,8 +143,8 @@ def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window
     """
     gone = repeated_lines(docs, gram_words, window_words)
     names = docs.columns
-    carried = docs.select(_keyed(docs).alias("row_key"), F.struct(*[docs[c] for c in names]).alias("row"))
-    joined = carried.join(gone, "row_key", "left")
+    carried = docs.select(_keyed().alias("row_key"), F.struct(*[docs[c] for c in names]).alias("row"))
+    joined = carried.join(gone.hint("merge"), "row_key", "left")
     cutting = joined.select("row", F.col("lines").alias("gone"), F.when(F.col("lines").isNotNull(), F.split("row.text", "\n", -1)).alias("parts"))
     kept = cutting.select("row", "gone", F.expr("IF(gone IS NULL, row.text, array_join(transform(array_except(sequence(0, size(parts) - 1), gone), i -> parts[i]), '\n'))").alias("text_now"), F.size(F.coalesce("gone", F.array().cast("array<int>"))).alias("n_removed"))
     out = {c: F.col(f"row.{c}") for c in names} | {"text": F.col("text_now")}
