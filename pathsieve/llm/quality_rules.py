@@ -59,7 +59,7 @@ def _measured(docs: DataFrame) -> DataFrame:
     )
     grams = hashed.withColumn("g", F.expr("IF(n_words < 3, CAST(array() AS array<bigint>), slice(g, 1, greatest(CAST(n_words AS int) - 2, 1)))"))
     ordered = grams.withColumn("s", F.expr("IF(size(array_distinct(g)) = size(g), CAST(array() AS array<struct<h:bigint,i:int>>), sort_array(transform(g, (h, i) -> named_struct('h', h, 'i', i))))")).drop("g")
-    again = ordered.withColumn("p", F.expr("transform(filter(s, (x, i) -> x.h = s[i - 1].h OR x.h = get(s, i + 1).h), x -> x.i)".replace("s[i - 1]", "get(s, i - 1)"))).drop("s")
+    again = ordered.withColumn("p", F.expr("transform(filter(s, (x, i) -> x.h = get(s, i - 1).h OR x.h = get(s, i + 1).h), x -> x.i)")).drop("s")
     return again.withColumn("n_repeat_words", F.expr("IF(size(p) = 0, 0L, CAST(size(array_distinct(concat(p, transform(p, x -> x + 1), transform(p, x -> x + 2)))) AS bigint))")).drop("p")
 
 
