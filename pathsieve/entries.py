@@ -147,6 +147,7 @@ for _rule in A.RULES:
 _entry("same_answers_all_rules", _answer_sql(*_SAME))(_case(*_SAME, True, A.SearchConfig()))
 _entry("same_answers_mask_mode", _answer_sql(*_SAME))(_case(*_SAME, False, A.SearchConfig(mode="mask", rules=())))
 _entry("same_answers_dominance", _answer_sql(*_SAME))(_case(*_SAME, False, A.SearchConfig(dominance=True, rules=())))
+_entry("same_answers_shared_search", _answer_sql(*_SAME))(lambda s, d: A.answer_shared(g := _graph("page_links", s, d), _asked(g, _SAME[1], _SAME[2])))
 _entry("indexed_supply_star", _answer_sql(*_CASES["mixed_supply_star"]))(_case(*_CASES["mixed_supply_star"], True, A.SearchConfig()))
 _entry("indexed_not_order_relay", _answer_sql(*_CASES["not_order_relay"]))(_case(*_CASES["not_order_relay"], True, A.SearchConfig()))
 _entry("reach_page_links", _answer_sql("page_links", "TRUE", 40))(lambda s, d: B.reach(g := _graph("page_links", s, d), W.sample_pairs(g, 40)))
@@ -274,6 +275,18 @@ def _nesting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return claimed.join(G.closure_vertices(g), ["src", "dst"], "left_anti").agg(F.count("*").alias("violations"))
 
 
+@_entry("walk_nesting_check", "SELECT CAST(0 AS BIGINT) AS violations")
+def _walk_nesting(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same of the sequential walk's intervals."""
+    from pathsieve.plans.index import walk_intervals
+
+    g = _graph("page_links", spark, sf_dir)
+    t = walk_intervals(g)
+    up, low = t.select("root", F.col("vid").alias("src"), F.col("enter").alias("a"), F.col("leave").alias("b")), t.select("root", F.col("vid").alias("dst"), F.col("enter").alias("x"))
+    claimed = up.join(low, "root").where("a < x AND x <= b").select("src", "dst")
+    return claimed.join(G.closure_vertices(g), ["src", "dst"], "left_anti").agg(F.count("*").alias("violations"))
+
+
 @_entry("no_false_negative_page_links", "SELECT CAST(0 AS BIGINT) AS violations")
 def _no_false(spark: SparkSession, sf_dir: str) -> DataFrame:
     return S.no_false_negative(g := _graph("page_links", spark, sf_dir), build_index(g, IndexConfig(vertex_bits=31)))
@@ -313,7 +326,7 @@ def _allowed(how):
 
 for _name, _how in {
     "allowed_page_links": lambda g, ix, q: A.answer_allowed(g, q), "allowed_indexed_page_links": lambda g, ix, q: A.answer_allowed(g, q, ix()), "allowed_direct_page_links": lambda g, ix, q: B.allowed_search(g, q),
-    "two_hop_page_links": lambda g, ix, q: B.two_hop_answer(g, B.two_hop_build(g), q), "two_hop_reduced_page_links": lambda g, ix, q: B.two_hop_answer(g, B.two_hop_build(g, True, True), q),
+    "two_hop_page_links": lambda g, ix, q: B.two_hop_answer(g, B.two_hop_build(g, batch=256), q), "two_hop_reduced_page_links": lambda g, ix, q: B.two_hop_answer(g, B.two_hop_build(g, True, True, batch=256), q),
     "allowed_by_closure_page_links": lambda g, ix, q: B.closure_answer(g, B.minimal_closure(g), q),
 }.items():
     _entry(_name, _allowed_sql("page_links", _ALLOWED, 40))(_allowed(_how))
@@ -381,6 +394,18 @@ _entry("preferential_degrees")(lambda s, d: G.degrees(T.preferential_graph(s, 20
 _entry("cube_edge_labels", "SELECT o_orderstatus AS status, o_orderpriority AS priority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)")(
     lambda s, d: T.table(s, d, "orders").cube(F.col("o_orderstatus").alias("status"), F.col("o_orderpriority").alias("priority")).agg(F.count("*").alias("n"))
 )
+_entry("grouping_sets_orders", "SELECT o_orderstatus AS status, o_orderpriority AS priority, count(*) AS n FROM orders GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority))")(
+    lambda s, d: s.sql("SELECT o_orderstatus AS status, o_orderpriority AS priority, count(*) AS n FROM {o} GROUP BY GROUPING SETS ((o_orderstatus), (o_orderpriority))", o=T.table(s, d, "orders"))
+)
+_entry("recursive_supply_depth", _with("supply_star", "r(vid, depth) AS (SELECT DISTINCT src, 0 FROM e WHERE label = 'has' UNION ALL SELECT e.dst, depth + 1 FROM r JOIN e ON e.src = r.vid WHERE depth < 2 AND e.label IN ('has', 'seat')) SELECT depth, count(*) AS n FROM r GROUP BY depth"))(
+    lambda s, d: s.sql("WITH RECURSIVE r(vid, depth) AS (SELECT DISTINCT src, 0 FROM {e} WHERE label = 'has' UNION ALL SELECT e.dst, depth + 1 FROM r JOIN {e} e ON e.src = r.vid WHERE depth < 2 AND e.label IN ('has', 'seat')) SELECT depth, count(*) AS n FROM r GROUP BY depth", e=_graph("supply_star", s, d).edges)
+)
+_entry("customers_that_relay", f"SELECT c_custkey, c_name FROM customer c WHERE EXISTS (SELECT 1 FROM ({EDGES['order_relay']}) e WHERE e.src = c.c_custkey) AND c_acctbal > (SELECT avg(c_acctbal) FROM customer)")(
+    lambda s, d: s.sql("SELECT c_custkey, c_name FROM {c} c WHERE EXISTS (SELECT 1 FROM {e} e WHERE e.src = c.c_custkey) AND c_acctbal > (SELECT avg(c_acctbal) FROM {c})", c=T.table(s, d, "customer"), e=_graph("order_relay", s, d).edges)
+)
+_entry("top_targets_lateral", f"WITH e AS ({EDGES['order_relay']}), v AS (SELECT DISTINCT src AS vid FROM e) SELECT vid, dst FROM (SELECT src AS vid, dst, row_number() OVER (PARTITION BY src ORDER BY dst) AS r FROM (SELECT DISTINCT src, dst FROM e)) WHERE r <= 2")(
+    lambda s, d: s.sql("SELECT v.vid, x.dst FROM (SELECT DISTINCT src AS vid FROM {e}) v, LATERAL (SELECT DISTINCT dst FROM {e} e WHERE e.src = v.vid ORDER BY dst LIMIT 2) x", e=_graph("order_relay", s, d).edges)
+)
 _entry("rollup_orders", "SELECT year(o_orderdate) AS y, o_orderpriority AS priority, count(*) AS n FROM orders GROUP BY ROLLUP (year(o_orderdate), o_orderpriority)")(
     lambda s, d: T.table(s, d, "orders").select(F.year("o_orderdate").cast("long").alias("y"), F.col("o_orderpriority").alias("priority")).rollup("y", "priority").agg(F.count("*").alias("n"))
 )
@@ -388,7 +413,7 @@ _entry("ntile_degree", _with("part_chain", "d AS (SELECT src AS vid, count(DISTI
     lambda s, d: G.degrees(_graph("part_chain", s, d)).where("n_out > 0").select("vid", F.ntile(4).over(Window.orderBy(F.desc("n_out"), "vid")).alias("quarter"))
 )
 _entry("range_frame_orders", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_orderpriority ORDER BY epoch(o_orderdate) RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS n FROM orders")(
-    lambda s, d: T.table(s, d, "orders").select("o_orderkey", F.count("*").over(Window.partitionBy("o_orderpriority").orderBy(F.col("o_orderdate").cast("long")).rangeBetween(-604800, 0)).alias("n"))
+    lambda s, d: T.table(s, d, "orders").select("o_orderkey", F.count("*").over(Window.partitionBy("o_orderpriority").orderBy(F.timestamp_diff("SECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col("o_orderdate"))).rangeBetween(-604800, 0)).alias("n"))
 )
 
 
@@ -417,7 +442,7 @@ def _reach_sets(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]
 _entry("intersect_reach", _BOTH.format("INTERSECT"))(lambda s, d: (x := _reach_sets(s, d))[0].intersect(x[1]))
 _entry("except_reach", _BOTH.format("EXCEPT"))(lambda s, d: (x := _reach_sets(s, d))[0].exceptAll(x[1]))
 _entry("pivot_labels", _with("event_flow", "one AS (SELECT 1) SELECT src, count(*) FILTER (label = 'click') AS click, count(*) FILTER (label = 'view') AS view FROM e GROUP BY src", False))(
-    lambda s, d: _graph("event_flow", s, d).edges.groupBy("src").pivot("label", ["click", "view"]).agg(F.count("*")).na.fill(0)
+    lambda s, d: _graph("event_flow", s, d).edges.groupBy("src").pivot("label", ["click", "view"]).agg(F.count("dst")).na.fill(0)
 )
 _entry("json_label_counts", "SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1")(lambda s, d: T.table(s, d, "events").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n")))
 _entry("event_windows", "SELECT event_type AS label, date_trunc('day', ts) AS start, count(*) AS n FROM events GROUP BY 1, 2")(

@@ -263,6 +263,26 @@ def _answer_by_mask(g: Graph, queries: DataFrame, cfg: SearchConfig, alphabet: l
     return queries.select("qid").distinct().join(hits, "qid", "left").select("qid", F.coalesce("hit", F.lit(False)).alias("answer"))
 
 
+def answer_shared(g: Graph, queries: DataFrame, cfg: SearchConfig | None = None) -> DataFrame:
+    """(qid, answer) where many patterns are asked from the same sources: one search a source, marking the labels of all patterns.
+
+    For patterns over few labels together; the states of a source are shared by all its queries and targets.
+    """
+    cfg = cfg or SearchConfig()
+    alphabet = g.alphabet()
+    clauses, formulas = _mask_mode(queries, g, alphabet)
+    run = _Run(g, None, cfg)
+    marks = [F.bit_or(n).alias(n) for n in M.names("r", run.words)] + [F.lit(0).cast("long").alias(n) for n in M.names("f", run.words)]
+    shared = clauses.groupBy("src").agg(*marks).select(F.col("src").alias("qid"), F.lit(0).alias("clause"), "src", F.lit(None).cast("long").alias("dst"), *M.names("r", run.words), *M.names("f", run.words))
+    _, visited = run.run(shared, targets=False)
+    holds = F.lit(False)
+    for text, p in formulas.items():
+        holds = holds | ((F.col("pattern") == text) & P.pattern_mask_column(p, _cs("s", run.words), {x: i for i, x in enumerate(alphabet)}))
+    states = visited if cfg.empty_path else visited.where("hop > 0")
+    hits = queries.join(states.select(F.col("qid").alias("src"), F.col("vid").alias("dst"), *M.names("s", run.words)), ["src", "dst"]).where(holds).select("qid", F.lit(True).alias("hit")).distinct()
+    return queries.select("qid").distinct().join(hits, "qid", "left").select("qid", F.coalesce("hit", F.lit(False)).alias("answer"))
+
+
 def pattern_distance(g: Graph, queries: DataFrame, cfg: SearchConfig | None = None) -> DataFrame:
     """(qid, hops): fewest edges of a walk that satisfies the pattern; null if there is none."""
     hits, _ = _Run(g, None, cfg or SearchConfig()).run(compile_queries(queries, g.alphabet()))
