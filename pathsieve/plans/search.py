@@ -119,7 +119,7 @@ class _Run:
         return out | {"way_forbidden": ~forbidden, "horizon": ~ended}
 
     def expand(self, frontier: DataFrame, clauses: DataFrame) -> DataFrame:
-        """States one edge further, repeats included."""
+        """States one edge further, repeats included, and whether each answers its query."""
         live = frontier.join(clauses, ["qid", "clause"])
         if self.index is not None:
             live = live.join(self.fused, "vid")
@@ -134,7 +134,9 @@ class _Run:
             steps = live.withColumnRenamed("vid", "src").join(self.edges.withColumnRenamed("dst", "to"), "src")
         steps = steps.where(M.mask_disjoint(_cs("e", self.words), _cs("f", self.words)))
         seen = [s.bitwiseOR(e.bitwiseAND(r)).alias(n) for s, e, r, n in zip(_cs("s", self.words), _cs("e", self.words), _cs("r", self.words), M.names("s", self.words), strict=True)]
-        return steps.select("qid", "clause", F.col("to").alias("vid"), *seen)
+        states = steps.select("qid", "clause", F.col("to").alias("vid"), *seen, "dst", *M.names("r", self.words))
+        hit = (F.col("vid") == F.col("dst")) & M.mask_contains(_cs("s", self.words), _cs("r", self.words))
+        return states.select(*self.state, F.coalesce(hit, F.lit(False)).alias("hit"))
 
     def inbound_ok(self, states: DataFrame, clauses: DataFrame) -> DataFrame:
         """Keeps states at vertices whose predecessors all lie before the target, as they must if it is reachable."""
@@ -144,7 +146,7 @@ class _Run:
         full = states.join(clauses, ["qid", "clause"]).join(own, "vid", "left").join(into, "vid", "left").na.fill({p + n[1:]: 0 for n in vw for p in "mi"})
         target = _cs("t", self.nv)
         arrived = (F.col("vid") == F.col("dst")) & M.mask_empty(self._missing())
-        return full.where(arrived | (M.mask_contains(target, _cs("i", self.nv)) & M.mask_contains(target, _cs("m", self.nv)))).select(*self.state)
+        return full.where(arrived | (M.mask_contains(target, _cs("i", self.nv)) & M.mask_contains(target, _cs("m", self.nv)))).select(*states.columns)
 
     def certified(self, states: DataFrame, clauses: DataFrame) -> DataFrame:
         """qids with a state from which only reachability is left, proved by a tree interval.
@@ -183,10 +185,9 @@ class _Run:
             if hits and targets:
                 live = live.join(hits[-1].select("qid"), "qid", "left_anti")
             if "certificate" in self.rules and targets:
-                sure = self.certified(live if hop else live, clauses)
-                if not self.cfg.empty_path:
-                    loops = clauses.where(F.col("src") == F.col("dst")).select("qid")
-                    sure = sure.join(loops, "qid", "left_anti") if hop == 0 else sure
+                sure = self.certified(live, clauses)
+                if not self.cfg.empty_path and hop == 0:
+                    sure = sure.join(clauses.where(F.col("src") == F.col("dst")).select("qid"), "qid", "left_anti")
                 sure = cut(sure.withColumn("hop", F.lit(hop)), "hits")
                 hits.append(sure)
                 live = live.join(sure.select("qid"), "qid", "left_anti")
@@ -208,13 +209,9 @@ class _Run:
             if empty:
                 break
             if targets:
-                arrived = new.join(clauses, ["qid", "clause"]).where(F.col("vid") == F.col("dst")).where(M.mask_empty(self._missing())).select("qid").distinct()
-                hits.append(cut(arrived.withColumn("hop", F.lit(hop)), "hits"))
-                new_live = new.join(hits[-1].select("qid"), "qid", "left_anti")
-            else:
-                new_live = new
-            visited = visited.unionByName(new)
-            frontier = new_live
+                hits.append(new.where("hit").select("qid", "hop").distinct())
+            visited = visited.unionByName(new.drop("hit"))
+            frontier = new
             if self.cfg.max_rounds is not None and hop >= self.cfg.max_rounds:
                 break
         found = reduce(DataFrame.unionByName, hits).groupBy("qid").agg(F.min("hop").alias("hop")) if hits else clauses.select("qid", F.lit(0).alias("hop")).limit(0)
