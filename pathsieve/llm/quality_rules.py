@@ -60,7 +60,9 @@ def _measured(docs: DataFrame) -> DataFrame:
     grams = hashed.withColumn("g", F.expr("IF(n_words < 3, CAST(array() AS array<bigint>), slice(g, 1, greatest(CAST(n_words AS int) - 2, 1)))"))
     ordered = grams.withColumn("s", F.expr("IF(size(array_distinct(g)) = size(g), CAST(array() AS array<struct<h:bigint,i:int>>), sort_array(transform(g, (h, i) -> named_struct('h', h, 'i', i))))")).drop("g")
     again = ordered.withColumn("p", F.expr("transform(filter(s, (x, i) -> x.h = get(s, i - 1).h OR x.h = get(s, i + 1).h), x -> x.i)")).drop("s")
-    return again.withColumn("n_repeat_words", F.expr("IF(size(p) = 0, 0L, CAST(size(array_distinct(concat(p, transform(p, x -> x + 1), transform(p, x -> x + 2)))) AS bigint))")).drop("p")
+    # No filter is pushed below a projection that is not deterministic. Pushed down, a condition on this count would hold every
+    # expression above in place of its column, and sort the windows again for each word. The ids are never negative.
+    return again.withColumn("n_repeat_words", F.expr("IF(size(p) = 0 OR monotonically_increasing_id() < 0, 0L, CAST(size(array_distinct(concat(p, transform(p, x -> x + 1), transform(p, x -> x + 2)))) AS bigint))")).drop("p")
 
 
 def _metrics() -> dict[str, Column]:
@@ -104,7 +106,4 @@ def quality_rules(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame
 def passing(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The rows of ``docs`` that the rules keep, with their columns."""
     carried = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("doc_id"), docs["text"].alias("text"))
-    # A filter is not pushed below a projection that is not deterministic; pushed down, it would hold
-    # every measure's expression in place of its column and sort the windows again for each word.
-    judged = quality_rules(carried, rules).select("doc_id", (F.col("kept") & (F.monotonically_increasing_id() >= 0)).alias("kept"))
-    return judged.where("kept").select("doc_id.*")
+    return quality_rules(carried, rules).where("kept").select("doc_id.*")
