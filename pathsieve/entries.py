@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
 from pathsieve.functions import patterns as P
+from pathsieve.loop import cut
 from pathsieve.operators import graph as G
 from pathsieve.plans import baselines as B
 from pathsieve.plans import measures as S
@@ -97,8 +98,13 @@ def _index(name: str, spark: SparkSession, sf_dir: str):
     return _once(spark, ("index", name, sf_dir), lambda: build_index(_graph(name, spark, sf_dir)))
 
 
+def _pairs(g: G.Graph, n: int) -> DataFrame:
+    """Pairs of vertices of a graph that :data:`_made` keeps; queries over the same graph share them."""
+    return _once(g.edges.sparkSession, ("pairs", id(g), n), lambda: cut(W.sample_pairs(g, n), "asked"))
+
+
 def _asked(g: G.Graph, pattern: str, n: int) -> DataFrame:
-    return W.sample_pairs(g, n).withColumn("pattern", F.lit(pattern))
+    return _pairs(g, n).withColumn("pattern", F.lit(pattern))
 
 
 _QUERIES: dict = {}
@@ -150,7 +156,7 @@ _entry("same_answers_dominance", _answer_sql(*_SAME))(_case(*_SAME, False, A.Sea
 _entry("same_answers_shared_search", _answer_sql(*_SAME))(lambda s, d: A.answer_shared(g := _graph("page_links", s, d), _asked(g, _SAME[1], _SAME[2])))
 _entry("indexed_supply_star", _answer_sql(*_CASES["mixed_supply_star"]))(_case(*_CASES["mixed_supply_star"], True, A.SearchConfig()))
 _entry("indexed_not_order_relay", _answer_sql(*_CASES["not_order_relay"]))(_case(*_CASES["not_order_relay"], True, A.SearchConfig()))
-_entry("reach_page_links", _answer_sql("page_links", "TRUE", 40))(lambda s, d: B.reach(g := _graph("page_links", s, d), W.sample_pairs(g, 40)))
+_entry("reach_page_links", _answer_sql("page_links", "TRUE", 40))(lambda s, d: B.reach(g := _graph("page_links", s, d), _pairs(g, 40)))
 _entry("plain_sequential_page_links", _answer_sql(*_SAME))(lambda s, d: B.plain_sequential(g := _graph("page_links", s, d), _asked(g, _SAME[1], _SAME[2])))
 
 
@@ -301,7 +307,7 @@ def _monotone(spark: SparkSession, sf_dir: str) -> DataFrame:
 def _quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = _graph("page_links", spark, sf_dir)
     ix = _index("page_links", spark, sf_dir)
-    return S.filter_fpr(g, ix, W.sample_pairs(g, 20).select(F.col("src").alias("vid"))).crossJoin(S.mask_fill(ix)).crossJoin(S.way_profile(ix))
+    return S.filter_fpr(g, ix, _pairs(g, 20).select(F.col("src").alias("vid"))).crossJoin(S.mask_fill(ix)).crossJoin(S.way_profile(ix))
 
 
 @_entry("prune_trace_page_links")
@@ -319,7 +325,7 @@ _ALLOWED = ["nav:en", "title:en", "nav:de"]
 def _allowed(how):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         g = _graph("page_links", spark, sf_dir)
-        return how(g, lambda: _index("page_links", spark, sf_dir), W.sample_pairs(g, 40).withColumn("allowed", F.array(*map(F.lit, _ALLOWED))))
+        return how(g, lambda: _index("page_links", spark, sf_dir), _pairs(g, 40).withColumn("allowed", F.array(*map(F.lit, _ALLOWED))))
 
     return run
 
@@ -337,7 +343,7 @@ r AS (SELECT qid, src AS vid, 0 AS state FROM q UNION SELECT r.qid, e.dst, m.b F
 SELECT q.qid, (q.qid, q.dst) IN (SELECT (qid, vid) FROM r WHERE state = 3) AS answer FROM q"""))
 def _regex(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = _graph("order_relay", spark, sf_dir)
-    return B.answer_regex(g, W.sample_pairs(g, 20).withColumn("regex", F.lit("1-URGENT+ 2-HIGH* 5-LOW")))
+    return B.answer_regex(g, _pairs(g, 20).withColumn("regex", F.lit("1-URGENT+ 2-HIGH* 5-LOW")))
 
 
 @_entry("simple_paths_talk_flow", _answer_sql("talk_flow", 'ALL{"user","assistant"}', 40))

@@ -4,7 +4,8 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 _UNSET_DIR = "/tmp/checkpoints"
 
@@ -49,3 +50,38 @@ def cut_with_path(df: DataFrame, name: str = "cut") -> tuple[DataFrame, str]:
     path = new_path(spark, name)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path), path
+
+
+def cut_counted(df: DataFrame, name: str = "cut", condition: Column | None = None) -> tuple[DataFrame, str, int]:
+    """As :func:`cut_with_path`, and the rows (that meet ``condition``) counted while they are written.
+
+    Tasks that ran again may be counted twice, so the number serves to tell whether there are any.
+    """
+    counted = Observation()
+    rows = F.count("*") if condition is None else F.count_if(condition)
+    made, path = cut_with_path(df.observe(counted, rows.alias("n")), name)
+    return made, path, counted.get.get("n") or 0
+
+
+class Layers:
+    """Rows of a loop, one layer a round, each written once; all layers together are read as one scan."""
+
+    def __init__(self, first: DataFrame, name: str = "layer") -> None:
+        self.spark, self.schema, self.name = first.sparkSession, first.schema, name
+        self.paths: list[str] = []
+        self.last, path = cut_with_path(first, name)
+        self.paths.append(path)
+
+    def add(self, df: DataFrame) -> bool:
+        """Write a round's rows as the last layer; false, and the layer is left out, where there are none."""
+        made, path, n = cut_counted(df, self.name)
+        if n == 0:
+            remove(self.spark, path)
+            return False
+        self.last = made
+        self.paths.append(path)
+        return True
+
+    @property
+    def all(self) -> DataFrame:
+        return self.spark.read.schema(self.schema).parquet(*self.paths)

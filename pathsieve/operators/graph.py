@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
-from pathsieve.loop import cut, cut_with_path, remove
+from pathsieve.loop import Layers, cut, cut_counted, cut_with_path, remove
 
 _EDGES = "src bigint, dst bigint, label string"
 
@@ -132,18 +132,13 @@ def closure_vertices(g: Graph, sources: DataFrame | None = None, max_rounds: int
     """(src, dst, hops): all vertices that each source reaches over one edge or more, with the fewest hops."""
     pairs = cut(g.edges.select("src", "dst").distinct(), "pairs")
     start = pairs if sources is None else pairs.join(sources.select(F.col("vid").alias("src")).distinct(), "src", "left_semi")
-    delta = cut(start.withColumn("hops", F.lit(1)), "reach")
-    parts, step = [delta], 1
-    done = delta
+    found, step = Layers(start.withColumn("hops", F.lit(1)), "reach"), 1
     while max_rounds is None or step < max_rounds:
         step += 1
-        onward = delta.select("src", F.col("dst").alias("via")).join(pairs.withColumnRenamed("src", "via"), "via").select("src", "dst").distinct()
-        delta = cut(onward.join(done, ["src", "dst"], "left_anti").withColumn("hops", F.lit(step)), "reach")
-        if delta.isEmpty():
+        onward = found.last.select("src", F.col("dst").alias("via")).join(pairs.withColumnRenamed("src", "via"), "via").select("src", "dst").distinct()
+        if not found.add(onward.join(found.all, ["src", "dst"], "left_anti").withColumn("hops", F.lit(step))):
             break
-        parts.append(delta)
-        done = done.unionByName(delta)
-    return done
+    return found.all
 
 
 def closure_labels(g: Graph, sources: DataFrame | None = None) -> DataFrame:
@@ -166,18 +161,16 @@ def closure_label_sets(g: Graph, sources: DataFrame | None = None, minimal: bool
     step = cut(g.edges.join(F.broadcast(lid), "label").select("src", "dst", M.bit_word(F.col("lid"), 0).alias("bit")).distinct(), "steps")
     start = step if sources is None else step.join(sources.select(F.col("vid").alias("src")).distinct(), "src", "left_semi")
     trim = (lambda df: _antichain(df)) if minimal else (lambda df: df)
-    done = delta = cut(trim(start.withColumnRenamed("bit", "mask")), "sets")
+    found = Layers(trim(start.withColumnRenamed("bit", "mask")), "sets")
     while True:
-        onward = delta.withColumnRenamed("dst", "via").join(step.withColumnRenamed("src", "via"), "via").select("src", "dst", F.col("mask").bitwiseOR(F.col("bit")).alias("mask")).distinct()
+        onward = found.last.withColumnRenamed("dst", "via").join(step.withColumnRenamed("src", "via"), "via").select("src", "dst", F.col("mask").bitwiseOR(F.col("bit")).alias("mask")).distinct()
         if minimal:
-            old = done.select("src", "dst", F.col("mask").alias("old"))
-            onward = onward.join(old, (onward.src == old.src) & (onward.dst == old.dst) & (F.col("old").bitwiseAND(F.col("mask")) == F.col("old")), "left_anti")
-            delta = cut(_antichain(onward), "sets")
+            old = found.all.select("src", "dst", F.col("mask").alias("old"))
+            onward = _antichain(onward.join(old, (onward.src == old.src) & (onward.dst == old.dst) & (F.col("old").bitwiseAND(F.col("mask")) == F.col("old")), "left_anti"))
         else:
-            delta = cut(onward.join(done, ["src", "dst", "mask"], "left_anti"), "sets")
-        if delta.isEmpty():
-            return _antichain(done) if minimal else done
-        done = done.unionByName(delta)
+            onward = onward.join(found.all, ["src", "dst", "mask"], "left_anti")
+        if not found.add(onward):
+            return _antichain(found.all) if minimal else found.all
 
 
 def _antichain(df: DataFrame) -> DataFrame:
@@ -261,11 +254,11 @@ def _least(color: DataFrame, pairs: DataFrame) -> DataFrame:
     while True:
         sent = pairs.join(delta.select(F.col("vid").alias("src"), "c"), "src").groupBy(F.col("dst").alias("vid")).agg(F.min("c").alias("low"))
         new = color.join(sent, "vid", "left").select("vid", F.least("c", F.coalesce("low", "c")).alias("c"), (F.coalesce("low", "c") < F.col("c")).alias("changed"))
-        new, new_path = cut_with_path(new, "color")
+        new, new_path, changed = cut_counted(new, "color", F.col("changed"))
         delta = new.where("changed")
         last, path, color = path, new_path, new.select("vid", "c")
         remove(color.sparkSession, last)
-        if delta.isEmpty():
+        if not changed:
             return color
 
 

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
 from pathsieve.functions import patterns as P
-from pathsieve.loop import cut
+from pathsieve.loop import Layers, cut
 from pathsieve.operators.graph import Graph, closure_label_sets
 from pathsieve.plans.search import SearchConfig, answer
 
@@ -99,20 +99,13 @@ def point_masks(index, alphabet: list[str], most: int = SMALL_GRAPH):
 def allowed_search(g: Graph, queries: DataFrame) -> DataFrame:
     """(qid, answer) of allowed-set queries by breadth-first search over allowed edges."""
     allowed = cut(queries.select("qid", F.explode("allowed").alias("label")).distinct(), "allowed")
-    frontier = cut(queries.select("qid", F.col("src").alias("vid"), "dst").distinct(), "frontier")
-    visited = frontier.select("qid", "vid")
-    hits = [cut(frontier.where("vid = dst").select("qid"), "hits")]
+    reached = Layers(queries.select("qid", F.col("src").alias("vid"), "dst").distinct(), "frontier")
     while True:
-        live = frontier.join(hits[-1], "qid", "left_anti")
+        live = reached.last.join(reached.last.where("vid = dst").select("qid"), "qid", "left_anti")
         step = live.join(g.edges.withColumnRenamed("src", "vid").withColumnRenamed("dst", "to"), "vid").join(allowed, ["qid", "label"], "left_semi").select("qid", F.col("to").alias("vid"), "dst").distinct()
-        frontier = cut(step.join(visited, ["qid", "vid"], "left_anti"), "frontier")
-        if frontier.isEmpty():
+        if not reached.add(step.join(reached.all.select("qid", "vid"), ["qid", "vid"], "left_anti")):
             break
-        visited = visited.unionByName(frontier.select("qid", "vid"))
-        hits.append(cut(frontier.where("vid = dst").select("qid"), "hits"))
-    found = hits[0]
-    for h in hits[1:]:
-        found = found.unionByName(h)
+    found = reached.all.where("vid = dst").select("qid")
     return queries.select("qid").distinct().join(found.distinct().withColumn("hit", F.lit(True)), "qid", "left").select("qid", F.coalesce("hit", F.lit(False)).alias("answer"))
 
 
@@ -318,19 +311,14 @@ def answer_regex(g: Graph, queries: DataFrame) -> DataFrame:
     machines = {t: automaton(t) for t in texts}
     moves = spark.createDataFrame([(t, a, x, b) for t, m in machines.items() for a, x, b in m[0]], "regex string, state int, label string, next int")
     ends = spark.createDataFrame([(t, e) for t, m in machines.items() for e in sorted(m[2])], "regex string, state int")
-    frontier = cut(queries.select("qid", "regex", F.col("src").alias("vid"), "dst", F.lit(0).alias("state")), "frontier")
-    visited, hits = frontier.select("qid", "vid", "state"), []
+    reached = Layers(queries.select("qid", "regex", F.col("src").alias("vid"), "dst", F.lit(0).alias("state")), "frontier")
+    hits = lambda states: states.where("vid = dst").join(F.broadcast(ends), ["regex", "state"], "left_semi").select("qid")
     while True:
-        hits.append(cut(frontier.where("vid = dst").join(F.broadcast(ends), ["regex", "state"], "left_semi").select("qid").distinct(), "hits"))
-        live = frontier.join(hits[-1], "qid", "left_anti").join(F.broadcast(moves), ["regex", "state"])
+        live = reached.last.join(hits(reached.last), "qid", "left_anti").join(F.broadcast(moves), ["regex", "state"])
         step = live.join(g.edges.select(F.col("src").alias("vid"), "label", F.col("dst").alias("to")), ["vid", "label"]).select("qid", "regex", F.col("to").alias("vid"), "dst", F.col("next").alias("state")).distinct()
-        frontier = cut(step.join(visited, ["qid", "vid", "state"], "left_anti"), "frontier")
-        if frontier.isEmpty():
+        if not reached.add(step.join(reached.all.select("qid", "vid", "state"), ["qid", "vid", "state"], "left_anti")):
             break
-        visited = visited.unionByName(frontier.select("qid", "vid", "state"))
-    found = hits[0]
-    for h in hits[1:]:
-        found = found.unionByName(h)
+    found = hits(reached.all)
     return queries.select("qid").distinct().join(found.distinct().withColumn("hit", F.lit(True)), "qid", "left").select("qid", F.coalesce("hit", F.lit(False)).alias("answer"))
 
 

@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
-from pathsieve.loop import cut, cut_with_path, remove
+from pathsieve.loop import cut, cut_counted, cut_with_path, remove
 from pathsieve.operators.graph import Graph, condense, levels, scc
 
 
@@ -85,11 +85,11 @@ def _fixpoint(adj: DataFrame, own: DataFrame, names: list[str], seed: DataFrame,
             "vid", *[F.col(n).bitwiseOR(F.coalesce("n_" + n, F.lit(0).cast("long"))).alias(n) for n in names],
             reduce(lambda a, b: a | b, [F.coalesce("n_" + n, F.lit(0).cast("long")).bitwiseAND(F.bitwise_not(n)) != 0 for n in names]).alias("changed"),
         )
-        new, new_path = cut_with_path(merged, "masks")
+        new, new_path, changed = cut_counted(merged, "masks", F.col("changed"))
         delta = new.where("changed").drop("changed")
         last, path, state = path, new_path, new.drop("changed")
         remove(state.sparkSession, last)
-        if delta.isEmpty():
+        if not changed:
             return state
 
 

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
 from pathsieve.functions import patterns as P
-from pathsieve.loop import cut
+from pathsieve.loop import Layers, cut
 from pathsieve.operators.graph import Graph
 from pathsieve.plans.index import TwoAxisIndex
 
@@ -90,7 +90,10 @@ class _Run:
             self.edges = cut(edges, "edges")
         else:
             self.edges = cut(edges.join(index.ways, ["src", "dst"]), "edges")
-            self.fused = cut(index.fused(), "fused")
+            vw = index.cfg.vw
+            own = index.own.select("vid", *[F.col(n).alias("m" + n[1:]) for n in vw])
+            fused = index.fused().join(own, "vid", "left").join(index.inbound, "vid", "left")
+            self.fused = cut(fused.na.fill({p + n[1:]: 0 for n in vw for p in "mi"}), "fused")
             self.nv, self.nl = len(index.cfg.vw), len(index.cfg.lw)
             if not index.exact:
                 self.rules.discard("way_forbidden")
@@ -103,7 +106,10 @@ class _Run:
         return M.mask_minus(_cs("r", self.words), _cs("s", self.words))
 
     def way_filters(self) -> dict[str, Column]:
-        """Conditions for keeping (state, way); each is implied by a walk to the target through the way."""
+        """Conditions for keeping (state, way); each is implied by a walk to the target through the way.
+
+        "inbound" is the same for all ways: the vertex and all before it lie before the target.
+        """
         d, wide_v, wide_l = _cs("d", self.nv), _cs("v", self.nv), _cs("l", self.nl)
         missing, forb = self._folded(self._missing()), self._folded(_cs("f", self.words))
         layer_v = [[F.col(f"h{j}{n}") for n in self.index.cfg.vw] for j in range(1, self.index.cfg.k + 1)]
@@ -116,7 +122,9 @@ class _Run:
             if j:
                 seen = M.mask_or(*layer_l[:j])
                 ended = ended | (M.mask_empty(layer_l[j]) & (~nearer | ~M.mask_contains(seen, missing)))
-        return out | {"way_forbidden": ~forbidden, "horizon": ~ended}
+        target = _cs("t", self.nv)
+        before = M.mask_contains(target, _cs("i", self.nv)) & M.mask_contains(target, _cs("m", self.nv))
+        return out | {"way_forbidden": ~forbidden, "horizon": ~ended, "inbound": before}
 
     def expand(self, frontier: DataFrame, clauses: DataFrame) -> DataFrame:
         """States one edge further, repeats included, and whether each answers its query."""
@@ -124,12 +132,11 @@ class _Run:
         if self.index is not None:
             live = live.join(self.fused, "vid")
             filters = self.way_filters()
-            for name in ("way_vertex", "way_required", "way_forbidden", "horizon"):
+            for name, condition in filters.items():
                 if name in self.rules:
-                    live = live.where(filters[name])
-            carried = [c for c in live.columns if not c.startswith(("v0", "l0", "h")) and c not in self.index.cfg.vw + self.index.cfg.lw]
-            live = live.select(*carried).withColumnRenamed("vid", "src")
-            steps = live.drop("d_src").join(self.edges.withColumnRenamed("dst", "to"), ["src", "way"])
+                    live = live.where(condition)
+            live = live.select(*self.state, "way", "dst", *M.names("r", self.words), *M.names("f", self.words))
+            steps = live.withColumnRenamed("vid", "src").join(self.edges.withColumnRenamed("dst", "to"), ["src", "way"])
         else:
             steps = live.withColumnRenamed("vid", "src").join(self.edges.withColumnRenamed("dst", "to"), "src")
         steps = steps.where(M.mask_disjoint(_cs("e", self.words), _cs("f", self.words)))
@@ -138,16 +145,6 @@ class _Run:
         hit = (F.col("vid") == F.col("dst")) & M.mask_contains(_cs("s", self.words), _cs("r", self.words))
         return states.select(*self.state, F.coalesce(hit, F.lit(False)).alias("hit"))
 
-    def inbound_ok(self, states: DataFrame, clauses: DataFrame) -> DataFrame:
-        """Keeps states at vertices whose predecessors all lie before the target, as they must if it is reachable."""
-        vw = self.index.cfg.vw
-        own = self.index.own.select("vid", *[F.col(n).alias("m" + n[1:]) for n in vw])
-        into = self.index.inbound
-        full = states.join(clauses, ["qid", "clause"]).join(own, "vid", "left").join(into, "vid", "left").na.fill({p + n[1:]: 0 for n in vw for p in "mi"})
-        target = _cs("t", self.nv)
-        arrived = (F.col("vid") == F.col("dst")) & M.mask_empty(self._missing())
-        return full.where(arrived | (M.mask_contains(target, _cs("i", self.nv)) & M.mask_contains(target, _cs("m", self.nv)))).select(*states.columns)
-
     def certified(self, states: DataFrame, clauses: DataFrame) -> DataFrame:
         """qids with a state from which only reachability is left, proved by a tree interval.
 
@@ -175,15 +172,15 @@ class _Run:
             clauses = _target_columns(clauses, self.index)
         clauses = cut(clauses, "clauses")
         start = clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(x) for x in M.names("s", self.words)])
-        frontier = cut(start.withColumn("hop", F.lit(0)), "frontier")
-        visited, hop = frontier, 0
-        hits = []
+        states = Layers(start.select("*", F.lit(False).alias("hit"), F.lit(0).alias("hop")), "states")
+        hits, answered, hop = [], None, 0
         if self.cfg.empty_path and targets:
             hits.append(cut(clauses.where(F.col("src") == F.col("dst")).where(M.mask_empty(_cs("r", self.words))).select("qid").distinct().withColumn("hop", F.lit(0)), "hits"))
+            answered = hits[0].select("qid")
         while True:
-            live = frontier.select(*self.state)
-            if hits and targets:
-                live = live.join(hits[-1].select("qid"), "qid", "left_anti")
+            live = states.last.select(*self.state)
+            if answered is not None:
+                live = live.join(answered, "qid", "left_anti")
             if "certificate" in self.rules and targets:
                 sure = self.certified(live, clauses)
                 if not self.cfg.empty_path and hop == 0:
@@ -194,28 +191,22 @@ class _Run:
             hop += 1
             t = time.time()
             candidates = self.expand(live, clauses).distinct()
-            fresh = candidates.join(visited.select(*self.state), self.state, "left_anti")
-            if "inbound" in self.rules:
-                fresh = self.inbound_ok(fresh, clauses)
+            fresh = candidates.join(states.all.select(*self.state), self.state, "left_anti")
             if self.cfg.dominance:
                 fresh = self.dominated(fresh)
-            new = cut(fresh.withColumn("hop", F.lit(hop)), "frontier")
+            grown = states.add(fresh.withColumn("hop", F.lit(hop)))
             if self.cfg.trace:
-                kept = new.count()
-                self.trace.append((hop, live.count(), candidates.count(), kept, time.time() - t))
-                empty = kept == 0
-            else:
-                empty = new.isEmpty()
-            if empty:
+                self.trace.append((hop, live.count(), candidates.count(), states.last.count() if grown else 0, time.time() - t))
+            if not grown:
                 break
             if targets:
-                hits.append(new.where("hit").select("qid", "hop").distinct())
-            visited = visited.unionByName(new.drop("hit"))
-            frontier = new
+                answered = states.last.where("hit").select("qid")
             if self.cfg.max_rounds is not None and hop >= self.cfg.max_rounds:
                 break
-        found = reduce(DataFrame.unionByName, hits).groupBy("qid").agg(F.min("hop").alias("hop")) if hits else clauses.select("qid", F.lit(0).alias("hop")).limit(0)
-        return found, visited
+        if not targets:
+            return clauses.select("qid", F.lit(0).alias("hop")).limit(0), states.all.drop("hit")
+        hits.append(states.all.where("hit").select("qid", "hop"))
+        return reduce(DataFrame.unionByName, hits).groupBy("qid").agg(F.min("hop").alias("hop")), states.all.drop("hit")
 
 
 def _mask_mode(queries: DataFrame, g: Graph, alphabet: list[str]) -> tuple[DataFrame, dict[str, object]]:
@@ -323,7 +314,7 @@ def quick(g: Graph, queries: DataFrame, index: TwoAxisIndex) -> DataFrame:
     clauses = cut(_target_columns(compile_queries(queries, g.alphabet()), index), "clauses")
     start = clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(x) for x in M.names("s", run.words)])
     loops = queries.where("src = dst").select("qid")
-    open_states = run.inbound_ok(start, clauses).join(clauses, ["qid", "clause"]).join(run.fused, "vid")
+    open_states = start.join(clauses, ["qid", "clause"]).join(run.fused, "vid")
     for name, condition in run.way_filters().items():
         if name in run.rules:
             open_states = open_states.where(condition)
