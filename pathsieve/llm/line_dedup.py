@@ -11,6 +11,7 @@ from pathsieve.llm import kernels as K
 from pathsieve.loop import cut
 
 GRAM_WORDS, WINDOW_WORDS = 25, 50
+_BLOCK_RUNS = 1 << 14
 
 
 def line_table(b: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -63,6 +64,21 @@ def _run_hashes(h: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarr
     return K.mix64(np.add.reduceat(mixed, at) + (ends - starts).astype(K.U64))
 
 
+def whole_windows(n: np.ndarray, window_words: int) -> tuple[np.ndarray, np.ndarray]:
+    """Starts and ends of the shortest runs with ``window_words`` words from each line on and up to each line.
+
+    Both kinds together cover each run of so many words or more: a line whose words, counted from the start
+    of the run, reach ``window_words`` ends a window in the run, any other is in the window that begins the run.
+    """
+    words = np.concatenate([[0], np.cumsum(n, dtype=np.int64)])
+    onward = np.searchsorted(words, words[:-1] + window_words)
+    first = np.flatnonzero(onward <= len(n))
+    last = np.flatnonzero(words[1:] >= window_words)
+    since = np.searchsorted(words, words[last + 1] - window_words, side="right") - 1
+    runs = np.unique(np.concatenate([first * (len(n) + 1) + onward[first], since * (len(n) + 1) + last + 1]))
+    return runs // (len(n) + 1), runs % (len(n) + 1)
+
+
 def _lines(batches, gram_words: int, window_words: int):
     for batch in batches:
         data, offsets = K.flat(batch.column("text"))
@@ -102,6 +118,38 @@ def _extended(batches, gram_words: int):
         yield pa.RecordBatch.from_arrays([keys, pa.array(np.concatenate(lines), pa.int32())], names=["row_key", "line"])
 
 
+def _windows(batches, window_words: int):
+    """The whole windows of each text that hold the first line of a gram which stands at two places or more."""
+    for batch in batches:
+        part = {c: (batch.column(c).offsets.to_numpy(), batch.column(c).values.to_numpy(zero_copy_only=False)) for c in ("h", "n", "repeated")}
+        for x in range(batch.num_rows):
+            h, n, places = (v[o[x] : o[x + 1]] for o, v in part.values())
+            starts, ends = whole_windows(n, window_words)
+            marked = np.zeros(len(n) + 1, np.int64)
+            marked[places + 1] = 1
+            marked = np.cumsum(marked)
+            again = marked[ends] > marked[starts]
+            starts, ends = starts[again], ends[again]
+            for i in range(0, len(starts), _BLOCK_RUNS):
+                s, e = starts[i : i + _BLOCK_RUNS], ends[i : i + _BLOCK_RUNS]
+                keys = batch.column("row_key").take(pa.array(np.full(len(s), x)))
+                yield pa.RecordBatch.from_arrays([keys, pa.array(_run_hashes(h.view(K.U64), s, e).view(np.int64)), pa.array(s, pa.int32()), pa.array(e, pa.int32())], names=["row_key", "run", "start", "end"])
+
+
+def _covered(batches):
+    for batch in batches:
+        part = {c: (batch.column(c).offsets.to_numpy(), batch.column(c).values.to_numpy(zero_copy_only=False)) for c in ("number", "starts", "ends")}
+        count, lines = np.zeros(batch.num_rows, np.int64), [np.zeros(0, np.int32)]
+        for x in range(batch.num_rows):
+            number, starts, ends = (v[o[x] : o[x + 1]] for o, v in part.values())
+            inside = np.bincount(starts, minlength=len(number) + 1) - np.bincount(ends, minlength=len(number) + 1)
+            gone = np.flatnonzero(np.cumsum(inside)[:-1] > 0)
+            count[x] = len(gone)
+            lines.append(number[gone])
+        keys = batch.column("row_key").take(pa.array(np.repeat(np.arange(batch.num_rows), count)))
+        yield pa.RecordBatch.from_arrays([keys, pa.array(np.concatenate(lines), pa.int32())], names=["row_key", "line"])
+
+
 def _keyed() -> Column:
     """A key whose order is that of the documents: by doc_id, then a hash of the text; equal rows share it.
 
@@ -119,16 +167,27 @@ def repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window_words:
     marks = cut(marks, "marks")
     keys = marks.groupBy("mark").agg(F.min("row_key").alias("key0"), F.count("*").alias("c")).where("c > 1").drop("c")
     place0 = marks.join(keys, "mark").where("row_key = key0").groupBy("mark").agg(F.min("place").alias("place0"), F.first("key0").alias("key0"))
-    later = marks.join(cut(place0, "first"), "mark").where("row_key <> key0 OR place <> place0")
-    runs = later.groupBy("row_key", "key0", (F.col("place") - F.col("place0")).alias("shift")).agg(F.collect_set("place").alias("places"))
+    found = marks.join(cut(place0, "first"), "mark")
+    runs = found.groupBy("row_key", "key0", (F.col("place") - F.col("place0")).alias("shift")).agg(F.collect_set("place").alias("places"))
     runs = cut(runs, "runs")
-    needed = cut(table.join(runs.select("row_key").union(runs.select("key0")).distinct(), "row_key", "left_semi").select("row_key", "h", "n", "number"), "needed")
+    repeated = runs.groupBy("row_key").agg(F.flatten(F.collect_list("places")).alias("repeated"))
+    needed = cut(table.join(repeated, "row_key").select("row_key", "h", "n", "number", "repeated"), "needed")
     source = needed.select(F.col("row_key").alias("key0"), F.col("h").alias("h0"))
-    pairs = runs.join(source, "key0").join(needed, "row_key").select("row_key", "h", "n", "number", "h0", "places", "shift")
+    pairs = runs.where("row_key <> key0 OR shift <> 0").join(source, "key0").join(needed, "row_key").select("row_key", "h", "n", "number", "h0", "places", "shift")
     gone = pairs.mapInArrow(lambda it: _extended(it, gram_words), "row_key string, line int")
+    gone = gone.union(_repeated_windows(needed, window_words))
     return cut(gone.groupBy("row_key").agg(F.array_sort(F.collect_set("line")).alias("lines")), "gone")
 
 
+def _repeated_windows(needed: DataFrame, window_words: int) -> DataFrame:
+    """(row_key, line) of all lines of the windows that stood earlier as a whole, wherever their grams stood first."""
+    whole = cut(needed.select("row_key", "h", "n", "repeated").mapInArrow(lambda it: _windows(it, window_words), "row_key string, run long, start int, end int"), "windows")
+    first = whole.groupBy("run").agg(F.min(F.struct("row_key", "start")).alias("first"), F.count("*").alias("c")).where("c > 1").select("run", "first")
+    later = whole.join(cut(first, "whole"), "run").where("row_key <> first.row_key OR start <> first.start")
+    spans = later.groupBy("row_key").agg(F.collect_list("start").alias("starts"), F.collect_list("end").alias("ends"))
+    return spans.join(needed.select("row_key", "number"), "row_key").select("number", "starts", "ends", "row_key").mapInArrow(_covered, "row_key string, line int")
+
+
 def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window_words: int = WINDOW_WORDS) -> DataFrame:
     """``docs`` with later repeats of passages of lines deleted from ``text``.
 
@@ -137,7 +196,9 @@ def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window
     lines with ``window_words`` words that also stands earlier shares a fingerprint with an
     earlier place; matches are extended both ways and deleted if they have ``gram_words`` words
     or more. Shorter repeats (headers, signatures) stay. All columns stay; n_chars, where there is one, is set
-    anew. Null texts stay null; a text may become empty. Rows equal in doc_id and text are treated alike,
+    anew. The gram may have stood first in another text than the rest of the run, so each whole window of a text
+    with a repeated gram is also looked up by its own hash: every line of a run of ``window_words`` words or more
+    that stands earlier goes. Null texts stay null; a text may become empty. Rows equal in doc_id and text are treated alike,
     as one place. The lines' hashes are kept whole for the texts with matches only; a hot passage is
     aggregated before the shuffle, and joins against its first place can be split.
     """

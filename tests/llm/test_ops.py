@@ -71,6 +71,43 @@ def test_line_dedup_guarantee(spark, seed):
         seen |= set(runs(lines))
 
 
+def repeated_run_lines(docs, least):
+    """For each text, the lines of all runs with ``least`` words or more that also stand earlier, by brute force."""
+    split, seen, out = [d.split("\n") for d in docs], set(), []
+    for ls in split:
+        gone = set()
+        runs = [(a, b) for b in range(1, len(ls) + 1) for a in range(b) if sum(len(x.split()) for x in ls[a:b]) >= least]
+        for a, b in sorted(runs):
+            key = tuple(ls[a:b])
+            if key in seen:
+                gone |= set(range(a, b))
+            seen.add(key)
+        out.append(gone)
+    return out
+
+
+def test_line_dedup_hot_line_inside_passage(spark):
+    """A line of 30 words that stood first in other texts hides no line of the passages around it."""
+    hot, docs = words(30, 1), [f"own {words(20, 50 + i)}\n{words(30, 1)}\n{words(20, 80 + i)} end" for i in range(20)]
+    for i in range(20):
+        passage = "\n".join([words(20, 200 + i), hot, words(20, 300 + i)])
+        docs += [f"{words(20, 400 + 2 * i + j)}\n{passage}\n{words(20, 500 + 2 * i + j)}" for j in range(2)]
+    out = {r.doc_id: r for r in line_dedup.without_repeated_lines(table(spark, docs)).collect()}
+    for i in range(20, 60, 2):
+        assert out[i + 1].text == docs[i + 1].split("\n")[0] + "\n" + docs[i + 1].split("\n")[4] and out[i + 1].n_removed == 3
+
+
+@pytest.mark.parametrize("seed", range(3))
+def test_line_dedup_removes_whole_runs(spark, seed):
+    rng = random.Random(seed)
+    pool = [words(rng.choice([3, 5, 12, 24, 30, 49, 50, 60]), 100 + i) for i in range(25)]
+    docs = ["\n".join(rng.choices(pool, k=rng.randint(1, 14))) for _ in range(40)]
+    texts = [docs[i] + f"\n{'own ' * 3}{i}" for i in range(len(docs))]
+    got = {r.doc_id: r for r in line_dedup.repeated_lines(table(spark, texts)).selectExpr("CAST(split(row_key, ':')[1] AS long) AS doc_id", "lines").collect()}
+    for i, gone in enumerate(repeated_run_lines(texts, line_dedup.WINDOW_WORDS)):
+        assert gone <= set(got[i].lines if i in got else ())
+
+
 def test_sentence_pieces(spark, texts):
     import sentencepiece
 
