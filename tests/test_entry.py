@@ -8,3 +8,28 @@ def test_every_oracle_has_a_query():
 def test_flagship(spark):
     rows = entry.entry(spark)
     assert rows.columns == ["qid", "answer"] and rows.count() == 20
+
+
+def test_k_hop_of_every_customer(spark, tmp_path):
+    """The neighbourhoods of all customers, whatever their ids, against brute force."""
+    import random
+    from datetime import datetime, timedelta
+
+    rng = random.Random(3)
+    labels = ["1-URGENT", "2-HIGH", "5-LOW"]
+    rows = [(i, rng.randrange(1, 60), rng.choice("FO"), datetime(1995, 1, 1) + timedelta(days=i), rng.choice(labels)) for i in range(150)]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long, o_orderstatus string, o_orderdate timestamp_ntz, o_orderpriority string").write.parquet(f"{tmp_path}/orders.parquet")
+    follows = {}
+    for label in labels[:2]:
+        line = [(r[1], r[2]) for r in rows if r[4] == label]
+        for (a, status), (b, _) in zip(line, line[1:]):
+            if status == "F" and a != b:
+                follows.setdefault(a, set()).add(b)
+    want = {}
+    for src in follows:
+        near = {src}
+        for hops in (1, 2, 3):
+            near = {b for a in near for b in follows.get(a, ())}
+            for dst in near:
+                want.setdefault((src, dst), hops)
+    assert {(r.src, r.dst): r.hops for r in entry.queries()["k_hop_customer"](spark, str(tmp_path)).collect()} == want
