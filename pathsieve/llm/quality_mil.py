@@ -13,8 +13,8 @@ from pathsieve.llm import kernels as K
 from pathsieve.llm.language_id import bounded_sample
 
 PASSAGE_WORDS = 32
-#: Bounds of the labelled sample and shape of the network.
-SAMPLE_PER_LABEL, SAMPLE_CHARS = 1500, 20_000
+#: Bound of the labelled sample and shape of the network.
+SAMPLE_PER_LABEL = 1500
 HIDDEN, ATTENTION, EPOCHS, RATE, DECAY, THRESHOLD = 24, 16, 40, 0.01, 0.01, 0.3
 
 # Classes of bytes: lower and upper case, digits, white space, non-ASCII, and some marks on their own.
@@ -141,17 +141,30 @@ def score(x: np.ndarray, rows: np.ndarray, model: Model) -> np.ndarray:
     return out
 
 
+def _encoded(batches):
+    for batch in batches:
+        for i, j, x, rows in passages(batch.column("text")):
+            yield pa.RecordBatch.from_arrays([
+                *(batch.column(c).slice(i, j - i) for c in ("place", "doc_id", "quality")),
+                pa.array([x[s:e].tobytes() for s, e in zip(rows[:-1], rows[1:], strict=True)], pa.binary()),
+            ], names=["place", "doc_id", "quality", "encoded"])
+
+
 def train(docs: DataFrame, labels: DataFrame, usable: Column | None = None) -> Model:
-    """Fit on a bounded sample of labelled rows that ``usable`` (of doc_id) allows."""
+    """Fit on a bounded sample of labelled rows that ``usable`` (of doc_id) allows.
+
+    Tasks encode the whole text of each; the driver gets the passages' encodings, no text.
+    """
     known = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").select("doc_id", "quality").dropDuplicates(["doc_id"])
     known = known.where(usable) if usable is not None else known
     chosen = bounded_sample(known, "quality", SAMPLE_PER_LABEL, 2).select("doc_id", "quality", "place")
-    rows = docs.select("doc_id", F.substring("text", 1, SAMPLE_CHARS).alias("text")).where("text IS NOT NULL").join(F.broadcast(chosen), "doc_id")
-    got = rows.orderBy("place", "doc_id", "text").collect()
-    parts = [(x, np.diff(at)) for _, _, x, at in passages(pa.array([r["text"] for r in got], pa.string()))]
+    rows = docs.select("doc_id", "text").where("text IS NOT NULL").join(F.broadcast(chosen), "doc_id").select("place", "doc_id", F.col("quality").cast("int").alias("quality"), "text")
+    encoded = rows.mapInArrow(_encoded, f"place long, doc_id {dict(rows.dtypes)['doc_id']}, quality int, encoded binary")
+    got = encoded.orderBy("place", "doc_id", "encoded").select("quality", "encoded").collect()
+    parts = [np.frombuffer(r["encoded"], np.float32).reshape(-1, WIDTH) for r in got]
     if not parts:
         return Model(np.zeros(0), np.ones(0), {}, 0.5)
-    x, size = np.concatenate([a for a, _ in parts]), np.concatenate([b for _, b in parts])
+    x, size = np.concatenate(parts), np.array([len(a) for a in parts])
     y = np.array([r["quality"] for r in got], np.float32)[size > 0]
     if len(set(y.tolist())) < 2:
         return Model(np.zeros(0), np.ones(0), {}, float(y.mean()) if len(y) else 0.5)

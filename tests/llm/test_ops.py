@@ -309,6 +309,17 @@ def test_quality_classifier(spark):
     assert quality_mil.classify(docs, quality_mil.train(docs, labels.limit(0))).count() == 300
 
 
+def test_quality_classifier_trains_on_whole_texts(spark):
+    """The passages that a model is fitted on are all those of the texts, however long."""
+    texts = [words(5000, i, 4000) + (" " + " ".join(x + "***" for x in words(90, i + 1).split()) if i % 2 else "") for i in range(8)] + ["short one", "", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 1 - i % 2) for i in range(len(texts))], "doc_id long, quality int")
+    model = quality_mil.train(docs, labels)
+    x = np.concatenate([x for _, _, x, _ in quality_mil.passages(pa.array(texts, pa.string()))])
+    assert len(x) == sum(-(-len((t or "").split()) // quality_mil.PASSAGE_WORDS) for t in texts)
+    assert np.allclose(model.mean, x.mean(axis=0), atol=1e-5) and np.allclose(model.scale, x.std(axis=0) + 0.02, atol=1e-5)
+
+
 def test_hash_columns_are_of_known_form(spark):
     r = decontaminate.contamination(table(spark, ["nothing"]), spark.createDataFrame([(1, "other words")], "item_id long, text string")).first()
     assert r.items_sha256 == hashlib.sha256(b"").hexdigest()
