@@ -12,8 +12,8 @@ from pyspark.sql import functions as F
 from pathsieve.llm import kernels as K
 
 LENGTHS, BITS = (1, 2, 3, 4), 16
-#: Bounds of the sample that the classifier is fitted on.
-SAMPLE_PER_LANGUAGE, SAMPLE_CHARS, MOST_LANGUAGES = 300, 8000, 200
+#: Rows of a language that the classifier is fitted on; languages rarer than the first MOST_LANGUAGES give one row each.
+SAMPLE_PER_LANGUAGE, MOST_LANGUAGES = 300, 200
 LANDMARKS_PER_LANGUAGE, RIDGE, SHARPNESS = 40, 1e-3, 6.0
 
 #: ASCII letters in lower case and bytes of other characters stay; the rest parts words.
@@ -58,14 +58,13 @@ def grams(column: pa.Array):
         yield i, j, present
 
 
-def fit(texts: list[str], languages: list[str]) -> Model:
-    """Nyström features on evenly spread landmarks, then ridge regression of each language against the rest.
+def fit(present: list[np.ndarray], languages: list[str]) -> Model:
+    """From the buckets present in each text: Nyström features on evenly spread landmarks, then ridge regression of each language against the rest.
 
     The kernel is the share of common n-grams, |a & b| / sqrt(|a| |b|) over the blended spectrum. It is linear in
     the presence vectors, so landmarks, whitening and regression weights multiply into one matrix.
     """
     names = sorted(set(languages))
-    present = [p for _, _, part in grams(pa.array(texts, pa.string())) for p in part]
     use = [x for x, p in enumerate(present) if len(p)]
     y = np.array([names.index(languages[x]) for x in use])
     marks = [x for c in range(len(names)) for x in np.flatnonzero(y == c)[:LANDMARKS_PER_LANGUAGE]]
@@ -116,24 +115,45 @@ def _predict(batches, model: Model):
 
 
 def bounded_sample(rows: DataFrame, label: str, per_label: int, most_labels: int) -> DataFrame:
-    """About ``per_label`` rows of each label (doc_id, label, text), chosen by a hash of doc_id, in hash order."""
-    counts = {r[0]: r[1] for r in rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(most_labels).collect()}
+    """About ``per_label`` rows of each label (doc_id, label, text), chosen by a hash of doc_id, and their place in hash order.
+
+    Of labels rarer than the ``most_labels`` most frequent ones, the first row in that order.
+    """
+    found = rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(most_labels + 1).collect()
+    counts = {r[0]: r[1] for r in found[:most_labels]}
     place = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(11)), F.lit(1 << 30))
     wanted = F.lit(False)
     for value, n in counts.items():
         wanted = wanted | ((F.col(label) == F.lit(value)) & (place < int((1 << 30) * min(1.0, per_label / n))))
-    return rows.where(wanted).withColumn("place", place).limit(2 * per_label * max(1, len(counts)))
+    sample = rows.where(wanted).withColumn("place", place).limit(2 * per_label * max(1, len(counts)))
+    if len(found) <= most_labels:
+        return sample
+    rare = rows.where(~F.col(label).isin(list(counts))).withColumn("place", place)
+    return sample.unionByName(rare.groupBy(label).agg(F.min(F.struct("place", *rows.columns)).alias("row")).select("row.*"))
+
+
+def _present(batches):
+    for batch in batches:
+        for i, j, present in grams(batch.column("text")):
+            yield pa.RecordBatch.from_arrays([
+                *(batch.column(c).slice(i, j - i) for c in ("place", "doc_id", "lang")),
+                pa.array([p.astype("<u2").tobytes() for p in present], pa.binary()),
+            ], names=["place", "doc_id", "lang", "present"])
 
 
 def train(docs: DataFrame, usable: Column | None = None) -> Model:
-    """Fit on a bounded sample of the rows with a language that ``usable`` allows."""
+    """Fit on a bounded sample of the rows with a language that ``usable`` allows.
+
+    Tasks find the n-grams of the whole text of each; the driver gets two bytes for each bucket present, no text.
+    """
     rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.col("doc_id").isNotNull())
     rows = rows.where(usable) if usable is not None else rows
     sample = bounded_sample(rows.select("doc_id", "lang", "text"), "lang", SAMPLE_PER_LANGUAGE, MOST_LANGUAGES)
-    got = sample.select("place", "doc_id", "lang", F.substring("text", 1, SAMPLE_CHARS).alias("text")).orderBy("place", "doc_id", "text").collect()
+    marked = sample.select("place", "doc_id", "lang", "text").mapInArrow(_present, f"place long, doc_id {dict(rows.dtypes)['doc_id']}, lang string, present binary")
+    got = marked.orderBy("place", "doc_id", "present").select("lang", "present").collect()
     if not got:
         return Model([], np.zeros((1, 0), np.float32))
-    return fit([r["text"] for r in got], [r["lang"] for r in got])
+    return fit([np.frombuffer(r["present"], "<u2").astype(np.int64) for r in got], [r["lang"] for r in got])
 
 
 def identify(docs: DataFrame, model: Model) -> DataFrame:

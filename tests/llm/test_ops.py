@@ -217,6 +217,19 @@ def test_language_id(spark):
     assert {r.lang_pred for r in language_id.identify(docs, none).collect()} == {"und"}
 
 
+def test_language_id_trains_on_whole_texts_and_all_languages(spark, monkeypatch):
+    """What tells languages apart may come late in long texts, and a language may be rarer than any bound."""
+    kinds = {"xx": "ba be bi bo", "yy": "ke ku ka ko", "zz": "mu my mo mi"}
+    rows = [(i, "zo " * 3000 + " ".join([kinds[x]] * 5), x) for i, x in enumerate(["xx"] * 20 + ["yy"] * 12 + ["zz"] * 3)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    got = {r.doc_id: r.lang_pred for r in language_id.identify(docs, language_id.train(docs)).collect()}
+    assert got == {i: x for i, _, x in rows}
+    monkeypatch.setattr(language_id, "MOST_LANGUAGES", 2)
+    few = language_id.train(docs)
+    assert few.languages == ["xx", "yy", "zz"]
+    assert {r.lang_pred for r in language_id.identify(docs.where("lang = 'zz'"), few).collect()} == {"zz"}
+
+
 def test_language_kernel_is_the_presence_kernel():
     a, b = "abcab", "abd"
     (_, _, (x, y)), *_ = language_id.grams(pa.array([a, b]))
