@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
@@ -32,16 +35,49 @@ def remove(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
 
 
+class Scratch:
+    """Tables written within one job; those not kept are removed at its end."""
+
+    def __init__(self) -> None:
+        self.made: list[tuple[DataFrame | None, str]] = []
+        self.kept: set[str] = set()
+
+    def keep(self, *tables: DataFrame) -> DataFrame:
+        """Name tables made by :func:`cut` that the job's result reads; returns the first."""
+        self.kept |= {path for table, path in self.made for t in tables if t is table}
+        return tables[0]
+
+
+_scratch: ContextVar[Scratch | None] = ContextVar("scratch", default=None)
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[Scratch]:
+    """Remove the tables that the block wrote with :func:`cut`, but for those it keeps.
+
+    Scopes nest: what an inner one keeps belongs to the outer one, which removes it in turn unless its own
+    result was written anew. Without any scope, tables stay until the scratch folder is cleared.
+    """
+    outer, here = _scratch.get(), Scratch()
+    token = _scratch.set(here)
+    try:
+        yield here
+    finally:
+        _scratch.reset(token)
+        for table, path in here.made:
+            if path not in here.kept:
+                remove(spark, path)
+            elif outer is not None:
+                outer.made.append((table, path))
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """Write ``df`` as Parquet on shared storage and return the table that was written.
 
     Later plans start from files that survive the loss of any executor, so no lineage is
     recomputed, and the optimizer sees true sizes.
     """
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return cut_with_path(df, name)[0]
 
 
 def cut_with_path(df: DataFrame, name: str = "cut") -> tuple[DataFrame, str]:
@@ -49,7 +85,10 @@ def cut_with_path(df: DataFrame, name: str = "cut") -> tuple[DataFrame, str]:
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path), path
+    made = spark.read.schema(df.schema).parquet(path)
+    if (open_scope := _scratch.get()) is not None:
+        open_scope.made.append((made, path))
+    return made, path
 
 
 def cut_counted(df: DataFrame, name: str = "cut", condition: Column | None = None) -> tuple[DataFrame, str, int]:
