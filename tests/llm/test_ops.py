@@ -279,13 +279,35 @@ def test_circulant_signatures_estimate_similarity():
 
 
 def test_blocks_find_the_links_that_pairs_find(spark):
-    rows = [(i, " ".join(words(90, 7).split()[: 90 - i])) for i in range(30)]
-    texts = spark.createDataFrame(rows, "doc_id long, text string")
+    sets = spark.createDataFrame([(i, list(range(87 - i))) for i in range(30)], "id long, elements array<long>")
     side = lambda ids: spark.createDataFrame([(i, 87 - i, 0) for i in ids], "id long, n long, main long")
-    got = {tuple(r) for r in near_dedup._block_links(side(range(0, 15)), side(range(15, 30)), texts, 4, "bigint", 80, block=100).collect()}
+    got = {tuple(r) for r in near_dedup._block_links(side(range(0, 15)), side(range(15, 30)), sets, 80, block=100).collect()}
     assert got == {(a, b) for a in range(15, 30) for b in range(15) if 100 * (87 - a) >= 80 * (87 - b)}
 
 
+def test_bucket_pairs_in_blocks(spark):
+    """Each pair of rows of a bucket in different components once, whatever the number of blocks."""
+    rows = spark.createDataFrame([(b, 7, i, i % 5) for b in range(2) for i in range(40) if b == 0 or i < 10], "band int, key long, id long, component long")
+    info = spark.createDataFrame([(i, 10, 0, 0, 0, 0) for i in range(40)], "id long, n long, s0 long, s1 long, s2 long, s3 long")
+    want = {(a, b) for b in range(40) for a in range(b) if a % 5 != b % 5}
+    for block in (3, 100):
+        got = [tuple(r) for r in near_dedup._bucket_pairs(rows, info, "true", block).collect()]
+        assert len(got) == len(set(got)) and set(got) == want
+
+
+def test_near_duplicates_without_or_with_repeated_ids(spark):
+    """Rows are compared by their own texts, whatever ids they lack or share."""
+    a, b, c, d = words(60, 1), words(60, 2), words(60, 3), words(60, 4)
+    rows = [(1, a), (2, b), (2, a), (None, c), (None, c), (5, d), (None, d), (7, ""), (7, None), (9, b), (9, b), (1, a)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("t1", F.lit("x"))
+    got = sorted(((r.doc_id, r.component_id) for r in near_dedup.near_duplicates(docs).collect()), key=str)
+    assert got == sorted([(1, 1), (2, 2), (2, 1), (None, None), (None, None), (5, 5), (None, 5), (7, 7), (7, 7), (9, 2), (9, 2), (1, 1)], key=str)
+    kept = sorted(((r.doc_id, r.text, r.t1) for r in near_dedup.without_near_duplicates(docs).collect()), key=str)
+    assert kept == sorted([(1, a, "x"), (2, b, "x"), (None, c, "x"), (5, d, "x"), (7, "", "x"), (7, None, "x")], key=str)
+    named = docs.withColumn("doc_id", F.concat(F.lit("d"), "doc_id"))
+    assert near_dedup.without_near_duplicates(named).count() == 6
+
+
 def test_sharding(spark, texts, tmp_path):
     docs = table(spark, texts).repartition(6)
     store = compaction.ShardStore(spark, str(tmp_path / "store"), target_bytes=100_000)
