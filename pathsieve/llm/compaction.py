@@ -8,7 +8,7 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-TARGET_BYTES, FANOUT, LEAST_RUN = 128 << 20, 4, 2
+TARGET_BYTES, FANOUT, LEAST_RUN, ARRIVALS, ATTEMPTS = 128 << 20, 4, 2, 4, 20
 _MANIFEST = "path string, bytes bigint, tier int, since bigint"
 
 
@@ -21,7 +21,8 @@ class ShardStore:
 
     ``data/<batch>/`` holds shard files, which are never changed; ``manifest/v<20 digits>`` lists a version's live
     shards. A version comes into being by renaming a finished manifest folder to a name that must not
-    exist yet, so readers see all of a commit or nothing, and of two writers one fails and can try again.
+    exist yet, so readers see all of a commit or nothing, and of two writers one fails and can try again. A writer leaves
+    ``open/<batch>`` from before its first file until after its commit, so that no vacuum takes files that are about to be listed.
     """
 
     def __init__(self, spark: SparkSession, root: str, target_bytes: int = TARGET_BYTES, fanout: int = FANOUT, least_run: int = LEAST_RUN) -> None:
@@ -78,21 +79,54 @@ class ShardStore:
         rows = []
         for folder in folders:
             path, fs = self._fs(folder)
-            rows += [(s.getPath().toString(), int(s.getLen())) for s in fs.listStatus(path) if s.getPath().getName().endswith(".parquet")]
+            files = fs.listStatus(path) if fs.exists(path) else []
+            rows += [(s.getPath().toString(), int(s.getLen())) for s in files if s.getPath().getName().endswith(".parquet")]
         listed = self.spark.createDataFrame(rows, "path string, bytes bigint")
         return listed.select("path", "bytes", self.tier(F.col("bytes")).alias("tier"), F.lit(version).cast("long").alias("since"))
 
+    def _opened(self) -> str:
+        """A new batch, marked as being written."""
+        batch = uuid.uuid4().hex
+        path, fs = self._fs(f"{self.root}/open/{batch}")
+        fs.create(path).close()
+        return batch
+
+    def _closed(self, batch: str, keep: bool) -> None:
+        """Take the mark off; without ``keep``, the batch's files go first."""
+        if not keep:
+            path, fs = self._fs(f"{self.root}/data/{batch}")
+            fs.delete(path, True)
+        path, fs = self._fs(f"{self.root}/open/{batch}")
+        fs.delete(path, False)
+
     def append(self, rows: DataFrame) -> int:
-        """Add an arrival as new immutable shards, one for each of its partitions that has rows; returns the version."""
-        base, folder = self.version(), f"{self.root}/data/{uuid.uuid4().hex}"
-        rows.write.parquet(folder)
-        return self._commit(self.manifest(base).unionByName(self._files([folder], base + 1)), base)
+        """Add an arrival as new immutable shards, one file for each of its partitions that has rows; returns the version.
+
+        Another writer's commit in between is built upon, as arrivals don't depend on each other.
+        """
+        batch = self._opened()
+        done = False
+        try:
+            rows.write.parquet(f"{self.root}/data/{batch}")
+            for attempt in range(ATTEMPTS):
+                base = self.version()
+                try:
+                    made = self._commit(self.manifest(base).unionByName(self._files([f"{self.root}/data/{batch}"], base + 1)), base)
+                    done = True
+                    return made
+                except CommitConflict:
+                    if attempt == ATTEMPTS - 1:
+                        raise
+            raise AssertionError
+        finally:
+            self._closed(batch, done)
 
     def compact(self) -> int:
         """Merge runs of similarly sized shards, tier by tier; returns the version (the same if nothing was merged).
 
-        A tier with ``least_run`` shards or more below target size is read and written as files of about target size, without
-        a shuffle: neighbouring partitions are only joined. Shards that are full stay as they are.
+        A tier with ``least_run`` shards or more below half the target size is read and written as files of about target size, without
+        a shuffle: neighbouring partitions are only joined. Shards that are full stay as they are. Each merge leaves fewer shards.
+        If another writer committed meanwhile, the merge stands as long as all shards that it replaces are still listed.
         """
         base = self.version()
         live = self.manifest(base)
@@ -100,44 +134,71 @@ class ShardStore:
         runs = small.groupBy("tier").agg(F.count("*").alias("n"), F.sum("bytes").alias("bytes")).where(F.col("n") >= self.least).orderBy("tier").collect()
         if not runs:
             return base
-        folders = []
-        for run in runs:
-            paths = [r[0] for r in small.where(F.col("tier") == run["tier"]).orderBy("path").select("path").collect()]
-            folder = f"{self.root}/data/{uuid.uuid4().hex}"
-            self.spark.read.parquet(*paths).coalesce(max(1, round(run["bytes"] / self.target))).write.parquet(folder)
-            folders.append(folder)
-        merged = F.col("tier").isin([r["tier"] for r in runs]) & (F.col("bytes") < self.target / 2)
-        return self._commit(live.where(~merged).unionByName(self._files(folders, base + 1)), base)
+        merged = live.where(F.col("tier").isin([r["tier"] for r in runs]) & (F.col("bytes") < self.target / 2)).select("path")
+        batches, done = [], False
+        try:
+            for run in runs:
+                paths = [r[0] for r in small.where(F.col("tier") == run["tier"]).orderBy("path").select("path").collect()]
+                batches.append(self._opened())
+                self.spark.read.parquet(*paths).coalesce(max(1, round(run["bytes"] / self.target))).write.parquet(f"{self.root}/data/{batches[-1]}")
+            for attempt in range(ATTEMPTS):
+                try:
+                    made = self._commit(live.join(merged, "path", "left_anti").unionByName(self._files([f"{self.root}/data/{b}" for b in batches], base + 1)), base)
+                    done = True
+                    return made
+                except CommitConflict:
+                    base = self.version()
+                    live = self.manifest(base)
+                    if attempt == ATTEMPTS - 1 or not merged.join(live, "path", "left_anti").isEmpty():
+                        raise
+            raise AssertionError
+        finally:
+            for batch in batches:
+                self._closed(batch, done)
 
     def read(self, version: int | None = None) -> DataFrame | None:
-        """All rows of a version, as of its manifest; None if it has no shard."""
+        """All rows of a version, as of its manifest; None if it has no shard. The driver holds one path for each live shard."""
         paths = [r[0] for r in self.manifest(version).orderBy("path").select("path").collect()]
         return self.spark.read.parquet(*paths) if paths else None
 
     def vacuum(self) -> int:
-        """Delete shards that the latest version doesn't list; returns how many. Older versions can't be read then."""
-        live = {r[0] for r in self.manifest().select("path").collect()}
-        path, fs = self._fs(f"{self.root}/data")
-        gone = 0
-        for folder in fs.listStatus(path):
-            for s in fs.listStatus(folder.getPath()):
-                name = s.getPath().toString()
-                if name.endswith(".parquet") and name not in live:
-                    gone += bool(fs.delete(s.getPath(), False))
-        return gone
-
-
-def sharded(docs: DataFrame, root: str, target_bytes: int = TARGET_BYTES) -> DataFrame:
-    """Store ``docs`` as arrivals, one for each input partition, compact them, and read the rows of the last version.
-
-    All columns and rows stay, nulls and repeats too; a table without rows gives one without. A ``shard`` column names the file.
+        """Delete shards that the latest version doesn't list; returns how many. Older versions can't be read then.
+
+        The data folders are listed first, then the open marks, then the manifest: a batch that is no longer open by the second step
+        is in the manifest of the third if it was committed at all. A mark left by a dead writer keeps its files until it is removed.
+        """
+        folders = self._names("data")
+        writing = set(self._names("open"))
+        listed = [(name,) for folder in folders if folder not in writing for name in self._paths(folder)]
+        if not listed:
+            return 0
+        dead = self.spark.createDataFrame(listed, "path string").join(self.manifest(), "path", "left_anti").collect()
+        for row in dead:
+            path, fs = self._fs(row["path"])
+            fs.delete(path, False)
+        return len(dead)
+
+    def _names(self, folder: str) -> list[str]:
+        path, fs = self._fs(f"{self.root}/{folder}")
+        return [s.getPath().getName() for s in fs.listStatus(path)] if fs.exists(path) else []
+
+    def _paths(self, batch: str) -> list[str]:
+        path, fs = self._fs(f"{self.root}/data/{batch}")
+        return [s.getPath().toString() for s in fs.listStatus(path) if s.getPath().getName().endswith(".parquet")]
+
+
+def sharded(docs: DataFrame, root: str, target_bytes: int = TARGET_BYTES, arrivals: int = ARRIVALS) -> DataFrame:
+    """Store ``docs`` as ``arrivals`` one after the other, compact after every second, and read the rows of the last version.
+
+    Rows are dealt to arrivals by a hash of doc_id. All columns and rows stay, nulls and repeats too; a table without rows gives one
+    without. A ``shard`` column names the file.
     """
     store = ShardStore(docs.sparkSession, root, target_bytes)
-    store.append(docs)
-    while (before := store.version()) != store.compact():
-        store.vacuum()
-        if before > 64:
-            break
+    for k in range(arrivals):
+        store.append(docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(arrivals)) == k))
+        if k % 2 or k == arrivals - 1:
+            while store.version() != store.compact():
+                store.vacuum()
     found = store.read()
     name = "shard" if "shard" not in docs.columns else "shard_file"
     if found is None:

@@ -145,16 +145,21 @@ def _scan(batches, marks: Fingerprints, span: int):
             ], names=["doc_id", "n_words", "n_hit", "items"])
 
 
-def _marks(batches, span: int, name: str):
-    """The winnowing fingerprints as rows, for the join; all shorter spans are tiers of their own."""
+def _marks(batches, span: int, name: str, tiers: list[int]):
+    """The winnowing fingerprints of ``tiers`` as rows, for the join, each once a row; items give those of their own tier."""
     for batch in batches:
         for i, j, h, rows in _hashed(batch.column("text")):
             keys = batch.column(name).slice(i, j - i)
-            for n in range(1, span + 1):
-                pos, hashes, row = winnow(h, rows, n)
-                if name == "item_id":
+            for n in tiers:
+                _, hashes, row = winnow(h, rows, n)
+                if name == "item_row":
                     own = np.minimum(np.diff(rows)[row], span) == n
                     hashes, row = hashes[own], row[own]
+                order = np.lexsort((hashes, row))
+                hashes, row = hashes[order], row[order]
+                new = np.ones(len(row), bool)
+                new[1:] = (hashes[1:] != hashes[:-1]) | (row[1:] != row[:-1])
+                hashes, row = hashes[new], row[new]
                 yield pa.RecordBatch.from_arrays([keys.take(pa.array(row)), pa.array(np.full(len(row), n, np.int32)), pa.array(hashes.view(np.int64))], names=[name, "tier", "mark"])
 
 
@@ -177,15 +182,21 @@ def _counted(batches):
 
 
 def _joined(docs: DataFrame, items: DataFrame, span: int) -> DataFrame:
-    """The same result by a join on fingerprints, for a benchmark of any size."""
+    """The same result by a join on fingerprints, for a benchmark of any size.
+
+    Documents give fingerprints of the lengths that occur among the items only, most often one; they meet the items'
+    before anything else is shuffled.
+    """
     id_type = dict(docs.dtypes)["doc_id"]
     keyed = docs.select("doc_id", "text", F.sha2(F.to_json(F.struct("doc_id", "text")), 256).alias("row_key"))
     texts = keyed.select("row_key", "text").where("text IS NOT NULL").dropDuplicates(["row_key"])
     items = items.select("item_id", F.col("text").alias("item_text"), F.monotonically_increasing_id().alias("item_row"))
     items = cut(items, "items")
-    at = items.select(F.col("item_row").alias("item_id"), F.col("item_text").alias("text")).mapInArrow(lambda it: _marks(it, span, "item_id"), "item_id long, tier int, mark long").distinct()
-    spots = texts.mapInArrow(lambda it: _marks(it, span, "row_key"), "row_key string, tier int, mark long").distinct()
-    pairs = cut(spots.join(at.withColumnRenamed("item_id", "item_row"), ["tier", "mark"]).select("row_key", "item_row").distinct(), "candidates")
+    every = list(range(1, span + 1))
+    at = cut(items.select("item_row", F.col("item_text").alias("text")).mapInArrow(lambda it: _marks(it, span, "item_row", every), "item_row long, tier int, mark long"), "marks")
+    present = sorted(r[0] for r in at.select("tier").distinct().collect())
+    spots = texts.mapInArrow(lambda it: _marks(it, span, "row_key", present), "row_key string, tier int, mark long")
+    pairs = cut(spots.join(at, ["tier", "mark"]).select("row_key", "item_row").distinct(), "candidates")
     both = pairs.join(texts, "row_key").join(items, "item_row").select("row_key", "item_id", "text", "item_text")
     runs = cut(both.mapInArrow(lambda it: _extend(it, span), "row_key string, item_id string, starts array<long>, ends array<long>").where("size(starts) > 0"), "runs")
     spans = runs.select("row_key", F.explode(F.arrays_zip("starts", "ends")).alias("x")).select("row_key", F.explode(F.expr("sequence(x.starts, x.ends - 1)")).alias("word"))

@@ -13,7 +13,7 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def _held_out(parts: int, held: int) -> Column:
-    return F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(parts)) == held
+    return F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(parts)) == held, F.lit(False))
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

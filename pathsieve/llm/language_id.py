@@ -115,17 +115,17 @@ def _predict(batches, model: Model):
 
 
 def bounded_sample(rows: DataFrame, label: str, per_label: int, most_labels: int) -> DataFrame:
-    """About ``per_label`` rows of each label (doc_id, label, text), chosen by a hash of doc_id, and their place in hash order.
+    """About ``per_label`` distinct rows of each label, chosen by a hash of all their other columns, and their place in hash order.
 
-    Of labels rarer than the ``most_labels`` most frequent ones, the first row in that order.
+    A label's share of the hash range is ``per_label`` over its rows, so repeated rows can only make the sample smaller. Of labels rarer than the ``most_labels`` most frequent ones, the first row in that order.
     """
     found = rows.groupBy(label).count().orderBy(F.desc("count"), label).limit(most_labels + 1).collect()
     counts = {r[0]: r[1] for r in found[:most_labels]}
-    place = F.pmod(F.xxhash64(F.col("doc_id"), F.lit(11)), F.lit(1 << 30))
+    place = F.pmod(F.xxhash64(*[c for c in rows.columns if c != label], F.lit(11)), F.lit(1 << 30))
     wanted = F.lit(False)
     for value, n in counts.items():
         wanted = wanted | ((F.col(label) == F.lit(value)) & (place < int((1 << 30) * min(1.0, per_label / n))))
-    sample = rows.where(wanted).withColumn("place", place).limit(2 * per_label * max(1, len(counts)))
+    sample = rows.where(wanted).distinct().withColumn("place", place)
     if len(found) <= most_labels:
         return sample
     rare = rows.where(~F.col(label).isin(list(counts))).withColumn("place", place)

@@ -15,13 +15,9 @@ from pathsieve.llm.near_dedup import _bijection
 SHINGLE, PERCENT, MISS = 5, 80, 1e-6
 
 #: Openings and notices of public licenses, by SPDX identifier.
-TEMPLATES = (
-    ("MIT", "Released under the MIT License."),
-    ("MIT", "Licensed under the MIT License."),
+NOTICES = (
     ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions:"),
-    ("Apache-2.0", "Licensed under the Apache License, Version 2.0."),
     ("Apache-2.0", "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at"),
-    ("GPL-3.0", "This work is licensed under the GNU General Public License, version 3."),
     ("GPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version."),
     ("GPL-2.0", "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version."),
     ("LGPL-2.1", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version."),
@@ -31,14 +27,19 @@ TEMPLATES = (
     ("MPL-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0. If a copy of the MPL was not distributed with this file, You can obtain one at"),
     ("Unlicense", "This is free and unencumbered software released into the public domain."),
     ("Zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software."),
-    ("BSL-1.0", "Distributed under the Boost Software License, Version 1.0."),
-    ("CC-BY-NC-4.0", "Licensed under CC BY-NC 4.0."),
-    ("CC-BY-4.0", "Licensed under CC BY 4.0."),
-    ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
-    ("CC-BY-4.0", "This work is licensed under a Creative Commons Attribution 4.0 International License."),
-    ("CC-BY-NC-4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
-    ("CC-BY-SA-4.0", "This work is licensed under a Creative Commons Attribution-ShareAlike 4.0 International License."),
 )
+#: Licenses as short notices name them, and what comes before.
+SHORT = (
+    ("MIT", "the MIT License"), ("Apache-2.0", "the Apache License, Version 2.0"), ("BSD-2-Clause", "the BSD 2-Clause License"), ("BSD-3-Clause", "the BSD 3-Clause License"),
+    ("GPL-2.0", "the GNU General Public License, version 2"), ("GPL-3.0", "the GNU General Public License, version 3"),
+    ("LGPL-2.1", "the GNU Lesser General Public License, version 2.1"), ("LGPL-3.0", "the GNU Lesser General Public License, version 3"),
+    ("AGPL-3.0", "the GNU Affero General Public License, version 3"), ("MPL-2.0", "the Mozilla Public License, version 2.0"), ("BSL-1.0", "the Boost Software License, Version 1.0"),
+    ("CC-BY-4.0", "CC BY 4.0"), ("CC-BY-NC-4.0", "CC BY-NC 4.0"), ("CC-BY-SA-4.0", "CC BY-SA 4.0"),
+    ("CC-BY-4.0", "a Creative Commons Attribution 4.0 International License"), ("CC-BY-NC-4.0", "a Creative Commons Attribution-NonCommercial 4.0 International License"),
+    ("CC-BY-SA-4.0", "a Creative Commons Attribution-ShareAlike 4.0 International License"),
+)
+OPENINGS = ("Released", "Licensed", "Distributed")
+TEMPLATES = (*NOTICES, *((name, f"{opening} under {rest}") for name, rest in SHORT for opening in OPENINGS))
 
 
 class Layer(NamedTuple):
@@ -49,6 +50,7 @@ class Layer(NamedTuple):
     bands: int
     keys: np.ndarray  # (bands, templates) minima
     templates: list[int]
+    seen: np.ndarray  # (bands, 65536) lowest 16 bits of the minima
 
 
 class Plan(NamedTuple):
@@ -56,6 +58,16 @@ class Plan(NamedTuple):
     sets: list[np.ndarray]
     layers: list[Layer]
     percent: int
+    tells: list[list[np.ndarray]]
+
+
+def distinctions(names: list[str], sets: list[np.ndarray], percent: int) -> list[list[np.ndarray]]:
+    """For each template, what it has beyond each other license's template that alone holds ``percent`` of it."""
+    out = []
+    for name, own in zip(names, sets, strict=True):
+        rivals = [x for other, x in zip(names, sets, strict=True) if other != name and 100 * np.isin(own, x).sum() >= percent * len(own)]
+        out.append([np.setdiff1d(own, x) for x in rivals])
+    return out
 
 
 def bands_for(smallest: int, window: int, percent: int, miss: float = MISS) -> int:
@@ -95,8 +107,11 @@ def plan(templates=TEMPLATES, shingle: int = SHINGLE, percent: int = PERCENT) ->
         steps = -(-(longest + step - 1) // step)
         bands = bands_for(smallest, steps * step, percent)
         keys = np.array([[_bijection(_positions(sets[t]) + np.uint32(k)).min() for t in members] for k in range(bands)], np.uint32)
-        layers.append(Layer(step, steps, bands, keys, members))
-    return Plan([name for name, _ in templates], sets, layers, percent)
+        seen = np.zeros((bands, 1 << 16), bool)
+        seen[np.arange(bands)[:, None], keys & np.uint32(0xFFFF)] = True
+        layers.append(Layer(step, steps, bands, keys, members, seen))
+    names = [name for name, _ in templates]
+    return Plan(names, sets, layers, percent, distinctions(names, sets, percent))
 
 
 def scan(h: np.ndarray, rows: np.ndarray, p: Plan) -> list[dict[int, float]]:
@@ -124,8 +139,9 @@ def scan(h: np.ndarray, rows: np.ndarray, p: Plan) -> list[dict[int, float]]:
             for s in range(1, layer.steps):
                 ahead = index + s < last
                 window[ahead] = np.minimum(window[ahead], least[index[ahead] + s])
-            for x, key in enumerate(layer.keys[k]):
-                hits[x].update(np.flatnonzero(window == key).tolist())
+            maybe = np.flatnonzero(layer.seen[k][window & np.uint32(0xFFFF)])
+            for x, key in enumerate(layer.keys[k] if len(maybe) else ()):
+                hits[x].update(maybe[window[maybe] == key].tolist())
     for layer, (starts, _, _, hits) in zip(p.layers, grids, strict=True):
         for template, windows in zip(layer.templates, hits, strict=True):
             own = p.sets[template]
@@ -133,7 +149,7 @@ def scan(h: np.ndarray, rows: np.ndarray, p: Plan) -> list[dict[int, float]]:
                 row = int(np.searchsorted(rows, starts[w], side="right")) - 1
                 part = h[starts[w] : min(starts[w] + layer.step * layer.steps, rows[row + 1])]
                 same = int(np.isin(own, part).sum())
-                if 100 * same >= p.percent * len(own):
+                if 100 * same >= p.percent * len(own) and all(np.isin(t, part).any() for t in p.tells[template]):
                     found[row][template] = max(found[row].get(template, 0.0), same / len(own))
     return found
 
@@ -153,7 +169,8 @@ def license_scan(docs: DataFrame, templates=TEMPLATES, shingle: int = SHINGLE, p
     """Licenses noticed in every row's whole text: doc_id, licenses, templates (numbers in the list), containment (largest).
 
     Words are runs of ASCII digits, letters (lower-cased) and non-ASCII characters. A template counts as found if some window
-    holds ``percent`` of its distinct shingles of ``shingle`` words. Windows start every quarter of
+    holds ``percent`` of its distinct shingles of ``shingle`` words, and, beside each other license's template that holds as much of it by
+    itself, at least one shingle which that one lacks (a version, a name). Windows start every quarter of
     the template group's length from a text's first word and are long enough to hold any place of a template. Single-row bands
     are so many that a window that counts is missed with a probability of at most MISS. Null
     texts, and texts of fewer words than a shingle, have none. The templates are a parameter of bounded size.

@@ -8,7 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.llm import kernels as K
-from pathsieve.loop import cut
+from pathsieve.loop import cut, scratch
 
 GRAM_WORDS, WINDOW_WORDS = 25, 50
 _BLOCK_RUNS = 1 << 14
@@ -150,17 +150,26 @@ def _covered(batches):
         yield pa.RecordBatch.from_arrays([keys, pa.array(np.concatenate(lines), pa.int32())], names=["row_key", "line"])
 
 
-def _keyed() -> Column:
+def _keyed(docs: DataFrame) -> Column:
     """A key whose order is that of the documents: by doc_id, then a hash of the text; equal rows share it.
 
-    Negative ids come first, in the order of their digits; rows without an id come last.
+    Numbers: negative ones come first, in the order of their digits. Other kinds of ids are in the order of their text. Rows
+    without an id come last.
     """
-    return F.concat_ws(":", F.when(F.col("doc_id") < 0, "0").otherwise("1"), F.lpad(F.col("doc_id").cast("string"), 20, "0"), F.xxhash64("text").cast("string"))
+    text = F.xxhash64(docs["text"]).cast("string")
+    if dict(docs.dtypes)["doc_id"] not in ("tinyint", "smallint", "int", "bigint"):
+        return F.concat_ws(":", F.when(docs["doc_id"].isNull(), "1").otherwise("0"), docs["doc_id"].cast("string"), text)
+    return F.concat_ws(":", F.when(docs["doc_id"] < 0, "0").otherwise("1"), F.lpad(docs["doc_id"].cast("string"), 20, "0"), text)
 
 
 def repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window_words: int = WINDOW_WORDS) -> DataFrame:
     """(row_key, lines): the numbers of the lines to delete from each text that has any."""
-    texts = docs.select(_keyed().alias("row_key"), "text").where("text IS NOT NULL")
+    with scratch(docs.sparkSession) as held:
+        return held.keep(_found_lines(docs, gram_words, window_words))
+
+
+def _found_lines(docs: DataFrame, gram_words: int, window_words: int) -> DataFrame:
+    texts = docs.select(_keyed(docs).alias("row_key"), "text").where("text IS NOT NULL")
     kind = "row_key string, h array<long>, n array<int>, number array<int>, place array<int>, mark array<long>"
     table = cut(texts.mapInArrow(lambda it: _lines(it, gram_words, window_words), kind), "lines").dropDuplicates(["row_key"])
     marks = table.select("row_key", F.explode(F.arrays_zip("place", "mark")).alias("x")).select("row_key", "x.place", "x.mark")
@@ -188,7 +197,7 @@ def _repeated_windows(needed: DataFrame, window_words: int) -> DataFrame:
     return spans.join(needed.select("row_key", "number"), "row_key").select("number", "starts", "ends", "row_key").mapInArrow(_covered, "row_key string, line int")
 
 
-def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window_words: int = WINDOW_WORDS) -> DataFrame:
+def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window_words: int = WINDOW_WORDS, emptied: bool = True) -> DataFrame:
     """``docs`` with later repeats of passages of lines deleted from ``text``.
 
     A line is compared by its words, ASCII-lower-cased; lines without a word take no part and
@@ -196,7 +205,7 @@ def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window
     lines with ``window_words`` words that also stands earlier shares a fingerprint with an
     earlier place; matches are extended both ways and deleted if they have ``gram_words`` words
     or more. Shorter repeats (headers, signatures) stay. All columns stay; n_chars, where there is one, is set
-    anew. The gram may have stood first in another text than the rest of the run, so each whole window of a text
+    anew. Without ``emptied``, rows that lost a line and have no word left go. The gram may have stood first in another text than the rest of the run, so each whole window of a text
     with a repeated gram is also looked up by its own hash: every line of a run of ``window_words`` words or more
     that stands earlier goes. Null texts stay null; a text may become empty. Rows equal in doc_id and text are treated alike,
     as one place. The lines' hashes are kept whole for the texts with matches only; a hot passage is
@@ -204,10 +213,12 @@ def without_repeated_lines(docs: DataFrame, gram_words: int = GRAM_WORDS, window
     """
     gone = repeated_lines(docs, gram_words, window_words)
     names = docs.columns
-    carried = docs.select(_keyed().alias("row_key"), F.struct(*[docs[c] for c in names]).alias("row"))
+    carried = docs.select(_keyed(docs).alias("row_key"), F.struct(*[docs[c] for c in names]).alias("row"))
     joined = carried.join(gone.hint("merge"), "row_key", "left")
     cutting = joined.select("row", F.col("lines").alias("gone"), F.when(F.col("lines").isNotNull(), F.split("row.text", "\n", -1)).alias("parts"))
     kept = cutting.select("row", "gone", F.expr("IF(gone IS NULL, row.text, array_join(transform(array_except(sequence(0, size(parts) - 1), gone), i -> parts[i]), '\n'))").alias("text_now"), F.size(F.coalesce("gone", F.array().cast("array<int>"))).alias("n_removed"))
+    if not emptied:
+        kept = kept.where(F.expr(r"gone IS NULL OR text_now RLIKE '[^ \\t-\\r]'"))
     out = {c: F.col(f"row.{c}") for c in names} | {"text": F.col("text_now")}
     if "n_chars" in names:
         out["n_chars"] = F.when(F.col("gone").isNull(), F.col("row.n_chars")).otherwise(F.length("text_now").cast(dict(docs.dtypes)["n_chars"]))

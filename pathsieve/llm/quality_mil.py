@@ -153,9 +153,9 @@ def _encoded(batches):
 def train(docs: DataFrame, labels: DataFrame, usable: Column | None = None) -> Model:
     """Fit on a bounded sample of labelled rows that ``usable`` (of doc_id) allows.
 
-    Tasks encode the whole text of each; the driver gets the passages' encodings, no text.
+    Tasks encode the whole text of each; the driver gets the passages' encodings, no text. Ids whose labels disagree are left out.
     """
-    known = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").select("doc_id", "quality").dropDuplicates(["doc_id"])
+    known = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").groupBy("doc_id").agg(F.min("quality").alias("quality"), F.max("quality").alias("other")).where("quality = other").drop("other")
     known = known.where(usable) if usable is not None else known
     chosen = bounded_sample(known, "quality", SAMPLE_PER_LABEL, 2).select("doc_id", "quality", "place")
     rows = docs.select("doc_id", "text").where("text IS NOT NULL").join(F.broadcast(chosen), "doc_id").select("place", "doc_id", F.col("quality").cast("int").alias("quality"), "text")

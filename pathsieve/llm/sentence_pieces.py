@@ -1,10 +1,12 @@
-"""SentencePiece encoding by forward search over a trie of distinct marked words, and decoding.
+"""SentencePiece encoding by shared-prefix Viterbi search over a trie of distinct marked words, and decoding.
 
-The public model at hand holds BPE pieces. Its encoding of a word is not the best sum of piece scores but the
+Distinct words, marked and sorted, are the paths of a trie that is walked depth-first; the forward states of a prefix are
+computed once and reused by all words that share it. For a unigram model the state of a prefix is its best sum of piece scores and the
+last piece of it. The public model at hand holds BPE pieces. Its encoding of a word is not the best sum of scores but the
 result of ranked merges; still, the last piece of every prefix is unique, and a
 segmentation is the encoding exactly if each two neighbours are the encoding of their own
-concatenation. So the forward pass of the shared-prefix Viterbi search stays: for each prefix it
-keeps the one piece that ends the prefix's encoding, and words that share a prefix share its states.
+concatenation. So there the state is the one piece that ends the prefix's encoding. The kind is read from the model file; kinds
+other than these two, and normalizers that change characters, are refused.
 """
 
 from __future__ import annotations
@@ -23,6 +25,37 @@ MARK = "▁"
 _models: dict[str, "PieceModel"] = {}
 
 
+UNIGRAM, BPE = 1, 2
+#: What an unknown character scores below the least piece.
+UNKNOWN_PENALTY = 10.0
+
+
+def _fields(data: bytes):
+    """(number, value) of the fields of a protocol buffer message; values are numbers or bytes."""
+    at = 0
+
+    def number():
+        nonlocal at
+        value, shift = 0, 0
+        while True:
+            byte = data[at]
+            at += 1
+            value |= (byte & 127) << shift
+            shift += 7
+            if byte < 128:
+                return value
+
+    while at < len(data):
+        tag = number()
+        kind = tag & 7
+        if kind == 0:
+            yield tag >> 3, number()
+        else:
+            size = {1: 8, 5: 4}.get(kind) or number()
+            yield tag >> 3, data[at : at + size]
+            at += size
+
+
 class PieceModel:
     """Pieces of a model file and the forward search."""
 
@@ -30,12 +63,23 @@ class PieceModel:
         import sentencepiece
 
         sp = sentencepiece.SentencePieceProcessor(model_file=path)
+        parts = dict(_fields(sp.serialized_model_proto()))
+        trainer, normalizer = dict(_fields(parts.get(2, b""))), dict(_fields(parts.get(3, b"")))
+        self.kind = trainer.get(3, UNIGRAM)
+        if self.kind not in (UNIGRAM, BPE):
+            raise ValueError("neither a unigram nor a BPE model")
+        if normalizer.get(2) or not normalizer.get(3, 1) or normalizer.get(4, 1) or not normalizer.get(5, 1) or trainer.get(24):
+            raise ValueError("the model changes texts before it encodes them")
         n = sp.get_piece_size()
         self.text = [sp.id_to_piece(i) for i in range(n)]
         plain = [i for i in range(n) if not (sp.is_byte(i) or sp.is_control(i) or sp.is_unknown(i) or sp.is_unused(i))]
         self.vocab = {self.text[i]: i for i in plain}
         self.score = {self.text[i]: sp.get_score(i) for i in plain}
-        self.bytes = [sp.piece_to_id(f"<0x{i:02X}>") for i in range(256)]
+        if any(MARK in p.lstrip(MARK) for p in self.vocab):
+            raise ValueError("pieces reach over words")
+        falls_back = any(sp.is_byte(i) for i in range(n))
+        self.bytes = [sp.piece_to_id(f"<0x{i:02X}>") for i in range(256)] if falls_back else None
+        self.unknown, self.unknown_score = sp.unk_id(), min(self.score.values()) - UNKNOWN_PENALTY
         self.longest = max(map(len, self.vocab))
         self.by_last: dict[str, list[int]] = {}
         for p in self.vocab:
@@ -47,7 +91,7 @@ class PieceModel:
         self.raw_size = np.array([len(r) for r in raw], np.int64)
         self.raw_at = np.cumsum(self.raw_size) - self.raw_size
         self.raw = np.frombuffer(b"".join(raw), np.uint8)
-        self.codes = WordCodes(self.encode_words)
+        self.codes = WordCodes(self.encode_words if self.kind == BPE else self.best_words)
 
     def merged(self, word: str) -> list[str]:
         """Ranked merges of one word, leftmost first among equals."""
@@ -106,15 +150,53 @@ class PieceModel:
                     width = 1
                 last.append(found)
                 size.append(width)
-            i, ids = n, []
-            while i:
-                if last[i] < 0:
-                    ids.extend(self.bytes[c] for c in reversed(word[i - 1].encode()))
-                else:
-                    ids.append(last[i])
-                i -= size[i]
-            ids.reverse()
-            out[x] = ids
+            out[x] = self._read_back(word, last, size)
+            before = word
+        return out
+
+    def _read_back(self, word: str, last: list[int], size: list[int]) -> list[int]:
+        """Ids of a word from the last piece (-1 for none) and its width at each prefix."""
+        i, ids = len(word), []
+        while i:
+            if last[i] >= 0:
+                ids.append(last[i])
+            elif self.bytes is not None:
+                ids.extend(self.bytes[c] for c in reversed(word[i - 1].encode()))
+            elif not ids or ids[-1] != self.unknown:
+                ids.append(self.unknown)
+            i -= size[i]
+        ids.reverse()
+        return ids
+
+    def best_words(self, words: list[bytes]) -> list[list[int]]:
+        """Ids of marked words by the best sum of piece scores, the longer last piece among equal sums.
+
+        The same descent as :meth:`encode_words`; ``best[i]`` is the forward score of the first i characters.
+        """
+        marked = [w.decode().replace(" ", MARK) for w in words]
+        order = sorted(range(len(marked)), key=marked.__getitem__)
+        out: list[list[int]] = [[]] * len(words)
+        best, last, size, before = [0.0], [-1], [0], ""
+        vocab, score, by_last, none = self.vocab, self.score, self.by_last, ()
+        for x in order:
+            word = marked[x]
+            depth, most = 0, min(len(word), len(before))
+            while depth < most and word[depth] == before[depth]:
+                depth += 1
+            del best[depth + 1 :], last[depth + 1 :], size[depth + 1 :]
+            for i in range(depth + 1, len(word) + 1):
+                top, found, wide = -float("inf"), -1, 1
+                for width in by_last.get(word[i - 1], none):
+                    if width <= i and (piece := vocab.get(word[i - width : i])) is not None:
+                        value = best[i - width] + score[self.text[piece]]
+                        if value > top:
+                            top, found, wide = value, piece, width
+                if word[i - 1] not in vocab and best[i - 1] + self.unknown_score > top:
+                    top, found, wide = best[i - 1] + self.unknown_score, -1, 1
+                best.append(top)
+                last.append(found)
+                size.append(wide)
+            out[x] = self._read_back(word, last, size)
             before = word
         return out
 
@@ -187,8 +269,9 @@ def _encode(batches, path: str):
 def encode(docs: DataFrame, path: str) -> DataFrame:
     """Piece ids of every row's whole text: doc_id, ids, n_pieces, round_trip (decoding gives the text back).
 
-    Takes doc_id and text; other columns are not read. Ids equal the sentencepiece library's. Null and empty texts have no
-    ids. Characters that are no piece become byte pieces. One narrow pass: each task encodes the
+    Takes doc_id and text; other columns are not read. Ids equal the sentencepiece library's (of a unigram model, unless two sums of
+    scores agree to seven digits). Null and empty texts have no
+    ids. Characters that are no piece become byte pieces, or the unknown piece where the model has no byte pieces. One narrow pass: each task encodes the
     distinct words of a few MB at a time and keeps a bounded number of words' ids.
     """
     id_type = dict(docs.dtypes)["doc_id"]

@@ -94,16 +94,16 @@ def train_dictionary(samples: list[bytes], size: int = DICTIONARY_BYTES) -> byte
 
 def _write(batches, path: str, end_id: int | None, dictionary: bytes, shard_bytes: int):
     part, number, start = TaskContext.get().partitionId(), 0, 0
-    ids, documents, held, tokens = [], [], 0, 0
+    ids, documents, held, tokens, id_type = [], [], 0, 0, None
 
     def shard():
         return pa.RecordBatch.from_arrays([
             pa.array([part], pa.int32()), pa.array([number], pa.int32()), pa.array([start], pa.int64()), pa.array([tokens], pa.int64()),
-            pa.array([ids], pa.list_(pa.int64())), pa.array([pack(documents, dictionary)], pa.binary()),
+            pa.array([ids], pa.list_(id_type)), pa.array([pack(documents, dictionary)], pa.binary()),
         ], names=["part", "number", "part_start", "n_tokens", "doc_ids", "image"])
 
     for batch in batches:
-        names = batch.column("doc_id").to_pylist()
+        id_type, names = batch.schema.field("doc_id").type, batch.column("doc_id").to_pylist()
         for i, j, flat, rows in encoded(batch.column("text"), path, end_id):
             for k in range(j - i):
                 raw = flat[rows[k] : rows[k + 1]].tobytes()
@@ -125,7 +125,7 @@ def _read(batches, dictionary: bytes):
             rows = [reader.raw(k) for k in range(len(reader))]
             n = np.array([len(r) // 4 for r in rows], np.int64)
             yield pa.RecordBatch.from_arrays([
-                pa.array(names, pa.int64()), pa.array(start + np.cumsum(n) - n), pa.array(n), pa.array([zlib.crc32(r) for r in rows], pa.int64()),
+                pa.array(names, batch.schema.field("doc_ids").type.value_type), pa.array(start + np.cumsum(n) - n), pa.array(n), pa.array([zlib.crc32(r) for r in rows], pa.int64()),
             ], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
 
@@ -145,8 +145,8 @@ def write_shards(docs: DataFrame, tokenizer: str, path: str, end_id: int | None
     short = sample.select("doc_id", F.substring("text", 1, SAMPLE_TOKENS * 4).alias("text")).orderBy("doc_id").toArrow()
     raw = [flat[s:e][:SAMPLE_TOKENS].tobytes() for _, _, flat, rows in encoded(short.column("text"), tokenizer, end_id) for s, e in zip(rows[:-1], rows[1:], strict=True)]
     dictionary = train_dictionary(raw)
-    ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("h")).repartitionByRange("doc_id", "h").sortWithinPartitions("doc_id", "h").drop("h")
-    shards = ordered.mapInArrow(lambda it: _write(it, tokenizer, end_id, dictionary, shard_bytes), "part int, number int, part_start long, n_tokens long, doc_ids array<long>, image binary")
+    ordered = docs.select("doc_id", "text", F.xxhash64("text").alias("h")).repartitionByRange("doc_id", "h").sortWithinPartitions("doc_id", "h").drop("h")
+    shards = ordered.mapInArrow(lambda it: _write(it, tokenizer, end_id, dictionary, shard_bytes), f"part int, number int, part_start long, n_tokens long, doc_ids array<{dict(docs.dtypes)['doc_id']}>, image binary")
     shards.write.option("compression", "none").parquet(f"{path}/shards")
     spark.createDataFrame([(hashlib.sha256(dictionary).hexdigest(), dictionary)], "digest string, dictionary binary").coalesce(1).write.parquet(f"{path}/dictionary")
     return dictionary
@@ -166,7 +166,8 @@ def read_shards(spark, path: str) -> DataFrame:
         at += n
     offsets = spark.createDataFrame(starts, "part int, before long")
     placed = shards.join(F.broadcast(offsets), "part").select((F.col("before") + F.col("part_start")).alias("start"), "doc_ids", "image")
-    return placed.mapInArrow(lambda it: _read(it, dictionary), "doc_id long, start long, n_tokens long, ids_crc32 long")
+    id_type = dict(shards.dtypes)["doc_ids"].removeprefix("array<").removesuffix(">")
+    return placed.mapInArrow(lambda it: _read(it, dictionary), f"doc_id {id_type}, start long, n_tokens long, ids_crc32 long")
 
 
 def token_shards(docs: DataFrame, tokenizer: str, end_id: int = 2) -> DataFrame:
