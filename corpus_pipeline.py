@@ -9,7 +9,7 @@ from pathsieve.llm.line_dedup import without_repeated_lines
 from pathsieve.llm.near_dedup import without_near_duplicates
 from pathsieve.llm.quality_rules import passing
 from pathsieve.llm.sentence_pieces import encode
-from pathsieve.loop import cut
+from pathsieve.loop import cut, scratch
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -18,8 +18,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without later repeats of passages of lines."""
-    return without_repeated_lines(docs).select(*docs.columns)
+    """Texts without later repeats of passages of lines; a document of which nothing is left goes."""
+    return without_repeated_lines(docs, emptied=False).select(*docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,10 +50,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``."""
+    """All stages over ``documents``; what a stage wrote on its way goes once its output is written."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            docs = cut(docs, name)
+        if k == len(STAGES) - 1:
+            return stage(spark, docs, sf_dir)
+        with scratch(spark) as held:
+            docs = held.keep(cut(stage(spark, docs, sf_dir), name))
     return docs
