@@ -110,6 +110,7 @@ class Layers:
         self.paths: list[str] = []
         self.last, path = cut_with_path(first, name)
         self.paths.append(path)
+        self.each = [self.last]
 
     def add(self, df: DataFrame) -> bool:
         """Write a round's rows as the last layer; false, and the layer is left out, where there are none."""
@@ -119,6 +120,7 @@ class Layers:
             return False
         self.last = made
         self.paths.append(path)
+        self.each.append(made)
         return True
 
     @property

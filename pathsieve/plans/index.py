@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
-from pathsieve.loop import cut, cut_counted, cut_with_path, remove
+from pathsieve.loop import Layers, cut, cut_counted, cut_with_path, remove, scratch
 from pathsieve.operators.graph import Graph, condense, levels, scc
 
 
@@ -18,7 +18,7 @@ from pathsieve.operators.graph import Graph, condense, levels, scc
 class IndexConfig:
     """Widths, hashing and grouping.
 
-    ``label_bits`` is 31 or a multiple of 62. ``vertex_hash`` ({vid: bit}) and ``ways`` ({(src, dst): way}) replace the
+    ``label_bits`` is 31 or a multiple of 62. ``mode`` "path" takes a vertex's bit from its place in the first tree, so it needs ``trees``. ``vertex_hash`` ({vid: bit}) and ``ways`` ({(src, dst): way}) replace the
     arithmetic rules in small worked examples.
     """
 
@@ -99,35 +99,49 @@ def _seed(adj: DataFrame, own: DataFrame, cfg: IndexConfig, labels: bool) -> Dat
     return rows.groupBy(F.col("src").alias("vid")).agg(*[F.bit_or(n).alias(n) for n in kept])
 
 
-def outbound_masks(g: Graph, cfg: IndexConfig, labels: bool = True, own: DataFrame | None = None) -> DataFrame:
+def outbound_masks(g: Graph, cfg: IndexConfig, labels: bool = True, own: DataFrame | None = None, adj: DataFrame | None = None, at: DataFrame | None = None) -> DataFrame:
     """(vid, v..., l...): bits of all vertices and labels beyond each vertex that has successors.
 
     ``order``: "fixpoint" (any graph), "levels" (acyclic: one step a level, each edge once), "scc" (masks of the condensed graph,
-    which is acyclic, shared by a component's members).
+    which is acyclic, shared by a component's members). Own bits, adjacency and levels can be given, so that they are made once.
     """
-    adj = cut(adjacency(g, cfg), "adj")
-    own = cut(own_bits(g.vertices(), cfg) if own is None else own, "own")
+    adj = cut(adjacency(g, cfg), "adj") if adj is None else adj
+    own = cut(own_bits(g.vertices(), cfg, _placed(g, cfg)), "own") if own is None else own
     names = cfg.vw + (cfg.lw if labels else [])
     if cfg.order == "fixpoint":
         return _fixpoint(adj, own, names, _seed(adj, own, cfg, labels))
     if cfg.order == "levels":
-        at = cut(levels(g), "levels")
-        if not g.vertices().join(at, "vid", "left_anti").isEmpty():
-            raise ValueError("order levels needs an acyclic graph")
-        seed = cut(_seed(adj, own, cfg, labels), "seed")
-        top = at.agg(F.max("level")).first()[0] or 0
-        done = seed.limit(0)
-        for level in range(1, top + 1):
-            here = at.where(f"level = {level}").select("vid")
-            below = adj.join(here.withColumnRenamed("vid", "src"), "src", "left_semi").select("src", "dst").join(done.withColumnRenamed("vid", "dst"), "dst").groupBy(F.col("src").alias("vid")).agg(*[F.bit_or(n).alias("n_" + n) for n in names])
-            now = seed.join(here, "vid").join(below, "vid", "left").select("vid", *[F.col(n).bitwiseOR(F.coalesce("n_" + n, F.lit(0).cast("long"))).alias(n) for n in names])
-            done = done.unionByName(cut(now, "level"))
-        return done
+        return _by_levels(adj, own, names, _seed(adj, own, cfg, labels), graph_levels(g) if at is None else at)
     if cfg.order == "scc":
         return _by_components(g, cfg, adj, own, names)
     raise ValueError(f"unknown order {cfg.order}")
 
 
+def _placed(g: Graph, cfg: IndexConfig) -> DataFrame | None:
+    """The intervals, where own bits come from them."""
+    return cut(tree_intervals(g, 1), "interval") if cfg.mode == "path" else None
+
+
+def graph_levels(g: Graph) -> DataFrame:
+    """The levels of an acyclic graph."""
+    at = cut(levels(g), "levels")
+    if not g.vertices().join(at, "vid", "left_anti").isEmpty():
+        raise ValueError("order levels needs an acyclic graph")
+    return at
+
+
+def _by_levels(adj: DataFrame, own: DataFrame, names: list[str], seed: DataFrame, at: DataFrame, falling: bool = False) -> DataFrame:
+    """Masks level by level, each made from finished ones; ``falling`` starts with the highest level, for predecessors."""
+    seed = cut(seed.join(at, "vid"), "seed")
+    steps = cut(adj.select("src", "dst").join(at.withColumnRenamed("vid", "src"), "src"), "steps")
+    top = at.agg(F.max("level")).first()[0] or 0
+    done = Layers(seed.limit(0).drop("level"), "level")
+    for level in range(top, -1, -1) if falling else range(top + 1):
+        below = steps.where(f"level = {level}").join(done.all.withColumnRenamed("vid", "dst"), "dst").groupBy(F.col("src").alias("vid")).agg(*[F.bit_or(n).alias("n_" + n) for n in names])
+        done.add(seed.where(f"level = {level}").join(below, "vid", "left").select("vid", *[F.col(n).bitwiseOR(F.coalesce("n_" + n, F.lit(0).cast("long"))).alias(n) for n in names]))
+    return done.all
+
+
 def _by_components(g: Graph, cfg: IndexConfig, adj: DataFrame, own: DataFrame, names: list[str]) -> DataFrame:
     c = cut(scc(g), "scc")
     s, d = c.select(F.col("vid").alias("src"), F.col("scc").alias("s")), c.select(F.col("vid").alias("dst"), F.col("scc").alias("d"))
@@ -145,7 +159,7 @@ def extend_masks(state: DataFrame, g: Graph, added: DataFrame, cfg: IndexConfig)
     their numbers: new ones come last.
     """
     adj = cut(adjacency(g, cfg), "adj")
-    own = cut(own_bits(g.vertices(), cfg), "own")
+    own = cut(own_bits(g.vertices(), cfg, _placed(g, cfg)), "own")
     names = cfg.vw + cfg.lw
     touched = added.select(F.col("src").alias("vid")).distinct()
     seed = _seed(adj.join(touched.withColumnRenamed("vid", "src"), "src", "left_semi"), own, cfg, labels=True)
@@ -154,9 +168,19 @@ def extend_masks(state: DataFrame, g: Graph, added: DataFrame, cfg: IndexConfig)
     return _fixpoint(adj, own, names, merged, merged.join(touched, "vid", "left_semi"))
 
 
-def inbound_masks(g: Graph, cfg: IndexConfig) -> DataFrame:
+def inbound_masks(g: Graph, cfg: IndexConfig, own: DataFrame | None = None, adj: DataFrame | None = None, at: DataFrame | None = None) -> DataFrame:
     """(vid, i...): bits of the vertices that reach each vertex; vertices without a predecessor have no row."""
-    out = outbound_masks(g.reverse(), cfg, labels=False)
+    own = cut(own_bits(g.vertices(), cfg, _placed(g, cfg)), "own") if own is None else own
+    if cfg.order == "scc":
+        out = outbound_masks(g.reverse(), cfg, labels=False, own=own)
+    else:
+        adj = cut(g.edges.select("src", "dst").distinct(), "pairs") if adj is None else adj
+        back = adj.select(F.col("dst").alias("src"), F.col("src").alias("dst"))
+        seed = _seed(back, own, cfg, labels=False)
+        if cfg.order == "levels":
+            out = _by_levels(back, own, cfg.vw, seed, graph_levels(g) if at is None else at, falling=True)
+        else:
+            out = _fixpoint(back, own, cfg.vw, seed)
     return out.select("vid", *[F.col(n).alias("i" + n[1:]) for n in cfg.vw])
 
 
@@ -190,9 +214,9 @@ def way_count(degree: Column, cfg: IndexConfig) -> Column:
     return F.greatest(F.least(raw, F.lit(cfg.max_ways), degree), F.lit(1)).cast("int")
 
 
-def wide_index(g: Graph, cfg: IndexConfig, ways: DataFrame, out: DataFrame, own: DataFrame) -> DataFrame:
+def wide_index(g: Graph, cfg: IndexConfig, ways: DataFrame, out: DataFrame, own: DataFrame, adj: DataFrame | None = None) -> DataFrame:
     """(vid, way, v..., l...): bits beyond each way."""
-    adj = adjacency(g, cfg)
+    adj = adjacency(g, cfg) if adj is None else adj
     zero = F.lit(0).cast("long")
     child = out.select(F.col("vid").alias("dst"), *[F.col(n).alias("o_" + n) for n in cfg.vw + cfg.lw])
     mine = own.select(F.col("vid").alias("dst"), *[F.col(n).alias("w_" + n) for n in cfg.vw])
@@ -206,12 +230,12 @@ def wide_index(g: Graph, cfg: IndexConfig, ways: DataFrame, out: DataFrame, own:
     return merged.join(own.select("vid", *[F.col(n).alias("s_" + n) for n in cfg.vw]), "vid").select("vid", "way", *[F.col(n).bitwiseOR(F.col("s_" + n)).alias(n) for n in cfg.vw], *cfg.lw)
 
 
-def near_index(g: Graph, cfg: IndexConfig, ways: DataFrame, own: DataFrame) -> DataFrame:
+def near_index(g: Graph, cfg: IndexConfig, ways: DataFrame, own: DataFrame, adj: DataFrame | None = None) -> DataFrame:
     """(vid, way, hop, v..., l...): vertices and labels exactly ``hop`` edges away through each way, hops 1 to k.
 
     Each layer is the children's layer before, merged over all their ways; a missing layer is empty.
     """
-    adj = cut(adjacency(g, cfg).join(ways, ["src", "dst"]), "ways")
+    adj = cut((adjacency(g, cfg) if adj is None else adj).join(ways, ["src", "dst"]), "ways")
     names = cfg.vw + cfg.lw
     first = adj.join(own.withColumnRenamed("vid", "dst"), "dst").groupBy(F.col("src").alias("vid"), "way").agg(*[F.bit_or(n).alias(n) for n in names])
     layers = [cut(first.withColumn("hop", F.lit(1)), "layer")] if cfg.k else []
@@ -239,17 +263,14 @@ def tree_intervals(g: Graph, trees: int = 1, seed: int = 0) -> DataFrame:
         starts = cut(g.vertices().join(targets, "vid", "left_anti"), "roots")
         if starts.isEmpty():
             starts = g.vertices().agg(F.min("vid").alias("vid")).where("vid IS NOT NULL")
-        level = cut(starts.select("vid", F.col("vid").alias("root"), F.lit(None).cast("long").alias("parent")), "forest")
-        forest, done = [level], level
+        forest = Layers(starts.select("vid", F.col("vid").alias("root"), F.lit(None).cast("long").alias("parent")), "forest")
         while True:
-            step = pairs.join(level.select(F.col("vid").alias("src"), "root"), "src").join(done.select(F.col("vid").alias("dst")), "dst", "left_anti")
-            level = cut(step.groupBy(F.col("dst").alias("vid")).agg(F.min_by(F.struct("src", "root"), F.struct(mix, "src")).alias("x")).select("vid", "x.root", F.col("x.src").alias("parent")), "forest")
-            if level.isEmpty():
+            step = pairs.join(forest.last.select(F.col("vid").alias("src"), "root"), "src").join(forest.all.select(F.col("vid").alias("dst")), "dst", "left_anti")
+            best = step.groupBy(F.col("dst").alias("vid")).agg(F.min_by(F.struct("src", "root"), F.struct(mix, "src")).alias("x"))
+            if not forest.add(best.select("vid", "x.root", F.col("x.src").alias("parent"))):
                 break
-            forest.append(level)
-            done = done.unionByName(level)
         sized, size_of = [], None
-        for level in reversed(forest):
+        for level in reversed(forest.each):
             here = level.withColumn("own", F.lit(1).cast("long"))
             if size_of is not None:
                 sums = size_of.groupBy(F.col("parent").alias("vid")).agg(F.sum("size").alias("below"))
@@ -259,14 +280,13 @@ def tree_intervals(g: Graph, trees: int = 1, seed: int = 0) -> DataFrame:
             size_of = cut(here.select("vid", "root", "parent", (F.col("own") + F.coalesce("below", F.lit(0))).alias("size")), "sizes")
             sized.append(size_of)
         sized.reverse()
-        placed = cut(sized[0].select("vid", "root", F.lit(0).cast("long").alias("enter"), "size"), "places")
-        parts = [placed]
+        placed = Layers(sized[0].select("vid", "root", F.lit(0).cast("long").alias("enter"), "size"), "places")
         for level in sized[1:]:
             w = Window.partitionBy("parent").orderBy("vid").rowsBetween(Window.unboundedPreceding, -1)
             ranked = level.withColumn("before", F.coalesce(F.sum("size").over(w), F.lit(0)))
-            placed = cut(ranked.join(placed.select(F.col("vid").alias("parent"), F.col("enter").alias("up")), "parent").select("vid", "root", (F.col("up") + 1 + F.col("before")).alias("enter"), "size"), "places")
-            parts.append(placed)
-        every = reduce(DataFrame.unionByName, parts)
+            up = placed.last.select(F.col("vid").alias("parent"), F.col("enter").alias("up"))
+            placed.add(ranked.join(up, "parent").select("vid", "root", (F.col("up") + 1 + F.col("before")).alias("enter"), "size"))
+        every = placed.all
         alone = g.vertices().join(every, "vid", "left_anti").select("vid", F.col("vid").alias("root"), F.lit(0).cast("long").alias("enter"), F.lit(1).cast("long").alias("size"))
         made = cut(every.unionByName(alone).select("vid", F.lit(tree).alias("tree"), "root", "enter", (F.col("enter") + F.col("size") - 1).alias("leave")), "intervals")
         out = made if out is None else out.unionByName(made)
@@ -355,13 +375,18 @@ class TwoAxisIndex:
 
 
 def build_index(g: Graph, cfg: IndexConfig | None = None) -> TwoAxisIndex:
-    """Build every table once, on shared storage."""
+    """Build every table once, on shared storage; adjacency, own bits and levels are shared by all steps."""
     cfg = cfg or IndexConfig()
-    interval = cut(tree_intervals(g, cfg.trees), "interval") if cfg.trees else g.vertices().limit(0).select("vid", F.lit(0).alias("tree"), F.col("vid").alias("root"), F.col("vid").alias("enter"), F.col("vid").alias("leave"))
-    own = cut(own_bits(g.vertices(), cfg, interval), "own")
-    out = cut(outbound_masks(g, cfg, own=own), "out")
-    ways = cut(assign_ways(g, cfg, out), "ways")
-    wide = cut(wide_index(g, cfg, ways, out, own), "wide")
-    near = cut(near_index(g, cfg, ways, own), "near")
+    with scratch(g.edges.sparkSession) as held:
+        none = g.vertices().limit(0).select("vid", F.lit(0).alias("tree"), F.col("vid").alias("root"), F.col("vid").alias("enter"), F.col("vid").alias("leave"))
+        interval = held.keep(cut(tree_intervals(g, cfg.trees) if cfg.trees else none, "interval"))
+        adj = cut(adjacency(g, cfg), "adj")
+        own = held.keep(cut(own_bits(g.vertices(), cfg, interval if cfg.trees else None), "own"))
+        at = graph_levels(g) if cfg.order == "levels" else None
+        out = held.keep(cut(outbound_masks(g, cfg, own=own, adj=adj, at=at), "out"))
+        ways = held.keep(cut(assign_ways(g, cfg, out), "ways"))
+        wide = held.keep(cut(wide_index(g, cfg, ways, out, own, adj), "wide"))
+        near = held.keep(cut(near_index(g, cfg, ways, own, adj), "near"))
+        inbound = held.keep(cut(inbound_masks(g, cfg, own, adj, at), "inbound"))
     exact = (g.labels.agg(F.count("*")).first()[0] or 0) <= cfg.label_bits
-    return TwoAxisIndex(cfg, own, ways, wide, near, out, inbound_masks(g, cfg), interval, exact)
+    return TwoAxisIndex(cfg, own, ways, wide, near, out, inbound, interval, exact)

@@ -8,7 +8,7 @@ states that can't reach an answer, so answers are the same with and without them
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from functools import reduce
 
 import pyarrow as pa
@@ -19,6 +19,7 @@ from pathsieve.functions import masks as M
 from pathsieve.functions import patterns as P
 from pathsieve.loop import Layers, cut
 from pathsieve.operators.graph import Graph
+from pathsieve.plans import point
 from pathsieve.plans.index import TwoAxisIndex
 
 RULES = ("way_vertex", "way_required", "way_forbidden", "inbound", "horizon", "certificate")
@@ -26,11 +27,16 @@ RULES = ("way_vertex", "way_required", "way_forbidden", "inbound", "horizon", "c
 
 @dataclass(frozen=True)
 class SearchConfig:
-    """``rules`` are the filters to use; ``mode`` "clauses" or "mask" (no normal form, formula tested at the target)."""
+    """``rules`` are the filters to use; ``mode`` "clauses" or "mask" (no normal form, formula tested at the target).
+
+    ``place``: "rounds" moves states between tasks, for graphs of any size; "tasks" holds the graph in every task and is
+    refused beyond :data:`pathsieve.plans.point.MOST_EDGES`; "auto" takes the latter where the graph is within that bound.
+    """
 
     rules: tuple[str, ...] = RULES
     empty_path: bool = True
     mode: str = "clauses"
+    place: str = "auto"
     max_clauses: int = 64
     dominance: bool = False
     trace: bool = False
@@ -43,7 +49,12 @@ def _clause_rows(batches, alphabet: list[str], words: int, max_clauses: int):
         rows = []
         for text in batch.column("pattern").to_pylist():
             formula = P.simplify(P.parse_pattern(text, alphabet), lid)
-            for k, c in enumerate(P.to_dnf(formula, max_clauses)):
+            try:
+                clauses = P.to_dnf(formula, max_clauses)
+            except P.TooManyClauses:
+                rows.append((text, -1, *[0] * (2 * words)))
+                continue
+            for k, c in enumerate(clauses):
                 rows.append((text, k, *M.to_words([lid[x] for x in c.req], words), *M.to_words([lid[x] for x in c.forb], words)))
         columns = list(zip(*rows, strict=True)) if rows else [[] for _ in range(2 + 2 * words)]
         kinds = [pa.string(), pa.int32()] + [pa.int64()] * (2 * words)
@@ -51,7 +62,10 @@ def _clause_rows(batches, alphabet: list[str], words: int, max_clauses: int):
 
 
 def compile_queries(queries: DataFrame, alphabet: list[str], max_clauses: int = 64) -> DataFrame:
-    """(qid, clause, src, dst, r..., f...): one row for each clause; a contradiction has none. Distinct patterns are parsed once, in tasks."""
+    """(qid, clause, src, dst, r..., f...): one row for each clause; a contradiction has none. Distinct patterns are parsed once, in tasks.
+
+    A pattern of more than ``max_clauses`` has one row, with clause -1.
+    """
     words = M.n_words(len(alphabet))
     kind = "pattern string, clause int, " + ", ".join(f"{n} long" for n in M.names("r", words) + M.names("f", words))
     clauses = queries.select("pattern").distinct().mapInArrow(lambda it: _clause_rows(it, alphabet, words, max_clauses), kind)
@@ -170,7 +184,7 @@ class _Run:
         """Hits (qid, hop) and all visited states with their round."""
         if self.index is not None:
             clauses = _target_columns(clauses, self.index)
-        clauses = cut(clauses, "clauses")
+        clauses = cut(clauses.where("clause >= 0"), "clauses")
         start = clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(x) for x in M.names("s", self.words)])
         states = Layers(start.select("*", F.lit(False).alias("hit"), F.lit(0).alias("hop")), "states")
         hits, answered, hop = [], None, 0
@@ -226,13 +240,28 @@ def answer(g: Graph, queries: DataFrame, index: TwoAxisIndex | None = None, cfg:
     """(qid, answer) of pattern queries (qid, src, dst, pattern); walks may repeat vertices and edges.
 
     Unknown vertices and labels are simply absent. A query with src = dst also has the empty path, which has no label.
+    Patterns with too many clauses are answered by their formula. ``index`` may be tables or arrays
+    (:func:`pathsieve.plans.point.build`).
     """
     cfg = cfg or SearchConfig()
+    if cfg.place != "rounds" and cfg.mode == "clauses" and not cfg.dominance and cfg.max_rounds is None:
+        try:
+            held = point.prepared(g, index)
+        except point.TooLarge:
+            if cfg.place == "tasks":
+                raise
+        else:
+            return point.answer(g, held, queries, cfg.rules, cfg.empty_path, cfg.max_clauses)
     alphabet = g.alphabet()
     if cfg.mode == "mask":
         return _answer_by_mask(g, queries, cfg, alphabet)
+    clauses = cut(compile_queries(queries, alphabet, cfg.max_clauses), "clauses")
+    many = clauses.where("clause < 0").select("qid")
+    if not many.isEmpty():
+        plain, formulas = queries.join(many, "qid", "left_anti"), queries.join(many, "qid", "left_semi")
+        return answer(g, plain, index, replace(cfg, place="rounds")).unionByName(_answer_by_mask(g, formulas, cfg, alphabet))
     run = _Run(g, index, cfg)
-    hits, _ = run.run(compile_queries(queries, alphabet, cfg.max_clauses))
+    hits, _ = run.run(clauses)
     return queries.select("qid").distinct().join(hits.select("qid", F.lit(True).alias("hit")), "qid", "left").select("qid", F.coalesce("hit", F.lit(False)).alias("answer"))
 
 
