@@ -26,16 +26,24 @@ def tables(spark: SparkSession, sf_dir: str) -> dict:
     from pathsieve.plans import experiments as X
 
     ops = {op.lower(): (lambda op=op: X.table_queries(spark, sf_dir, op)) for op in ("ALL", "ANY", "NONE", "MIXED")}
+
+    def trends(swept):
+        """The sweep's rows, then slope and correlation of each metric."""
+        shown = X.check_trends(swept).selectExpr("'trend' AS graph", "method", "x AS config", "metric", "corr AS value", "slope")
+        return swept.unionByName(shown, allowMissingColumns=True)
+
     n = spark.read.parquet(f"{sf_dir}/customer.parquet").count() + spark.read.parquet(f"{sf_dir}/part.parquet").count()
     return ops | {
         "graphs": lambda: X.table_graphs(spark, sf_dir), "index": lambda: X.table_index(spark, sf_dir), "allowed": lambda: X.table_allowed(spark, sf_dir),
-        "uniform": lambda: X.sweep(spark, "uniform", n), "preferential": lambda: X.sweep(spark, "preferential", n), "ablation": lambda: X.ablation(spark, sf_dir),
+        "uniform": lambda: trends(X.sweep(spark, "uniform", n)), "preferential": lambda: trends(X.sweep(spark, "preferential", n)), "ablation": lambda: X.ablation(spark, sf_dir),
         "acyclic": lambda: X.acyclic(spark, sf_dir), "labels": lambda: X.many_labels(spark, sf_dir),
     }
 
 
 def headline(spark: SparkSession, sf_dir: str) -> dict[str, float]:
-    from pathsieve.plans import baselines as B
+    """2,000 pairs a set, with the index and without, on arrays (graphs within the bound); then the same index and search in rounds."""
+    from pathsieve.loop import cut
+    from pathsieve.plans import point
     from pathsieve.plans import search as A
     from pathsieve.plans import workload as W
     from pathsieve.plans.experiments import load
@@ -49,17 +57,26 @@ def headline(spark: SparkSession, sf_dir: str) -> dict[str, float]:
         seconds[name] = round(time.time() - t, 3)
         return out
 
+    rounds = A.SearchConfig(place="rounds")
     for name, cfg, patterns in (
         ("page_links", IndexConfig(), {"and": 'ALL{"nav:en","title:en"}', "or": 'ANY{"nav:de","title:de"}', "not": 'NONE{"nav:en"}'}),
         ("supply_star", IndexConfig(order="levels"), {"and": 'ALL{"1-URGENT","R"}', "or": 'ANY{"supplies","A"}', "not": 'NONE{"BUILDING","MACHINERY"}'}),
     ):
         g = clock(f"load_{name}", lambda name=name: load(spark, sf_dir, name))
-        ix = clock(f"build_{name}", lambda g=g, cfg=cfg: build_index(g, cfg))
-        pairs = W.sample_pairs(g, 2000)
+        arrays = clock(f"arrays_{name}", lambda g=g: point.load(g))
+        ix = clock(f"build_{name}", lambda g=g, cfg=cfg, a=arrays: point.build(g, cfg, graph=a))
+        pairs = cut(W.sample_pairs(g, 1000).unionByName(W.walk_pairs(g, 1000, 1000)), "asked")
+        ask = lambda text: pairs.selectExpr("*", "'" + text.replace("'", "''") + "' AS pattern")
+        for p in (ix, arrays):
+            point.answer(g, p, ask("TRUE").limit(1)).collect()
         for kind, text in patterns.items():
-            q = pairs.selectExpr("*", "'" + text.replace("'", "''") + "' AS pattern")
-            clock(f"{kind}_{name}_index", lambda g=g, q=q, ix=ix: A.answer(g, q, ix).where("answer").count())
-            clock(f"{kind}_{name}_plain", lambda g=g, q=q: B.plain(g, q).where("answer").count())
+            found = [clock(f"{kind}_{name}_{how}", lambda g=g, q=ask(text), p=p: point.answer(g, p, q).where("answer").count()) for how, p in (("index", ix), ("plain", arrays))]
+            if found[0] != found[1]:
+                raise AssertionError(f"{kind} on {name}: {found}")
+        tables = clock(f"build_rounds_{name}", lambda g=g, cfg=cfg: build_index(g, cfg))
+        q = ask(patterns["and"])
+        clock(f"and_rounds_{name}_index", lambda g=g, q=q, t=tables: A.answer(g, q, t, rounds).where("answer").count())
+        clock(f"and_rounds_{name}_plain", lambda g=g, q=q: A.answer(g, q, None, rounds).where("answer").count())
     return seconds
 
 

@@ -10,17 +10,21 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from pathsieve.functions import masks as M
+from pathsieve.loop import cut
 from pathsieve.operators.graph import Graph, graph_stats, is_acyclic
 from pathsieve.plans import baselines as B
 from pathsieve.plans import measures as S
+from pathsieve.plans import point
 from pathsieve.plans import search as A
 from pathsieve.plans import workload as W
 from pathsieve.plans.index import IndexConfig, build_index
 from pathsieve.sources import graphs as T
 
 OURS, PLAIN = "two-axis", "plain"
+COVERS = {"full 2-hop": {}, "reduced 2-hop": {"reduce_degree_one": True, "unreachable_filter": True}}
 #: Graphs of the tables in order, with uniform labels where the paper's stand-ins have them.
-TABLE_GRAPHS = {"page_links": None, "talk_flow": None, "order_relay": None, "order_relay_16": 16, "supply_star": None, "event_flow": None, "part_chain": None, "part_chain_32": 32, "event_many": None}
+TABLE_GRAPHS = {"page_links": None, "talk_flow": None, "order_relay": None, "order_relay_16": 16, "doc_thread": None, "supply_star": None, "event_flow": None, "part_chain": None, "part_chain_32": 32, "event_many": None}
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> Graph:
@@ -48,9 +52,10 @@ def table_index(spark: SparkSession, sf_dir: str, names=TABLE_GRAPHS, cap: float
     out = []
     for name in names:
         g = load(spark, sf_dir, name)
-        ix, row = S.index_time(spark, name, OURS, "-", lambda g=g: build_index(g, cfg))
+        arrays = point.load(g)
+        ix, row = S.index_time(spark, name, OURS, "-", lambda g=g, a=arrays: point.build(g, cfg, graph=a))
         out += [row, S.rows(spark, name, OURS, "-", index_mb=S.index_space(ix))]
-        for method, options in (("full 2-hop", {}), ("reduced 2-hop", {"reduce_degree_one": True, "unreachable_filter": True})):
+        for method, options in COVERS.items():
             (status, made), row = S.index_time(spark, name, method, "-", lambda g=g, o=options: S.capped(spark, lambda: B.two_hop_build(g, **o, most_rows=50_000_000), cap))
             out.append(S.rows(spark, name, method, "-", failed=0 if status == "ok" else 1))
             if status == "ok":
@@ -58,55 +63,71 @@ def table_index(spark: SparkSession, sf_dir: str, names=TABLE_GRAPHS, cap: float
     return _union(out)
 
 
-def table_queries(spark: SparkSession, sf_dir: str, op: str, names=TABLE_GRAPHS, n: int = 100, n_labels: int | str = 2, cfg: IndexConfig | None = None) -> DataFrame:
-    """Times of true and false sets of an operator (ALL, ANY, NONE, MIXED), with and without the index."""
+def labels_asked(g: Graph) -> int:
+    """Labels in a query: two on the dense graphs, four elsewhere."""
+    edges, vertices = g.edges.count(), g.vertices().count()
+    return 2 if edges > 40 * vertices else 4
+
+
+def table_queries(spark: SparkSession, sf_dir: str, op: str, names=TABLE_GRAPHS, n: int = 2000, n_labels: int | str | None = None, cfg: IndexConfig | None = None) -> DataFrame:
+    """Times of ``n`` true and ``n`` false queries of an operator (ALL, ANY, NONE, MIXED), with and without the index.
+
+    Where a kind can't be found in that number (a dense graph has hardly a false ANY), true_n and false_n tell how many there were.
+    """
     out = []
     for name in names:
         g = load(spark, sf_dir, name)
-        q = W.make_queries(g, op, n, n, n_labels)
-        ix = build_index(g, cfg)
-        out.append(S.query_time(spark, name, OURS, op, lambda x, g=g, ix=ix: A.answer(g, x, ix), q))
-        out.append(S.query_time(spark, name, PLAIN, op, lambda x, g=g: B.plain(g, x), q))
+        arrays = point.load(g)
+        ix = point.build(g, cfg, graph=arrays)
+        q = W.make_queries(g, op, n, n, n_labels or labels_asked(g), short=True)
+        out.append(S.query_time(spark, name, OURS, op, lambda x, g=g, ix=ix: point.answer(g, ix, x), q))
+        out.append(S.query_time(spark, name, PLAIN, op, lambda x, g=g, a=arrays: point.answer(g, a, x), q))
+        work = {m: {r["measure"]: r["n"] for r in point.effort(g, p, q).collect()} for m, p in ((OURS, ix), (PLAIN, arrays))}
+        out += [S.rows(spark, name, m, op, **{f"effort_{k}": v for k, v in w.items()}) for m, w in work.items()]
     return _union(out)
 
 
-def table_allowed(spark: SparkSession, sf_dir: str, names=("page_links", "talk_flow", "order_relay"), n: int = 100, cap: float = 60) -> DataFrame:
-    """Times of allowed-set queries: ours, an edge filter, and both two-hop covers where they can be built."""
+def table_allowed(spark: SparkSession, sf_dir: str, names=TABLE_GRAPHS, n: int = 2000, cap: float = 60) -> DataFrame:
+    """Times of ``n`` true and ``n`` false allowed-set queries: ours, an edge filter, and both two-hop covers where they can be built."""
     out = []
     for name in names:
         g = load(spark, sf_dir, name)
-        alphabet = g.alphabet()
-        pairs = W.sample_pairs(g, 2 * n)
-        half = max(1, len(alphabet) // 2)
-        q = pairs.withColumn("allowed", F.slice(F.array(*map(F.lit, alphabet * 2)), (F.col("qid") % len(alphabet) + 1).cast("int"), half))
-        truth = B.allowed_search(g, q)
-        q = q.join(truth.withColumnRenamed("answer", "truth"), "qid")
-        ix = build_index(g)
-        out.append(S.query_time(spark, name, OURS, "ONLY", lambda x, g=g, ix=ix: A.answer_allowed(g, x, ix), q))
-        out.append(S.query_time(spark, name, "edge filter", "ONLY", lambda x, g=g: B.allowed_search(g, x), q))
-        for method, options in (("full 2-hop", {}), ("reduced 2-hop", {"reduce_degree_one": True, "unreachable_filter": True})):
-            status, made = S.capped(spark, lambda g=g, o=options: B.two_hop_build(g, **o), cap)
-            if status == "ok":
-                out.append(S.query_time(spark, name, method, "ONLY", lambda x, g=g, m=made: B.two_hop_answer(g, m, x), q))
+        arrays = point.load(g)
+        ix = point.build(g, graph=arrays)
+        q = W.make_queries(g, "ONLY", n, n, "half", short=True)
+        sets = q.withColumn("allowed", F.split(F.regexp_replace("pattern", r'^ONLY\{"|"\}$', ""), '","'))
+        out.append(S.query_time(spark, name, OURS, "ONLY", lambda x, g=g, ix=ix: A.answer_allowed(g, x, ix), sets))
+        out.append(S.query_time(spark, name, PLAIN, "ONLY", lambda x, g=g, a=arrays: A.answer_allowed(g, x, a), sets))
+        if g.labels.count() <= M.WORD:
+            for method, options in COVERS.items():
+                status, made = S.capped(spark, lambda g=g, o=options: B.two_hop_build(g, **o), cap)
+                if status == "ok":
+                    out.append(S.query_time(spark, name, method, "ONLY", lambda x, g=g, m=made: B.two_hop_answer(g, m, x), sets))
+                else:
+                    out.append(S.rows(spark, name, method, "ONLY", failed=1))
     return _union(out)
 
 
-def sweep(spark: SparkSession, kind: str, n: int, degrees=(2, 4, 6, 8), labels=(8, 16, 32, 64), queries: int = 50, ops=("ALL", "ANY", "NONE")) -> DataFrame:
-    """Build time, size and mean query times over generated graphs; config is "D=..,Z=..", also as columns degree and n_labels."""
+def sweep(spark: SparkSession, kind: str, n: int, degrees=(2, 4, 6, 8), labels=(8, 16, 32, 64), queries: int = 2000, ops=("ALL", "ANY", "NONE"), cfg: IndexConfig | None = None) -> DataFrame:
+    """Build time, size and mean query times over generated graphs; config is "D=..,Z=..", also as columns degree and n_labels.
+
+    Label masks have 62 bits unless ``cfg`` says otherwise, so 64 labels share bits, as in the reference's runs some labels do.
+    """
     make = {"uniform": T.uniform_graph, "preferential": T.preferential_graph}[kind]
     out = []
     for d in degrees:
         for z in labels:
             g = make(spark, n, d, z).stored()
             label = f"D={d},Z={z}"
-            ix, row = S.index_time(spark, kind, OURS, label, lambda g=g: build_index(g))
+            arrays = point.load(g)
+            ix, row = S.index_time(spark, kind, OURS, label, lambda g=g, a=arrays: point.build(g, cfg, graph=a))
             parts = [row, S.rows(spark, kind, OURS, label, index_mb=S.index_space(ix))]
             for op in ops:
-                q = W.make_queries(g, op, queries, queries, 2, most_tries=2)
-                got = S.query_time(spark, kind, OURS, label, lambda x, g=g, ix=ix: A.answer(g, x, ix), q)
+                q = W.make_queries(g, op, queries, queries, 2, most_tries=4, short=True, solve=lambda x, g=g, ix=ix: point.answer(g, ix, x))
+                got = S.query_time(spark, kind, OURS, label, lambda x, g=g, ix=ix: point.answer(g, ix, x), q)
                 parts.append(got.withColumn("metric", F.concat(F.lit(op + "_"), F.col("metric"))))
             out.append(_union(parts).withColumn("degree", F.lit(d)).withColumn("n_labels", F.lit(z)))
-    return _union(out)
+    return cut(_union(out), "sweep")
 
 
 def check_trends(results: DataFrame) -> DataFrame:
@@ -115,29 +136,36 @@ def check_trends(results: DataFrame) -> DataFrame:
     return _union(parts)
 
 
-def ablation(spark: SparkSession, sf_dir: str, name: str = "page_links", n: int = 60) -> DataFrame:
-    """Search effort without each rule, and for k, ways, widths and hash modes."""
+def ablation(spark: SparkSession, sf_dir: str, name: str = "page_links", n: int = 500) -> DataFrame:
+    """Search effort without each rule, and for k, ways, widths and hash modes; what each rule cut is told by its name."""
     g = load(spark, sf_dir, name)
-    q = W.make_queries(g, "MIXED", n, n).drop("truth")
-    plain = A.trace(g, q, None)
-    cases = {f"k={k}": IndexConfig(k=k) for k in (0, 1, 2, 3)} | {f"ways={c}": IndexConfig(way_count=c) for c in ("one", "sqrt")} | {f"rule={r}": IndexConfig(way_rule=r) for r in ("rank", "overlap", "label")}
+    arrays = point.load(g)
+    q = W.make_queries(g, "MIXED", n, n, short=True)
+    cases = {f"k={k}": IndexConfig(k=k) for k in (0, 1, 2, 3)}
+    cases |= {f"ways={c}": IndexConfig(way_count=c) for c in ("one", "log2", "sqrt", "linear", "fixed")} | {f"rule={r}": IndexConfig(way_rule=r) for r in ("rank", "overlap", "label")}
     cases |= {f"bits={b}": IndexConfig(vertex_bits=b) for b in (31, 62, 248)} | {"hashes=2": IndexConfig(n_hash=2), "mode=path": IndexConfig(mode="path"), "trees=3": IndexConfig(trees=3)}
-    out = [S.rows(spark, name, PLAIN, "-", **{k: v or 0 for k, v in S.effort(plain).first().asDict().items()})]
+    count = lambda p, rules=A.RULES: {r["measure"]: r["n"] for r in point.effort(g, p, q, rules).collect()}
+    bare = count(arrays)
+    spared = lambda work: 1 - work["edges"] / max(bare["edges"], 1)
+    out = [S.rows(spark, name, PLAIN, "-", **bare)]
     for label, cfg in cases.items():
-        traced = A.trace(g, q, build_index(g, cfg))
-        out.append(S.rows(spark, name, OURS, label, prune_rate=S.prune_rate(plain, traced), **{k: v or 0 for k, v in S.effort(traced).first().asDict().items()}))
-    ix = build_index(g)
+        work = count(point.build(g, cfg, graph=arrays))
+        out.append(S.rows(spark, name, OURS, label, prune_rate=spared(work), **work))
+    ix = point.build(g, graph=arrays)
     for rule in A.RULES:
-        traced = A.trace(g, q, ix, tuple(r for r in A.RULES if r != rule))
-        out.append(S.rows(spark, name, OURS, f"without {rule}", prune_rate=S.prune_rate(plain, traced), **{k: v or 0 for k, v in S.effort(traced).first().asDict().items()}))
+        work = count(ix, tuple(r for r in A.RULES if r != rule))
+        out.append(S.rows(spark, name, OURS, f"without {rule}", prune_rate=spared(work), **work))
     return _union(out)
 
 
-def acyclic(spark: SparkSession, sf_dir: str, names=("supply_star", "part_chain_dag", "talk_flow")) -> DataFrame:
-    """Build times level by level and by fixpoint on acyclic graphs."""
+def acyclic(spark: SparkSession, sf_dir: str, names=("supply_star", "part_chain_dag", "talk_flow", "doc_thread")) -> DataFrame:
+    """Build times on acyclic graphs: on arrays, and, but for the long chains of ``doc_thread``, in rounds level by level and by fixpoint."""
     out = []
     for name in names:
         g = load(spark, sf_dir, name)
+        out.append(S.index_time(spark, name, OURS, "arrays", lambda g=g: point.build(g))[1])
+        if name == "doc_thread":
+            continue
         if not is_acyclic(g):
             raise ValueError(f"{name} has a cycle")
         for order in ("levels", "fixpoint"):
@@ -145,8 +173,10 @@ def acyclic(spark: SparkSession, sf_dir: str, names=("supply_star", "part_chain_
     return _union(out)
 
 
-def many_labels(spark: SparkSession, sf_dir: str, n: int = 20) -> DataFrame:
+def many_labels(spark: SparkSession, sf_dir: str, n: int = 2000) -> DataFrame:
     """Hundreds of labels: folded masks against masks with a bit for each."""
     g = load(spark, sf_dir, "event_many")
-    q = W.make_queries(g, "NONE", n, n, 4, most_tries=2)
-    return _union([S.query_time(spark, "event_many", OURS, f"label_bits={b}", lambda x, ix=build_index(g, IndexConfig(label_bits=b)): A.answer(g, x, ix), q) for b in (31, 62, 62 * 9)])
+    arrays = point.load(g)
+    q = W.make_queries(g, "NONE", n, n, 4, most_tries=3, short=True)
+    made = {b: point.build(g, IndexConfig(label_bits=b), graph=arrays) for b in (31, 62, 62 * 9)}
+    return _union([S.query_time(spark, "event_many", OURS, f"label_bits={b}", lambda x, p=p: point.answer(g, p, x), q) for b, p in made.items()])

@@ -12,8 +12,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
+from pathsieve.loop import cut
 from pathsieve.operators.graph import Graph, closure_vertices
 from pathsieve.plans.index import TwoAxisIndex
+from pathsieve.plans.point import PointGraph
 
 _KIND = "graph string, method string, config string, metric string, value double"
 
@@ -29,22 +31,34 @@ def index_time(spark: SparkSession, graph: str, method: str, config: str, build:
     return made, rows(spark, graph, method, config, build_s=time.time() - t)
 
 
-def index_space(index: TwoAxisIndex) -> float:
-    """Logical MB of an index: rows times 8 bytes for each mask word and interval number."""
-    words, layers = len(index.cfg.vw) + len(index.cfg.lw), index.near.count()
-    total = index.wide.count() * words + layers * words + index.inbound.count() * len(index.cfg.vw) + index.interval.count() * 2
-    return 8 * total / 1e6
+def index_space(index: TwoAxisIndex | PointGraph) -> float:
+    """Logical MB of an index, in tables or arrays: 8 bytes for each mask word and interval number of every table that a search reads."""
+    if isinstance(index, PointGraph):
+        return index.index.nbytes / 1e6
+    v, words = len(index.cfg.vw), len(index.cfg.vw) + len(index.cfg.lw)
+    total = (index.wide.count() + index.near.count() + index.out.count()) * words + (index.inbound.count() + index.own.count()) * v
+    return 8 * (total + index.interval.count() * 3 + index.ways.count()) / 1e6
+
+
+def stored_space(spark: SparkSession, path: str) -> float:
+    """MB of the files under a path, such as a saved index."""
+    target = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return target.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(target).getLength() / 1e6
 
 
 def query_time(spark: SparkSession, graph: str, method: str, config: str, run: Callable[[DataFrame], DataFrame], queries: DataFrame) -> DataFrame:
-    """Seconds of a set, of true and of false queries apart (queries with ``truth``), and wrong answers."""
+    """Seconds of a set, of true and of false queries apart (queries with ``truth``), and wrong answers.
+
+    One query is asked before the clock starts, so that what is sent to the tasks once is not part of the time.
+    """
     values = {}
     for truth in (True, False):
         part = queries.where(F.col("truth") == truth)
+        part = cut(part.drop("truth"), "part")
         n = part.count()
+        run(part.limit(1)).collect()
         t = time.time()
-        got = run(part.drop("truth"))
-        wrong = got.where(F.col("answer") != truth).count()
+        wrong = run(part).where(F.col("answer") != truth).count()
         name = str(truth).lower()
         values |= {f"{name}_s": time.time() - t, f"{name}_n": n, f"{name}_wrong": wrong}
     return rows(spark, graph, method, config, **values, mean_s=(values["true_s"] + values["false_s"]) / 2)
