@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -11,6 +13,7 @@ from pathsieve.loop import cut
 from pathsieve.operators import graph as G
 from pathsieve.plans import baselines as B
 from pathsieve.plans import measures as S
+from pathsieve.plans import point
 from pathsieve.plans import search as A
 from pathsieve.plans import workload as W
 from pathsieve.plans.index import IndexConfig, assign_ways, build_index, inbound_masks, near_index, outbound_masks, own_bits, tree_intervals, wide_index
@@ -124,22 +127,34 @@ def _entry(name: str, sql: str | None = None):
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pattern queries on the page graph, with the index."""
     g = _graph("page_links", spark, sf_dir)
-    return A.answer(g, _asked(g, _PAGE_PATTERN, 20), _index("page_links", spark, sf_dir))
+    return A.answer(g, _asked(g, _PAGE_PATTERN, 20), _index("page_links", spark, sf_dir), A.SearchConfig(place="rounds"))
 
 
 _PAGE_PATTERN = '"nav:en" AND "title:en"'
 _CASES = {
-    "and_event_flow": ("event_flow", 'ALL{"click","view"}', 20), "or_part_chain": ("part_chain", 'ANY{"AF","RF"}', 15), "not_order_relay": ("order_relay", 'NONE{"1-URGENT","2-HIGH"}', 30),
-    "and_order_relay": ("order_relay", 'ALL{"1-URGENT","5-LOW"}', 30), "or_order_relay": ("order_relay", 'ANY{"1-URGENT","5-LOW"}', 30),
-    "mixed_supply_star": ("supply_star", '("O" OR "supplies" OR "A") AND NOT "1-URGENT"', 40), "mixed_page_links": ("page_links", '("nav:en" OR "nav:de") AND NOT ("title:fr" AND "nav:es")', 40),
-    "travel_style_part_chain": ("part_chain_dag", '"NO" AND NOT "AF"', 20), "and_talk_flow": ("talk_flow", 'ALL{"user","assistant"}', 40), "not_doc_thread": ("doc_thread", 'NONE{"lang:es","src:src3"}', 15),
+    "and_event_flow": ("event_flow", 'ALL{"click","view"}', 200), "or_part_chain": ("part_chain", 'ANY{"AF","RF"}', 150), "not_order_relay": ("order_relay", 'NONE{"1-URGENT","2-HIGH"}', 300),
+    "and_order_relay": ("order_relay", 'ALL{"1-URGENT","5-LOW"}', 300), "or_order_relay": ("order_relay", 'ANY{"1-URGENT","5-LOW"}', 300),
+    "mixed_supply_star": ("supply_star", '("O" OR "supplies" OR "A") AND NOT "1-URGENT"', 400), "mixed_page_links": ("page_links", '("nav:en" OR "nav:de") AND NOT ("title:fr" AND "nav:es")', 400),
+    "travel_style_part_chain": ("part_chain_dag", '"NO" AND NOT "AF"', 200), "and_talk_flow": ("talk_flow", 'ALL{"user","assistant"}', 400), "not_doc_thread": ("doc_thread", 'NONE{"lang:es","src:src3"}', 150),
 }
 
 
 def _case(graph: str, pattern: str, n: int, index: bool, cfg: A.SearchConfig):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         g = _graph(graph, spark, sf_dir)
-        return A.answer(g, _asked(g, pattern, n), _index(graph, spark, sf_dir) if index else None, cfg)
+        return A.answer(g, _asked(g, pattern, n), _index(graph, spark, sf_dir) if index else None, replace(cfg, place="rounds"))
+
+    return run
+
+
+def _point_case(graph: str, pattern: str, n: int, index: bool = True, cfg: IndexConfig | None = None):
+    """The same on arrays, as for all graphs within the bound."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        g = _graph(graph, spark, sf_dir)
+        arrays = _once(spark, ("arrays", graph, sf_dir), lambda: point.load(g))
+        held = _once(spark, ("point", graph, sf_dir, repr(cfg)), lambda: point.build(g, cfg, graph=arrays)) if index else arrays
+        return point.answer(g, held, _asked(g, pattern, n))
 
     return run
 
@@ -147,9 +162,29 @@ def _case(graph: str, pattern: str, n: int, index: bool, cfg: A.SearchConfig):
 for _name, (_g, _p, _n) in _CASES.items():
     _entry(_name, _answer_sql(_g, _p, _n))(_case(_g, _p, _n, False, A.SearchConfig(rules=())))
 _entry("flagship_page_links", _answer_sql("page_links", _PAGE_PATTERN, 20))(flagship)
-_SAME = ("page_links", '("nav:en" OR "nav:de") AND NOT ("title:fr" AND "nav:es")', 40)
+_SAME = ("page_links", '("nav:en" OR "nav:de") AND NOT ("title:fr" AND "nav:es")', 400)
 for _rule in A.RULES:
     _entry(f"same_answers_without_{_rule}", _answer_sql(*_SAME))(_case(*_SAME, True, A.SearchConfig(rules=tuple(r for r in A.RULES if r != _rule))))
+#: The number of queries in the reference's sets, half of its true and false ones together; fewer where the SQL recursion is slow.
+_MANY = {"page_links": 2000, "order_relay": 2000, "talk_flow": 2000, "supply_star": 2000, "part_chain_dag": 1000, "doc_thread": 1000, "event_flow": 2000, "part_chain": 500}
+for _name, (_g, _p, _n) in _CASES.items():
+    _entry(f"point_{_name}", _answer_sql(_g, _p, _MANY[_g]))(_point_case(_g, _p, _MANY[_g]))
+_entry("point_plain_page_links", _answer_sql("page_links", _SAME[1], 2000))(_point_case("page_links", _SAME[1], 2000, index=False))
+_VARIANTS = {
+    "path_hash": IndexConfig(mode="path"), "rank_ways": IndexConfig(way_rule="rank"), "overlap_ways": IndexConfig(way_rule="overlap"), "label_ways": IndexConfig(way_rule="label"),
+    "sqrt_ways": IndexConfig(way_count="sqrt"), "linear_ways": IndexConfig(way_count="linear", max_ways=16), "fixed_ways": IndexConfig(way_count="fixed"), "one_way": IndexConfig(way_count="one"),
+    "two_hashes": IndexConfig(n_hash=2), "k0": IndexConfig(k=0), "k3": IndexConfig(k=3), "with_self": IndexConfig(include_self=True), "folded_labels": IndexConfig(label_bits=31), "three_trees": IndexConfig(trees=3),
+}
+for _name, _cfg in _VARIANTS.items():
+    _entry(f"same_answers_{_name}", _answer_sql("page_links", _SAME[1], 400))(_point_case("page_links", _SAME[1], 400, cfg=_cfg))
+
+
+@_entry("same_answers_path_hash_in_rounds", _answer_sql(*_SAME))
+def _path_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g = _graph("page_links", spark, sf_dir)
+    return A.answer(g, _asked(g, _SAME[1], _SAME[2]), build_index(g, IndexConfig(mode="path", way_rule="overlap")), A.SearchConfig(place="rounds"))
+
+
 _entry("same_answers_all_rules", _answer_sql(*_SAME))(_case(*_SAME, True, A.SearchConfig()))
 _entry("same_answers_mask_mode", _answer_sql(*_SAME))(_case(*_SAME, False, A.SearchConfig(mode="mask", rules=())))
 _entry("same_answers_dominance", _answer_sql(*_SAME))(_case(*_SAME, False, A.SearchConfig(dominance=True, rules=())))
@@ -166,11 +201,51 @@ def _point(spark: SparkSession, sf_dir: str) -> DataFrame:
     return B.plain_sequential(g, _asked(g, _SAME[1], _SAME[2]), reach=B.point_masks(_index("page_links", spark, sf_dir), g.alphabet()))
 
 
+# The worked example: the graph, hashes, ways, index rows and answers are fixed values.
+
+_GOLDEN = "0-a-1 0-c-1 0-a-2 0-b-2 0-b-7 0-e-8 1-d-3 2-c-3 3-b-5 4-a-5 4-d-5 4-b-6 7-a-2 7-a-8 7-b-9 7-e-9 8-b-4"
+_GOLDEN_HASH = {1: 3, 2: 2, 3: 3, 4: 1, 5: 1, 6: 2, 7: 5, 8: 4, 9: 4}
+_GOLDEN_WAYS = {(0, 1): 1, (0, 2): 1, (0, 7): 2, (0, 8): 2, (7, 2): 1, (7, 8): 1, (7, 9): 2}
+_GOLDEN_ROWS = (
+    (0, 1, "123", "11110", "23", "11100"), (0, 2, "12345", "11111", "45", "01001"), (4, 1, "12", "11010", "12", "11010"),
+    (7, 1, "1234", "11110", "24", "10000"), (7, 2, "4", "01001", "4", "01001"), (8, 1, "12", "11010", "1", "01000"),
+)
+_GOLDEN_ASKED = ((1, 0, 5, "b AND d", True), (2, 0, 4, "NONE{a,b}", False), (3, 0, 4, "NOT (a AND b)", True), (4, 0, 5, "NONE{b}", False), (5, 7, 4, "NOT a", False), (6, 0, 6, "b AND e", True))
+
+
+def _golden(spark: SparkSession):
+    """The example's graph and index, in tables."""
+    rows = [(int(a), int(b), x) for a, x, b in (e.split("-") for e in _GOLDEN.split())]
+    g = _once(spark, ("golden",), lambda: G.Graph.of(spark, rows).stored())
+    cfg = IndexConfig(vertex_bits=5, k=1, vertex_hash={v: b - 1 for v, b in _GOLDEN_HASH.items()}, ways=_GOLDEN_WAYS)
+    return g, _once(spark, ("golden index",), lambda: build_index(g, cfg))
+
+
+@_entry("golden_index", "SELECT * FROM (VALUES " + ", ".join(f"(CAST({v} AS BIGINT), {w}, '{a}', '{b}', '{c}', '{d}')" for v, w, a, b, c, d in _GOLDEN_ROWS) + ") t(vid, way, wide_vertices, wide_labels, near_vertices, near_labels)")
+def _golden_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The example's index rows of vertices with more than one successor or label, as printed: buckets counted from 1, labels as bits."""
+    _, ix = _golden(spark)
+    spots = lambda c: F.array_join(F.transform(M.mask_to_bits([F.col(c)]), lambda i: (i + 1).cast("string")), "")
+    near = ix.near.select("vid", "way", spots("v0").alias("near_vertices"), M.mask_string([F.col("l0")], 5).alias("near_labels"))
+    wide = ix.wide.select("vid", "way", spots("v0").alias("wide_vertices"), M.mask_string([F.col("l0")], 5).alias("wide_labels"))
+    return wide.join(near, ["vid", "way"]).where("vid IN (0, 4, 7, 8)")
+
+
+@_entry("golden_answers", "SELECT * FROM (VALUES " + ", ".join(f"('{how}', CAST({q} AS BIGINT), {t})" for how in ("rounds", "rounds without index", "arrays", "mask") for q, _, _, _, t in _GOLDEN_ASKED) + ") t(method, qid, answer)")
+def _golden_answers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    g, ix = _golden(spark)
+    q = spark.createDataFrame([r[:4] for r in _GOLDEN_ASKED], "qid long, src long, dst long, pattern string")
+    rounds = A.SearchConfig(place="rounds")
+    made = {"rounds": A.answer(g, q, ix, rounds), "rounds without index": A.answer(g, q, None, rounds), "arrays": point.answer(g, point.from_index(g, ix), q), "mask": A.answer(g, q, None, A.SearchConfig(mode="mask"))}
+    parts = [df.select(F.lit(how).alias("method"), "qid", "answer") for how, df in made.items()]
+    return parts[0].union(parts[1]).union(parts[2]).union(parts[3])
+
+
 # Graphs.
 
-_STATS = """SELECT CAST((SELECT count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)) AS BIGINT) AS n_vertices, (SELECT count(*) FROM e) AS n_edges, (SELECT count(DISTINCT label) FROM e) AS n_labels,
+_STATS = """SELECT *, n_edges / n_vertices AS mean_degree, max_out * n_vertices / n_pairs AS skew FROM (SELECT CAST((SELECT count(*) FROM (SELECT src FROM e UNION SELECT dst FROM e)) AS BIGINT) AS n_vertices, (SELECT count(*) FROM e) AS n_edges, (SELECT count(DISTINCT label) FROM e) AS n_labels,
 CAST((SELECT count(*) FROM (SELECT DISTINCT src, dst FROM e)) AS BIGINT) AS n_pairs, (SELECT count(DISTINCT src) FROM e WHERE src NOT IN (SELECT dst FROM e)) AS n_roots,
-(SELECT count(DISTINCT dst) FROM e WHERE dst NOT IN (SELECT src FROM e)) AS n_leaves, (SELECT max(n) FROM (SELECT count(DISTINCT dst) AS n FROM e GROUP BY src)) AS max_out"""
+(SELECT count(DISTINCT dst) FROM e WHERE dst NOT IN (SELECT src FROM e)) AS n_leaves, (SELECT max(n) FROM (SELECT count(DISTINCT dst) AS n FROM e GROUP BY src)) AS max_out)"""
 
 
 def _stats(name: str):
@@ -258,6 +333,20 @@ a AS (SELECT vid, way, {_bits_sql(_CFG, 'tgt', 0)} AS v0, {_bits_sql(_CFG, 'tgt'
 SELECT vid, way, v0, v1, l0 FROM a JOIN y USING (vid, way)"""))(lambda s, d, n=_name: _wide(s, d, n))
 
 
+def _wide_rule_sql(rule: str, count: str) -> str:
+    by = {"rank": "dst", "label": "label, dst"}[rule]
+    raw = {"log2": "CAST(floor(log2(deg)) AS BIGINT) + 1", "sqrt": "CAST(ceil(sqrt(deg)) AS BIGINT)"}[count]
+    ways = f"""p AS (SELECT src, dst, min(label) AS label FROM e GROUP BY src, dst), deg AS (SELECT src, count(*) AS deg FROM p GROUP BY src),
+ways AS (SELECT src, dst, CAST(floor(place * g / deg) AS INTEGER) + 1 AS way FROM (SELECT p.src, p.dst, row_number() OVER (PARTITION BY p.src ORDER BY {by}) - 1 AS place, deg, greatest(least({raw}, {_CFG.max_ways}, deg), 1) AS g FROM p JOIN deg USING (src)))"""
+    return _SQL["wide_page_links"].replace(_WAYS, ways)
+
+
+for _rule, _count in (("rank", "log2"), ("label", "sqrt")):
+    _entry(f"wide_page_links_{_rule}_{_count}", _wide_rule_sql(_rule, _count))(
+        lambda s, d, c=IndexConfig(vertex_bits=124, k=2, way_rule=_rule, way_count=_count): wide_index(g := _graph("page_links", s, d), c, assign_ways(g, c), outbound_masks(g, c), own_bits(g.vertices(), c))
+    )
+
+
 def _near_sql(name: str, k: int) -> str:
     hops = ["SELECT w.src AS vid, way, 1 AS hop, e.dst AS tgt, e.label FROM e JOIN ways w USING (src, dst)"]
     for j in range(2, k + 1):
@@ -303,11 +392,32 @@ def _monotone(spark: SparkSession, sf_dir: str) -> DataFrame:
     return S.check_monotone(g := _graph("order_relay", spark, sf_dir), build_index(g, IndexConfig(k=1, trees=0)))
 
 
-@_entry("filter_quality_page_links")
-def _quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+_FPR = _with("page_links", f"""{_CLOSE}, v AS (SELECT src AS vid FROM e UNION SELECT dst FROM e), o AS (SELECT src AS vid, {_bits_sql(_CFG, 'dst', 0)} AS v0, {_bits_sql(_CFG, 'dst', 1)} AS v1 FROM r GROUP BY src),
+w AS (SELECT vid, {_bits_sql(_CFG, 'vid', 0)} AS d0, {_bits_sql(_CFG, 'vid', 1)} AS d1 FROM v GROUP BY vid),
+p AS (SELECT coalesce(v0, 0) AS v0, coalesce(v1, 0) AS v1, d0, d1 FROM v JOIN w ON v.vid <> w.vid LEFT JOIN o ON o.vid = v.vid LEFT JOIN r ON r.src = v.vid AND r.dst = w.vid WHERE v.vid % 100 = 0 AND r.src IS NULL)
+SELECT count(*) AS n_unreachable, count(*) FILTER ((v0 & d0) = d0 AND (v1 & d1) = d1) AS n_passing, count(*) FILTER ((v0 & d0) = d0 AND (v1 & d1) = d1) / greatest(count(*), 1) AS rate FROM p""")
+
+
+@_entry("filter_fpr_page_links", _FPR)
+def _fpr(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """From every source whose id is divisible by 100, against all vertices."""
     g = _graph("page_links", spark, sf_dir)
+    return S.filter_fpr(g, _index("page_links", spark, sf_dir), g.vertices().where("vid % 100 = 0"))
+
+
+@_entry("mask_profile_page_links")
+def _profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     ix = _index("page_links", spark, sf_dir)
-    return S.filter_fpr(g, ix, _pairs(g, 20).select(F.col("src").alias("vid"))).crossJoin(S.mask_fill(ix)).crossJoin(S.way_profile(ix))
+    return S.mask_fill(ix).crossJoin(S.way_profile(ix)).crossJoin(S.collisions(_graph("page_links", spark, sf_dir), ix))
+
+
+@_entry("effort_by_rule_page_links")
+def _effort(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """States, ways and edges of 2,000 queries, with what each rule cut, and without an index."""
+    g = _graph("page_links", spark, sf_dir)
+    q, arrays = _asked(g, _SAME[1], 2000), point.load(g)
+    with_index = point.effort(g, point.build(g, graph=arrays), q).withColumnRenamed("n", "n_index")
+    return with_index.join(point.effort(g, arrays, q).withColumnRenamed("n", "n_plain"), "measure")
 
 
 @_entry("prune_trace_page_links")
@@ -352,10 +462,18 @@ def _simple(spark: SparkSession, sf_dir: str) -> DataFrame:
     return B.answer_simple(g, _asked(g, 'ALL{"user","assistant"}', 40), max_hops=64)
 
 
-@_entry("witness_page_links")
+@_entry("witness_page_links", _with("page_links", _SAMPLE.format(n=40) + """, b AS (SELECT DISTINCT src, dst, CAST(CASE WHEN label IN ('nav:en', 'nav:de') THEN 1 ELSE 0 END AS BIGINT) AS bit FROM e),
+r AS (SELECT qid, src AS vid, CAST(0 AS BIGINT) AS mask, 0 AS hop FROM q UNION SELECT r.qid, b.dst, r.mask | b.bit, r.hop + 1 FROM r JOIN b ON b.src = r.vid WHERE r.hop < 8),
+far AS (SELECT q.qid, min(r.hop) AS hops FROM q JOIN r ON r.qid = q.qid AND r.vid = q.dst AND r.mask = 1 GROUP BY q.qid) SELECT qid, CAST(hops AS INTEGER) AS hops, TRUE AS valid FROM far"""))
 def _witness(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Of true queries with a walk of at most eight edges: its length, and whether it is one of the graph's, from source to target, that satisfies the pattern."""
     g = _graph("page_links", spark, sf_dir)
-    return B.witness_paths(g, _asked(g, '"nav:en" OR "nav:de"', 40))
+    q = _asked(g, '"nav:en" OR "nav:de"', 40)
+    paths = B.witness_paths(g, q).withColumn("hops", F.size("path")).where("hops BETWEEN 1 AND 8").join(q, "qid")
+    steps = paths.select("qid", F.explode("path").alias("e")).select("qid", "e.*").join(g.edges.withColumn("known", F.lit(1)), ["src", "dst", "label"], "left").groupBy("qid").agg(F.count("known").alias("known"))
+    joined = F.expr("forall(sequence(1, hops), i -> i = hops OR path[i - 1].dst = path[i].src)")
+    ends = (F.col("path")[0]["src"] == F.col("src")) & (F.element_at("path", -1)["dst"] == F.col("dst")) & F.expr("exists(path, x -> x.label IN ('nav:en', 'nav:de'))")
+    return paths.join(steps, "qid").select("qid", "hops", (joined & ends & (F.col("known") == F.col("hops"))).alias("valid"))
 
 
 @_entry("pattern_distance_part_chain", _with("part_chain", _SAMPLE.format(n=10) + """, b AS (SELECT DISTINCT src, dst, CAST(CASE label WHEN 'AF' THEN 1 ELSE 0 END AS BIGINT) AS bit FROM e),
@@ -378,22 +496,51 @@ def _hops(spark: SparkSession, sf_dir: str) -> DataFrame:
     return G.k_hop(g, g.vertices(), 3, [x for x in g.alphabet() if x != "5-LOW"])
 
 
-@_entry("answers_with_customers", f"SELECT a.qid, a.answer, c.c_mktsegment AS segment FROM ({_answer_sql(*_CASES['not_order_relay'])}) a JOIN (SELECT * FROM ({_with('order_relay', _SAMPLE.format(n=30) + ' SELECT qid, src FROM q', False)})) s ON s.qid = a.qid JOIN customer c ON c.c_custkey = s.src")
+@_entry("answers_with_customers", f"SELECT a.qid, a.answer, c.c_mktsegment AS segment FROM ({_answer_sql(*_CASES['not_order_relay'])}) a JOIN (SELECT * FROM ({_with('order_relay', _SAMPLE.format(n=_CASES['not_order_relay'][2]) + ' SELECT qid, src FROM q', False)})) s ON s.qid = a.qid JOIN customer c ON c.c_custkey = s.src")
 def _enriched(spark: SparkSession, sf_dir: str) -> DataFrame:
     g = _graph("order_relay", spark, sf_dir)
-    q = _asked(g, _CASES["not_order_relay"][1], 30)
+    q = _asked(g, *_CASES["not_order_relay"][1:])
     who = T.table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("src"), F.col("c_mktsegment").alias("segment"))
     return A.answer(g, q).join(q.select("qid", "src"), "qid").join(who, "src").select("qid", "answer", "segment")
 
 
-@_entry("workload_truth_balance")
+def _workload_sql(n: int) -> str:
+    """Candidates of ANY over two of the eight labels of the page graph, and their truth."""
+    first, second = f"(kind * {W.LAB[1]}) % z", f"(kind * {W.LAB[1]} + greatest(1, z // 2)) % z"
+    return _with("page_links", f"""{_LIDS}, z AS (SELECT count(*) AS z FROM l), {_SAMPLE.format(n=n)},
+k AS (SELECT qid, src, dst, (1 << CAST({first} AS INTEGER)) | (1 << CAST({second} AS INTEGER)) AS want FROM (SELECT *, (qid * {W.LAB[0]} + {W.LAB[1]} + 1) % least(32, z) AS kind FROM q, z)),
+b AS (SELECT DISTINCT src, dst, 1 << CAST(lid AS INTEGER) AS bit FROM e JOIN l USING (label)),
+r AS (SELECT qid, want, src AS vid, 0 AS hit FROM k UNION SELECT r.qid, r.want, b.dst, CASE WHEN r.hit = 1 OR (b.bit & r.want) <> 0 THEN 1 ELSE 0 END FROM r JOIN b ON b.src = r.vid)
+SELECT k.qid, k.src, k.dst, k.qid IN (SELECT r.qid FROM r JOIN k t USING (qid) WHERE r.vid = t.dst AND r.hit = 1) AS truth FROM k""")
+
+
+@_entry("workload_candidates_page_links", _workload_sql(500))
+def _candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What query sets are made of: pairs, patterns by number, and their exact answers."""
+    g = _graph("page_links", spark, sf_dir)
+    some = cut(W.candidates(g, "ANY", 500), "candidates")
+    return some.join(A.answer(g, some).withColumnRenamed("answer", "truth"), "qid").select("qid", "src", "dst", "truth")
+
+
+@_entry("workload_truth_balance", "SELECT op, truth, CAST(200 AS BIGINT) AS n, CAST(200 AS BIGINT) AS n_same FROM (VALUES ('ALL'), ('ANY'), ('NONE'), ('MIXED')) t(op), (VALUES (TRUE), (FALSE)) u(truth)")
 def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return W.make_queries(_graph("page_links", spark, sf_dir), "ANY", 25, 25).groupBy("truth").agg(F.count("*").alias("n"))
+    """200 true and 200 false queries of each operator, and how many of them a search with the index answers alike."""
+    g = _graph("page_links", spark, sf_dir)
+    ix, out = point.build(g), None
+    for op in ("ALL", "ANY", "NONE", "MIXED"):
+        q = W.make_queries(g, op, 200, 200)
+        part = q.join(point.answer(g, ix, q.drop("truth")), "qid").groupBy("truth").agg(F.count("*").alias("n"), F.count_if(F.col("truth") == F.col("answer")).alias("n_same")).withColumn("op", F.lit(op))
+        out = part if out is None else out.unionByName(part)
+    return out.select("op", "truth", "n", "n_same")
 
 
 _UNIFORM = "SELECT DISTINCT i % 500 AS src, ((i % 2147483647 * 48271 + 1299709) % 2147483647 % 2147483647 * 69621 + 7919) % 2147483647 % 500 AS dst FROM (SELECT CAST(range AS BIGINT) AS i FROM range(2000))"
 _entry("uniform_graph_edges", f"SELECT DISTINCT src, dst, 'L' || ((src * 48271 + dst * 69621 + {1 * 7919}) % 2147483647 * 16807) % 2147483647 % 8 AS label FROM ({_UNIFORM}) WHERE src <> dst")(lambda s, d: T.uniform_graph(s, 500, 4, 8).edges)
-_entry("preferential_degrees")(lambda s, d: G.degrees(T.preferential_graph(s, 2000, 4, 8)).groupBy("n_out").agg(F.count("*").alias("n")))
+_SLOTS = """WITH RECURSIVE s AS (SELECT i, ((i % 2147483647 * 48271 + 7919) % 2147483647 * 69621 + 12345) % 2147483647 % greatest(2 * i, 1) AS p FROM (SELECT CAST(range AS BIGINT) AS i FROM range(8000))),
+w AS (SELECT i, p // 2 AS via, i = 0 OR p % 2 = 1 AS ends FROM s), r AS (SELECT i, i AS at FROM w UNION ALL SELECT r.i, w.via FROM r JOIN w ON w.i = r.at WHERE NOT w.ends),
+d AS (SELECT DISTINCT CASE WHEN w.i = 0 AND FALSE THEN 0 ELSE w.via // 4 END AS src, r.i // 4 AS dst FROM r JOIN w ON w.i = r.at WHERE w.ends), e AS (SELECT src, dst FROM d WHERE src <> dst),
+o AS (SELECT vid, count(dst) AS n_out FROM (SELECT src AS vid FROM e UNION SELECT dst FROM e) LEFT JOIN e ON src = vid GROUP BY vid) SELECT n_out, count(*) AS n FROM o GROUP BY n_out"""
+_entry("preferential_degrees", _SLOTS)(lambda s, d: G.degrees(T.preferential_graph(s, 2000, 4, 8)).groupBy("n_out").agg(F.count("*").alias("n")))
 
 # Relational operators around the methods.
 
@@ -418,8 +565,8 @@ _entry("rollup_orders", "SELECT year(o_orderdate) AS y, o_orderpriority AS prior
 _entry("ntile_degree", _with("part_chain", "d AS (SELECT src AS vid, count(DISTINCT dst) AS n_out FROM e GROUP BY src) SELECT vid, CAST(ntile(4) OVER (ORDER BY n_out DESC, vid) AS INTEGER) AS quarter FROM d", False))(
     lambda s, d: G.degrees(_graph("part_chain", s, d)).where("n_out > 0").select("vid", F.ntile(4).over(Window.orderBy(F.desc("n_out"), "vid")).alias("quarter"))
 )
-_entry("range_frame_orders", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_orderpriority ORDER BY epoch(o_orderdate) RANGE BETWEEN 604800 PRECEDING AND CURRENT ROW) AS n FROM orders")(
-    lambda s, d: T.table(s, d, "orders").select("o_orderkey", F.count("*").over(Window.partitionBy("o_orderpriority").orderBy(F.timestamp_diff("SECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col("o_orderdate"))).rangeBetween(-604800, 0)).alias("n"))
+_entry("range_frame_orders", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY epoch(o_orderdate) RANGE BETWEEN 7776000 PRECEDING AND CURRENT ROW) AS n FROM orders")(
+    lambda s, d: T.table(s, d, "orders").select("o_orderkey", F.count("*").over(Window.partitionBy("o_custkey").orderBy(F.timestamp_diff("SECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col("o_orderdate"))).rangeBetween(-7776000, 0)).alias("n"))
 )
 
 
@@ -468,11 +615,44 @@ def _late(spark: SparkSession, sf_dir: str) -> DataFrame:
     return late_edges(T.table(spark, sf_dir, "events"), "ts", "event_id")
 
 
-@_entry("vec_near_degrees")
+_NEAR = """n AS (SELECT src, dst, label, row_number() OVER (PARTITION BY src ORDER BY cos DESC, dst) AS r FROM (SELECT a.vec_id AS src, b.vec_id AS dst, CAST(b.label AS VARCHAR) AS label,
+    list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])) AS cos FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id))"""
+
+
+@_entry("vec_near_top3", f"WITH {_NEAR} SELECT src, dst, label FROM n WHERE r <= 3")
 def _vec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return T.vec_near(spark, sf_dir).edges
+
+
+@_entry("vec_near_degrees", f"WITH {_NEAR}, e AS (SELECT src, dst FROM n WHERE r <= 3), v AS (SELECT src AS vid FROM e UNION SELECT dst FROM e) SELECT vid, (SELECT count(DISTINCT dst) FROM e WHERE src = vid) AS n_out, (SELECT count(DISTINCT src) FROM e WHERE dst = vid) AS n_in FROM v")
+def _vec_degrees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return G.degrees(T.vec_near(spark, sf_dir))
 
 
+_entry("self_pair_labels", _with("part_chain", "one AS (SELECT 1) SELECT src, dst, count(*) AS n_labels, string_agg(label, ',' ORDER BY label) AS labels FROM e GROUP BY src, dst HAVING count(*) > 1", False))(
+    lambda s, d: _graph("part_chain", s, d).edges.groupBy("src", "dst").agg(F.count("*").alias("n_labels"), F.array_join(F.array_sort(F.collect_set("label")), ",").alias("labels")).where("n_labels > 1")
+)
+_entry("split_labels_part_chain", EDGES["part_chain"])(
+    lambda s, d: G.split_labels(_graph("part_chain", s, d).edges.groupBy("src", "dst").agg(F.collect_set("label").alias("labels"))).select("src", "dst", "label")
+)
+_entry("label_profile_page_links", _with("page_links", _CLOSE + " SELECT x.src AS vid, e.label, count(*) AS n FROM (SELECT src, dst FROM r UNION SELECT src, src FROM e) x JOIN e ON e.src = x.dst GROUP BY ALL"))(lambda s, d: G.label_profile(_graph("page_links", s, d)))
+_entry("label_map_supply_star", _with("supply_star", f"{_LIDS} SELECT label, CAST(lid AS INTEGER) AS lid FROM l", False))(
+    lambda s, d: G.label_map(_graph("supply_star", s, d).labels).select(F.explode("lid_of").alias("label", "lid"))
+)
+
+
+def _sliced_sql(n: int) -> str:
+    dated = "SELECT DISTINCT src, dst, label FROM (SELECT o_custkey AS src, lead(o_custkey) OVER (PARTITION BY o_orderpriority ORDER BY o_orderdate, o_orderkey) AS dst, o_orderpriority AS label, o_orderdate AS day FROM orders) WHERE dst IS NOT NULL AND src <> dst AND day >= TIMESTAMP '1995-01-01' AND day < TIMESTAMP '1996-01-01'"
+    return _answer_sql("order_relay_all", 'ALL{"1-URGENT","5-LOW"}', n).replace(EDGES["order_relay_all"], dated)
+
+
+@_entry("time_sliced_order_relay", _sliced_sql(100))
+def _sliced(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Queries over the edges of one year."""
+    g = _once(spark, ("graph", "sliced", sf_dir), lambda: T.order_relay_between(spark, sf_dir, "1995-01-01", "1996-01-01").stored())
+    return A.answer(g, _asked(g, 'ALL{"1-URGENT","5-LOW"}', 100))
+
+
 @_entry("doc_quotes", "SELECT DISTINCT doc_id AS src, item_id + 100000000 AS dst, 'quotes' AS label FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def _quotes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return T.doc_quotes(spark, sf_dir).edges

@@ -90,8 +90,10 @@ def mask_equal(a: list[Column], b: list[Column]) -> Column:
 
 def mask_to_bits(a: list[Column]) -> Column:
     """Array of the positions set, ascending."""
-    parts = [F.filter(F.transform(F.sequence(F.lit(0), F.lit(WORD - 1)), lambda i, x=x, w=w: F.when(F.call_function("shiftright", x, i).bitwiseAND(F.lit(1)) == 1, i + w * WORD)), lambda i: i.isNotNull()) for w, x in enumerate(a)]
-    return F.concat(*parts)
+    spots = F.sequence(F.lit(0), F.lit(WORD - 1))
+    has = lambda x: lambda i: F.call_function("shiftright", x, i).bitwiseAND(F.lit(1)) == 1
+    shifted = lambda w: lambda i: i + w * WORD
+    return F.concat(*[F.transform(F.filter(spots, has(x)), shifted(w)) for w, x in enumerate(a)])
 
 
 def mask_string(a: list[Column], bits: int) -> Column:

@@ -110,11 +110,15 @@ def leaves(g: Graph) -> DataFrame:
 
 
 def graph_stats(g: Graph) -> DataFrame:
-    """One row: vertices, edges, labels, pairs, roots, leaves, largest out-degree."""
+    """One row: vertices, edges, labels, pairs, roots, leaves, largest out-degree, edges a vertex, and the skew of out-degrees.
+
+    Skew is the largest out-degree over the mean one.
+    """
     d = degrees(g)
     a = g.edges.agg(F.count("*").alias("n_edges"), F.count_distinct("label").alias("n_labels"))
     b = d.agg(F.count("*").alias("n_vertices"), F.sum("n_out").alias("n_pairs"), F.count_if(F.col("n_in") == 0).alias("n_roots"), F.count_if(F.col("n_out") == 0).alias("n_leaves"), F.max("n_out").alias("max_out"))
-    return a.crossJoin(b).select("n_vertices", "n_edges", "n_labels", "n_pairs", "n_roots", "n_leaves", "max_out")
+    mean, skew = F.col("n_edges") / F.col("n_vertices"), F.col("max_out") * F.col("n_vertices") / F.col("n_pairs")
+    return a.crossJoin(b).select("n_vertices", "n_edges", "n_labels", "n_pairs", "n_roots", "n_leaves", "max_out", mean.alias("mean_degree"), skew.alias("skew"))
 
 
 def assign_labels(edges: DataFrame, z: int, seed: int = 7) -> DataFrame:
@@ -269,6 +273,19 @@ def condense(g: Graph, components: DataFrame | None = None) -> Graph:
     return Graph.from_edges(joined.where("s <> d").select(F.col("s").alias("src"), F.col("d").alias("dst"), "label"))
 
 
+def label_profile(g: Graph, sources: DataFrame | None = None) -> DataFrame:
+    """(vid, label, n): how many distinct edges of each label lie on walks from a vertex."""
+    reach = closure_vertices(g, sources).select(F.col("src").alias("vid"), F.col("dst").alias("at"))
+    starts = g.vertices() if sources is None else sources.select("vid").distinct()
+    every = reach.union(starts.select("vid", F.col("vid").alias("at"))).distinct()
+    return every.join(g.edges.select(F.col("src").alias("at"), "label"), "at").groupBy("vid", "label").agg(F.count("*").alias("n"))
+
+
+def label_map(labels: DataFrame) -> DataFrame:
+    """One row: the dictionary as a map from label to number, of an alphabet that :meth:`Graph.alphabet` would take."""
+    return labels.agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("label", "lid")))).alias("lid_of"))
+
+
 def k_hop(g: Graph, sources: DataFrame, k: int, allowed: list[str] | None = None) -> DataFrame:
     """(src, dst, hops) within k hops over allowed labels."""
     return closure_vertices(g if allowed is None else g.where(F.col("label").isin(allowed)), sources, max_rounds=k)

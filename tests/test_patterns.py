@@ -3,6 +3,7 @@ from itertools import combinations
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from pathsieve.functions import patterns as P
 
@@ -62,3 +63,10 @@ def test_columns_and_sql(spark):
     df = spark.createDataFrame(rows, "labels array<string>, mask long").select("labels", P.pattern_column(p, F.col("labels")).alias("x"), P.pattern_mask_column(p, [F.col("mask")], bits).alias("y"), F.expr("wanted(labels)").alias("z"))
     for r in df.collect():
         assert r.x == r.y == r.z == P.holds(p, set(r.labels))
+
+
+def test_mask_positions(spark):
+    from pathsieve.functions import masks as M
+
+    rows = spark.createDataFrame([(0, 0), (5, 1 << 61), ((1 << 61) | 1, 6)], "a long, b long")
+    assert [r[0] for r in rows.select(M.mask_to_bits([F.col("a"), F.col("b")])).collect()] == [[], [0, 2, 123], [0, 61, 63, 64]]
