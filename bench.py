@@ -17,7 +17,8 @@ from pyspark.sql import SparkSession
 def session() -> SparkSession:
     cpus = os.environ.get("BENCH_CPUS", "8")
     builder = SparkSession.builder.master(f"local[{cpus}]").appName("bench").config("spark.sql.shuffle.partitions", cpus).config("spark.driver.memory", "12g")
-    spark = builder.config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC").getOrCreate()
+    spark = builder.config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.session.timeZone", "UTC")
+    spark = spark.config("spark.checkpoint.dir", os.environ.get("BENCH_SCRATCH", "/tmp/checkpoints")).getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     return spark
 

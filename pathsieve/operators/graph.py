@@ -109,6 +109,13 @@ def leaves(g: Graph) -> DataFrame:
     return roots(g.reverse())
 
 
+def approximate_stats(g: Graph, error: float = 0.02) -> DataFrame:
+    """(n_vertices, n_pairs, n_labels) within about ``error``, by sketches that merge before the shuffle."""
+    ends = g.edges.select(F.explode(F.array("src", "dst")).alias("vid")).agg(F.approx_count_distinct("vid", error).alias("n_vertices"))
+    rest = g.edges.agg(F.approx_count_distinct(F.struct("src", "dst"), error).alias("n_pairs"), F.approx_count_distinct("label", error).alias("n_labels"))
+    return ends.crossJoin(rest)
+
+
 def graph_stats(g: Graph) -> DataFrame:
     """One row: vertices, edges, labels, pairs, roots, leaves, largest out-degree, edges a vertex, and the skew of out-degrees.
 

@@ -12,15 +12,15 @@ from pyspark.sql import functions as F
 from pathsieve.functions import masks as M
 from pathsieve.functions import patterns as P
 from pathsieve.loop import Layers, cut
-from pathsieve.operators.graph import Graph, closure_label_sets
+from pathsieve.operators.graph import Graph, closure_label_sets, encode_vertices
 from pathsieve.plans.search import SearchConfig, answer
 
 SMALL_GRAPH = 2_000_000
 
 
 def plain(g: Graph, queries: DataFrame) -> DataFrame:
-    """(qid, answer) without an index, set at a time."""
-    return answer(g, queries, None, SearchConfig(rules=()))
+    """(qid, answer) without an index, set at a time, in rounds."""
+    return answer(g, queries, None, SearchConfig(rules=(), place="rounds"))
 
 
 def local_graph(g: Graph, most: int = SMALL_GRAPH) -> dict[int, list[tuple[int, str]]]:
@@ -117,7 +117,7 @@ def reach(g: Graph, queries: DataFrame) -> DataFrame:
 def allowed_masks(g: Graph, queries: DataFrame) -> DataFrame:
     """Queries with their allowed labels as a mask of at most 62 bits."""
     bits = g.labels.select("label", M.bit_word(F.col("lid").cast("long"), 0).alias("bit"))
-    rows = queries.select("qid", "src", "dst", F.explode_outer("allowed").alias("label")).join(F.broadcast(bits), "label", "left")
+    rows = queries.select("qid", "src", "dst", F.explode_outer("allowed").alias("label")).join(bits, "label", "left")
     return rows.groupBy("qid", "src", "dst").agg(F.coalesce(F.bit_or("bit"), F.lit(0).cast("long")).alias("ok"))
 
 
@@ -152,7 +152,7 @@ def two_hop_build(g: Graph, reduce_degree_one: bool = False, unreachable_filter:
     spark = g.edges.sparkSession
     if g.labels.where(f"lid >= {M.WORD}").limit(1).count():
         raise ValueError("more than 62 labels")
-    steps = cut(g.edges.join(F.broadcast(g.labels), "label").select("src", "dst", M.bit_word(F.col("lid").cast("long"), 0).alias("bit")).where("src <> dst").distinct(), "steps")
+    steps = cut(g.edges.join(g.labels, "label").select("src", "dst", M.bit_word(F.col("lid").cast("long"), 0).alias("bit")).where("src <> dst").distinct(), "steps")
     peel = None
     if reduce_degree_one:
         peel, steps = _peel(steps)
@@ -164,10 +164,8 @@ def two_hop_build(g: Graph, reduce_degree_one: bool = False, unreachable_filter:
         cfg = IndexConfig()
         filter_tables = (cut(own_bits(g.vertices(), cfg), "own"), into_masks(g, cfg), cfg)
     both = steps.select(F.col("src").alias("vid")).unionAll(steps.select("dst"))
-    from pyspark.sql import Window
-
-    ranked = both.groupBy("vid").agg(F.count("*").alias("n"))
-    hubs = cut(ranked.select("vid", F.row_number().over(Window.orderBy(F.desc("n"), "vid")).alias("rank")), "hubs")
+    ranked = both.groupBy("vid").agg(F.count("*").alias("n")).select(F.struct((-F.col("n")).alias("n"), "vid").alias("ext_id"))
+    hubs = cut(encode_vertices(ranked).select("ext_id.vid", (F.col("vid") + 1).alias("rank")), "hubs")
     total = hubs.count()
     kind = "vid long, hub long, mask long"
     out, into = spark.createDataFrame([], kind), spark.createDataFrame([], kind)
@@ -353,7 +351,7 @@ def witness_paths(g: Graph, queries: DataFrame, max_clauses: int = 64) -> DataFr
     words = M.n_words(len(alphabet))
     clauses = cut(compile_queries(queries, alphabet, max_clauses), "clauses")
     s, r, f, e = (M.names(p, words) for p in "srfe")
-    edges = cut(g.edges.join(F.broadcast(g.labels), "label").select("src", "dst", "label", *[M.bit_word(F.col("lid").cast("long"), w).alias(n) for w, n in enumerate(e)]), "edges")
+    edges = cut(g.edges.join(g.labels, "label").select("src", "dst", "label", *[M.bit_word(F.col("lid").cast("long"), w).alias(n) for w, n in enumerate(e)]), "edges")
     key = ["qid", "clause", "vid", *s]
     layer = cut(clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(n) for n in s]), "layer")
     layers, visited, ends, hop = [layer], layer, [], 0

@@ -70,7 +70,7 @@ def label_words(labels: DataFrame, cfg: IndexConfig) -> DataFrame:
 
 def adjacency(g: Graph, cfg: IndexConfig) -> DataFrame:
     """(src, dst, l...): one row for each pair, label bits ORed."""
-    marked = g.edges.join(F.broadcast(label_words(g.labels, cfg)), "label")
+    marked = g.edges.join(label_words(g.labels, cfg), "label")
     return marked.groupBy("src", "dst").agg(*[F.bit_or(n).alias(n) for n in cfg.lw])
 
 
@@ -369,6 +369,20 @@ class TwoAxisIndex:
         meta = spark.read.parquet(f"{path}/meta").first()
         return cls(IndexConfig(**json.loads(meta["cfg"])), *[spark.read.parquet(f"{path}/{t}") for t in cls._TABLES], meta["exact"])
 
+    def save_tables(self, prefix: str, buckets: int) -> None:
+        """As tables of the catalogue, bucketed and sorted by vertex, so that joins between them on the vertex shuffle nothing."""
+        spark = self.wide.sparkSession
+        for t in self._TABLES:
+            key = "src" if t == "ways" else "vid"
+            getattr(self, t).write.bucketBy(buckets, key).sortBy(key).mode("errorifexists").format("parquet").saveAsTable(f"{prefix}_{t}")
+        cfg = asdict(self.cfg) | {"vertex_hash": None, "ways": None}
+        spark.createDataFrame([(json.dumps(cfg), self.exact)], "cfg string, exact boolean").coalesce(1).write.format("parquet").saveAsTable(f"{prefix}_meta")
+
+    @classmethod
+    def load_tables(cls, spark: SparkSession, prefix: str) -> TwoAxisIndex:
+        meta = spark.table(f"{prefix}_meta").first()
+        return cls(IndexConfig(**json.loads(meta["cfg"])), *[spark.table(f"{prefix}_{t}") for t in cls._TABLES], meta["exact"])
+
     def register_views(self, prefix: str) -> None:
         for t in self._TABLES:
             getattr(self, t).createOrReplaceTempView(f"{prefix}_{t}")

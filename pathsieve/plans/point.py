@@ -335,7 +335,7 @@ class _Clauses:
     """Clauses of distinct patterns as look-up tables: what a label adds to the labels seen, what is missing, and whether that will do.
 
     A pattern with too many clauses is one that watches all its labels and is tested as a whole. Patterns that watch so many labels
-    that the look-up tables would be large are kept as formulas in ``wide``.
+    that the look-up tables would be large are kept as formulas in ``wide``. ``plain`` is a clause that asks for nothing.
     """
 
     def __init__(self, texts: list[str], labels: list[str], max_clauses: int, fold: int) -> None:
@@ -374,6 +374,9 @@ class _Clauses:
                 self.of.setdefault(text, []).append(len(size))
                 adds.append(add), forb.append(no), forb_words.append(line), size.append(len(seen)), accept.append(good), missing.append(left), whole.append(c is None)
             self.of.setdefault(text, [])
+        self.plain = len(size)
+        adds.append(np.zeros(width, np.int64)), forb.append(np.zeros(width, bool)), forb_words.append(np.zeros(words, np.int64))
+        size.append(1), accept.append(np.ones(1, bool)), missing.append(np.zeros((1, words), np.int64)), whole.append(False)
         self.at = np.cumsum(size) - size if size else np.zeros(0, np.int64)
         self.size, self.whole = np.array(size, np.int64), np.array(whole, bool)
         stack = lambda a, shape, kind: np.stack(a) if a else np.zeros(shape, kind)
@@ -395,7 +398,7 @@ class _Walk:
         self.rules = set(rules) if p.index is not None else set()
         if p.index is not None and not p.index.exact:
             self.rules.discard("way_forbidden")
-        self.effort: dict[str, int] = dict.fromkeys(("rounds", "states", "slots", "edges", "kept", *RULES), 0)
+        self.effort: dict[str, int] = dict.fromkeys(("rounds", "states", "slots", "edges", "kept", "label_done", *RULES), 0)
 
     def answers(self, src: np.ndarray, dst: np.ndarray, texts: list[str]) -> np.ndarray:
         fold = self.x.cfg.label_bits if self.x is not None else M.WORD * M.n_words(max(len(self.p.labels), 1))
@@ -417,7 +420,7 @@ class _Walk:
         n, i = len(self.p.vids), 0
         while i < len(query):
             j = i + 1
-            while j < len(query) and (j + 1 - i) * n * int(known.size[clause[j]]) <= _VISITED:
+            while j < len(query) and 2 * (j + 1 - i) * n * int(known.size[clause[j]]) <= _VISITED:
                 j += 1
             self._group(known, query[i:j], clause[i:j], a[i:j], b[i:j], found)
             i = j
@@ -445,14 +448,29 @@ class _Walk:
         return False
 
     def _group(self, known: _Clauses, query, clause, a, b, found: np.ndarray) -> None:
-        n, width = len(self.p.vids), int(known.size[clause].max())
+        n, width, own = len(self.p.vids), int(known.size[clause].max()), len(query)
+        free = None
+        if self.x is not None:
+            # States with nothing left to see and nothing forbidden beyond go on as plain reach, one for a query and vertex.
+            again, first, inverse = np.unique(query, return_index=True, return_inverse=True)
+            free = own + inverse
+            query, clause, a, b = (np.concatenate(x) for x in ((query, again), (clause, np.full(len(again), known.plain)), (a, a[first]), (b, b[first])))
         visited = np.zeros(len(query) * n * width, bool)
-        c, v, s = np.arange(len(query)), a.copy(), np.zeros(len(query), np.int64)
+        c, v, s = np.arange(own), a[:own].copy(), np.zeros(own, np.int64)
         visited[(c * n + v) * width + s] = True
         hop = 0
         while True:
             live = ~found[query[c]]
             c, v, s = c[live], v[live], s[live]
+            if free is not None and len(c):
+                done = self._label_done(known, clause, c, v, s) & (c < own)
+                c, s = np.where(done, free[np.minimum(c, own - 1)], c), np.where(done, 0, s)
+                key = (c * n + v) * width + s
+                key = np.unique(np.concatenate([key[~done], key[done & ~visited[key]]]))
+                visited[key] = True
+                self.effort["label_done"] += int(done.sum())
+                c, rest = np.divmod(key, n * width)
+                v, s = np.divmod(rest, width)
             if "certificate" in self.rules and len(c):
                 live = ~self._certified(known, query, clause, b, c, v, s, hop, found)
                 live &= ~found[query[c]]
@@ -532,10 +550,15 @@ class _Walk:
             keep(rule, ~bad)
         return state, slot
 
+    def _label_done(self, known, clause, c, v, s) -> np.ndarray:
+        """States with all labels seen and no forbidden label beyond."""
+        clean = ((self.x.out_l[v] & known.forb_words[clause[c]]) == 0).all(axis=1)
+        return ~known.whole[clause[c]] & (s == known.size[clause[c]] - 1) & clean
+
     def _certified(self, known, query, clause, b, c, v, s, hop, found) -> np.ndarray:
-        """States that prove their query: all seen, no forbidden label beyond, and the target in a tree interval."""
+        """States that prove their query: nothing left but plain reach, and the target in a tree interval."""
         x = self.x
-        done = ~known.whole[clause[c]] & (s == known.size[clause[c]] - 1) & ((x.out_l[v] & known.forb_words[clause[c]]) == 0).all(axis=1)
+        done = self._label_done(known, clause, c, v, s)
         if not self.empty_path and hop == 0:
             done &= v != b[c]
         inside = np.zeros(len(c), bool)

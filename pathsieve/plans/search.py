@@ -12,7 +12,7 @@ from dataclasses import dataclass, replace
 from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
@@ -75,7 +75,7 @@ def compile_queries(queries: DataFrame, alphabet: list[str], max_clauses: int =
 def label_edges(g: Graph) -> tuple[DataFrame, int]:
     """(src, dst, e...): each edge with its label's exact bit, and the words of the mask."""
     words = M.n_words(g.labels.agg(F.count("*")).first()[0] or 1)
-    rows = g.edges.join(F.broadcast(g.labels), "label")
+    rows = g.edges.join(g.labels, "label")
     return rows.select("src", "dst", *[M.bit_word(F.col("lid").cast("long"), w).alias(n) for w, n in enumerate(M.names("e", words))]), words
 
 
@@ -141,8 +141,11 @@ class _Run:
         return out | {"way_forbidden": ~forbidden, "horizon": ~ended, "inbound": before}
 
     def expand(self, frontier: DataFrame, clauses: DataFrame) -> DataFrame:
-        """States one edge further, repeats included, and whether each answers its query."""
-        live = frontier.join(clauses, ["qid", "clause"])
+        """States one edge further, repeats included, and whether each answers its query.
+
+        Clauses, of which a query has a bounded number, are hashed by partition; states, ways and edges are sorted and merged.
+        """
+        live = frontier.join(clauses.hint("shuffle_hash"), ["qid", "clause"])
         if self.index is not None:
             live = live.join(self.fused, "vid")
             filters = self.way_filters()
@@ -172,10 +175,10 @@ class _Run:
         there = at.select(F.col("vid").alias("dst"), "tree", "root", F.col("enter").alias("x"))
         return free.join(here, "vid").join(there, ["dst", "tree", "root"]).where("e0 <= x AND x <= e1").select("qid").distinct()
 
-    def dominated(self, states: DataFrame) -> DataFrame:
-        """Without states that see less than another of the same clause and vertex."""
+    def dominated(self, states: DataFrame, visited: DataFrame) -> DataFrame:
+        """Without states that see less than another of the same clause and vertex, new or visited."""
         s = M.names("s", self.words)
-        more = states.select("qid", "clause", "vid", *[F.col(x).alias("x" + x) for x in s])
+        more = states.select(*self.state).unionByName(visited.select(*self.state)).select("qid", "clause", "vid", *[F.col(x).alias("x" + x) for x in s])
         bigger = M.mask_contains([more["x" + x] for x in s], [states[x] for x in s]) & ~M.mask_equal([more["x" + x] for x in s], [states[x] for x in s])
         same = (states.qid == more.qid) & (states.clause == more.clause) & (states.vid == more.vid)
         return states.join(more, same & bigger, "left_anti")
@@ -204,13 +207,19 @@ class _Run:
                 live = live.join(sure.select("qid"), "qid", "left_anti")
             hop += 1
             t = time.time()
+            seen_live, seen_next = Observation(), Observation()
+            if self.cfg.trace:
+                live = live.observe(seen_live, F.count("*").alias("n"))
             candidates = self.expand(live, clauses).distinct()
+            if self.cfg.trace:
+                candidates = candidates.observe(seen_next, F.count("*").alias("n"))
             fresh = candidates.join(states.all.select(*self.state), self.state, "left_anti")
             if self.cfg.dominance:
-                fresh = self.dominated(fresh)
+                fresh = self.dominated(fresh, states.all)
             grown = states.add(fresh.withColumn("hop", F.lit(hop)))
             if self.cfg.trace:
-                self.trace.append((hop, live.count(), candidates.count(), states.last.count() if grown else 0, time.time() - t))
+                counts = [seen.get.get("n") or 0 for seen in (seen_live, seen_next)]
+                self.trace.append((hop, *counts, states.last.count() if grown else 0, time.time() - t))
             if not grown:
                 break
             if targets:

@@ -67,6 +67,11 @@ def mixed(alphabet: list[str], depth: int, seed: int) -> str:
     return build(depth)
 
 
+def stratified_edges(g: Graph, shares: dict[str, float], seed: int = 1) -> DataFrame:
+    """A sample of the edges with a share of its own for each label; labels that are not named have none."""
+    return g.edges.sampleBy("label", shares, seed)
+
+
 class ShortSet(ValueError):
     """Not enough true or false queries were found."""
 

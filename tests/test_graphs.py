@@ -11,12 +11,13 @@ from pathsieve.operators import graph as G
 from pathsieve.plans import baselines as B
 from pathsieve.plans import measures as S
 from pathsieve.plans import search as A
-from pathsieve.plans.index import IndexConfig, TwoAxisIndex, build_index, outbound_masks, tree_intervals
+from pathsieve.plans.index import IndexConfig, TwoAxisIndex, build_index, inbound_masks, outbound_masks, tree_intervals
 
 EXAMPLE = {0: "1:ac 2:ab 7:b 8:e", 1: "3:d", 2: "3:c", 3: "5:b", 4: "5:ad 6:b", 7: "2:a 8:a 9:be", 8: "4:b"}
 HASH = {1: 3, 2: 2, 3: 3, 4: 1, 5: 1, 6: 2, 7: 5, 8: 4, 9: 4}
 WAYS = {(0, 1): 1, (0, 2): 1, (0, 7): 2, (0, 8): 2, (7, 2): 1, (7, 8): 1, (7, 9): 2}
 ROWS = {(0, 1): ("123", "11110", "23", "11100"), (0, 2): ("12345", "11111", "45", "01001"), (4, 1): ("12", "11010", "12", "11010"), (7, 1): ("1234", "11110", "24", "10000"), (7, 2): ("4", "01001", "4", "01001"), (8, 1): ("12", "11010", "1", "01000")}
+ROUNDS = A.SearchConfig(place="rounds")
 ASKED = [(1, 0, 5, "b AND d", True), (2, 0, 4, "NONE{a,b}", False), (3, 0, 4, "NOT (a AND b)", True), (4, 0, 5, "NONE{b}", False), (5, 7, 4, "NOT a", False), (6, 0, 6, "b AND e", True)]
 
 
@@ -67,7 +68,7 @@ def test_golden_answers_by_every_method(spark, example):
     g, ix = example
     q = asked(spark, [r[:4] for r in ASKED])
     want = {r[0]: r[4] for r in ASKED}
-    assert got(A.answer(g, q, ix)) == got(A.answer(g, q)) == got(B.plain_sequential(g, q)) == want
+    assert got(A.answer(g, q, ix, ROUNDS)) == got(A.answer(g, q, None, ROUNDS)) == got(B.plain_sequential(g, q)) == want
     assert got(A.answer(g, q, None, A.SearchConfig(mode="mask"))) == want
     assert got(B.plain_sequential(g, q, reach=B.point_masks(ix, g.alphabet()))) == want
     assert got(B.answer_simple(g, q, 6)) == want
@@ -97,7 +98,7 @@ def test_traps_in_one_graph(spark):
     g = G.Graph.of(spark, rows).stored()
     q = asked(spark, queries)
     ix = build_index(g, IndexConfig(vertex_bits=7, k=3, way_count="one"))
-    assert got(A.answer(g, q)) == want == got(A.answer(g, q, ix))
+    assert got(A.answer(g, q, None, ROUNDS)) == want == got(A.answer(g, q, ix, ROUNDS))
     assert S.no_false_negative(g, ix).first()[0] == 0 == S.check_monotone(g, ix).first()[0]
 
 
@@ -125,9 +126,9 @@ def test_random_graphs_agree_with_brute_force(spark):
             want[qid] = brute(own, s, d, P.parse_pattern(text))
     g = G.Graph.of(spark, rows).stored()
     q = asked(spark, queries)
-    assert got(A.answer(g, q)) == want
+    assert got(A.answer(g, q, None, ROUNDS)) == want == got(A.answer(g, q, None, A.SearchConfig(place="rounds", dominance=True)))
     for cfg in (IndexConfig(vertex_bits=9, k=2, n_hash=2), IndexConfig(vertex_bits=16, k=1, way_rule="overlap", include_self=True, trees=0)):
-        assert got(A.answer(g, q, build_index(g, cfg))) == want, cfg
+        assert got(A.answer(g, q, build_index(g, cfg), ROUNDS)) == want, cfg
     sets = [(i, s, d, list("ab")) for i, (_, s, d, _) in enumerate(queries[:60])]
     qa = spark.createDataFrame(sets, "qid long, src long, dst long, allowed array<string>")
     truth = {i: brute([r for r in rows if r[2] in "ab"], s, d, P.TRUE) for i, s, d, _ in sets}
@@ -151,10 +152,38 @@ def test_index_survives_storage(spark, example, tmp_path):
     assert S.index_space(ix) > 0 and S.way_profile(ix).first()["n_vertices"] == 7
 
 
+def test_bucketed_tables_join_without_a_shuffle(spark, example):
+    g, _ = example
+    build_index(g, IndexConfig(k=1)).save_tables("bucketed_example", 2)
+    ix = TwoAxisIndex.load_tables(spark, "bucketed_example")
+    assert got(A.answer(g, asked(spark, [r[:4] for r in ASKED]), ix)) == {r[0]: r[4] for r in ASKED}
+    plan = ix.own.hint("merge").join(ix.out.hint("merge"), "vid")._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" in plan and "Exchange" not in plan
+    for t in (*TwoAxisIndex._TABLES, "meta"):
+        spark.sql(f"DROP TABLE bucketed_example_{t}")
+
+
+def test_statistics_and_samples(spark, example):
+    g, _ = example
+    exact, near = G.graph_stats(g).first(), G.approximate_stats(g).first()
+    assert (near.n_vertices, near.n_pairs, near.n_labels) == (exact.n_vertices, exact.n_pairs, exact.n_labels) == (10, 13, 5)
+    assert exact.mean_degree == pytest.approx(1.7) and exact.skew == pytest.approx(4 * 10 / 13)
+    from pathsieve.plans import workload as W
+
+    assert {r.label for r in W.stratified_edges(g, {"a": 1.0, "b": 0.0}).collect()} == {"a"}
+    walks = {(r.src, r.dst) for r in W.walk_pairs(g, 40, hops=3).collect()}
+    reach = {(r.src, r.dst) for r in G.closure_vertices(g).collect()}
+    assert walks <= reach and len(walks) > 5
+    with pytest.raises(W.ShortSet):
+        W.make_queries(G.Graph.of(spark, [(0, 1, "a")]).stored(), "ANY", 5, 500, 1, most_tries=1)
+
+
 def test_orders_agree_and_components(spark):
     dag = G.Graph.of(spark, edges_of(EXAMPLE)).stored()
     rows = lambda g, o: {tuple(r) for r in outbound_masks(g, IndexConfig(order=o)).collect()}
     assert rows(dag, "fixpoint") == rows(dag, "levels") == rows(dag, "scc") and G.is_acyclic(dag)
+    into = lambda o: {tuple(r) for r in inbound_masks(dag, IndexConfig(order=o)).collect()}
+    assert into("fixpoint") == into("levels") == into("scc")
     ring = G.Graph.of(spark, [(0, 1, "a"), (1, 2, "a"), (2, 0, "b"), (2, 3, "c"), (3, 4, "a"), (4, 3, "b"), (5, 5, "a")]).stored()
     assert rows(ring, "fixpoint") == rows(ring, "scc") and not G.is_acyclic(ring)
     assert {tuple(r) for r in G.scc(ring).collect()} == {(0, 0), (1, 0), (2, 0), (3, 3), (4, 3), (5, 5)}
@@ -187,7 +216,7 @@ def test_travel_queries(spark):
 def test_small_and_empty_graphs(spark):
     empty = G.Graph.of(spark, []).stored()
     q = asked(spark, [(1, 0, 1, "a"), (2, 3, 3, "NOT a"), (3, 0, 1, "FALSE")])
-    assert got(A.answer(empty, q)) == {1: False, 2: True, 3: False} == got(A.answer(empty, q, build_index(empty)))
+    assert got(A.answer(empty, q, None, ROUNDS)) == {1: False, 2: True, 3: False} == got(A.answer(empty, q, build_index(empty), ROUNDS))
     nulls = G.Graph.from_edges(spark.createDataFrame([(1, 2, "a"), (None, 2, "a"), (1, None, "b"), (1, 2, None), (1, 2, "a")], "src long, dst long, label string"))
     assert nulls.edges.count() == 1
 
