@@ -1,6 +1,6 @@
 """Headline timings at $BENCH_SF_DIR on local[$BENCH_CPUS]; prints one JSON line.
 
-``python bench.py --table NAME`` runs a whole experiment instead and prints its rows: graphs, index, all, any, none, mixed,
+``python bench.py --table NAME`` runs a whole experiment instead and prints its rows: queries (every operator on every graph, or on those named after it), graphs, index, all, any, none, mixed,
 allowed, uniform, preferential, ablation, acyclic, labels.
 """
 
@@ -42,7 +42,10 @@ def tables(spark: SparkSession, sf_dir: str) -> dict:
 
 
 def headline(spark: SparkSession, sf_dir: str) -> dict[str, float]:
-    """2,000 pairs a set, with the index and without, on arrays (graphs within the bound); then the same index and search in rounds."""
+    """2,000 pairs a set, with the index and without, on arrays (graphs within the bound); on one graph also the index and search in rounds.
+
+    Arrays are sent to all tasks before the clock of a set starts.
+    """
     from pathsieve.loop import cut
     from pathsieve.plans import point
     from pathsieve.plans import search as A
@@ -69,11 +72,13 @@ def headline(spark: SparkSession, sf_dir: str) -> dict[str, float]:
         pairs = cut(W.sample_pairs(g, 1000).unionByName(W.walk_pairs(g, 1000, 1000)), "asked")
         ask = lambda text: pairs.selectExpr("*", "'" + text.replace("'", "''") + "' AS pattern")
         for p in (ix, arrays):
-            point.answer(g, p, ask("TRUE").limit(1)).collect()
+            point.answer(g, p, ask("FALSE")).count()
         for kind, text in patterns.items():
             found = [clock(f"{kind}_{name}_{how}", lambda g=g, q=ask(text), p=p: point.answer(g, p, q).where("answer").count()) for how, p in (("index", ix), ("plain", arrays))]
             if found[0] != found[1]:
                 raise AssertionError(f"{kind} on {name}: {found}")
+        if name == "supply_star":
+            continue
         tables = clock(f"build_rounds_{name}", lambda g=g, cfg=cfg: build_index(g, cfg))
         q = ask(patterns["and"])
         clock(f"and_rounds_{name}_index", lambda g=g, q=q, t=tables: A.answer(g, q, t, rounds).where("answer").count())
@@ -84,6 +89,14 @@ def headline(spark: SparkSession, sf_dir: str) -> dict[str, float]:
 def main() -> None:
     sf_dir = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
     spark = session()
+    if sys.argv[1:3] == ["--table", "queries"]:
+        from pathsieve.plans import experiments as X
+
+        chosen = {"names": sys.argv[3].split(",")} if len(sys.argv) > 3 else {}
+        for part in X.all_queries(spark, sf_dir, **chosen):
+            for row in part.collect():
+                print(json.dumps(row.asDict()), flush=True)
+        return
     if sys.argv[1:2] == ["--table"]:
         for row in tables(spark, sf_dir)[sys.argv[2]]().collect():
             print(json.dumps(row.asDict()))

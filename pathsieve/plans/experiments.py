@@ -78,15 +78,30 @@ def table_queries(spark: SparkSession, sf_dir: str, op: str, names=TABLE_GRAPHS,
     for name in names:
         g = load(spark, sf_dir, name)
         arrays = point.load(g)
-        ix = point.build(g, cfg, graph=arrays)
-        q = W.make_queries(g, op, n, n, n_labels or labels_asked(g), short=True)
-        out.append(S.query_time(spark, name, OURS, op, lambda x, g=g, ix=ix: point.answer(g, ix, x), q))
-        out.append(S.query_time(spark, name, PLAIN, op, lambda x, g=g, a=arrays: point.answer(g, a, x), q))
-        work = {m: {r["measure"]: r["n"] for r in point.effort(g, p, q).collect()} for m, p in ((OURS, ix), (PLAIN, arrays))}
-        out += [S.rows(spark, name, m, op, **{f"effort_{k}": v for k, v in w.items()}) for m, w in work.items()]
+        out.append(query_rows(spark, name, g, arrays, point.build(g, cfg, graph=arrays), op, n, n_labels or labels_asked(g)))
     return _union(out)
 
 
+def query_rows(spark: SparkSession, name: str, g: Graph, arrays: point.PointGraph, ix: point.PointGraph, op: str, n: int, n_labels: int | str) -> DataFrame:
+    """Times and effort of one operator on one graph."""
+    q = W.make_queries(g, op, n, n, n_labels, most_tries=5, short=True, solve=lambda x: point.answer(g, ix, x))
+    out = [S.query_time(spark, name, OURS, op, lambda x: point.answer(g, ix, x), q), S.query_time(spark, name, PLAIN, op, lambda x: point.answer(g, arrays, x), q)]
+    for method, p in ((OURS, ix), (PLAIN, arrays)):
+        out.append(S.rows(spark, name, method, op, **{f"effort_{r['measure']}": r["n"] for r in point.effort(g, p, q).collect()}))
+    return _union(out)
+
+
+def all_queries(spark: SparkSession, sf_dir: str, names=TABLE_GRAPHS, ops=("ALL", "ANY", "NONE", "ONLY"), n: int = 2000, n_labels: int | None = None):
+    """Rows of every operator on every graph, one table after the other as they are done; allowed sets hold half the labels."""
+    for name in names:
+        g = load(spark, sf_dir, name)
+        arrays = point.load(g)
+        ix, row = S.index_time(spark, name, OURS, "-", lambda: point.build(g, graph=arrays))
+        yield row.unionByName(S.rows(spark, name, OURS, "-", index_mb=S.index_space(ix)))
+        for op in ops:
+            yield query_rows(spark, name, g, arrays, ix, op, n, "half" if op == "ONLY" else n_labels or labels_asked(g))
+
+
 def table_allowed(spark: SparkSession, sf_dir: str, names=TABLE_GRAPHS, n: int = 2000, cap: float = 60) -> DataFrame:
     """Times of ``n`` true and ``n`` false allowed-set queries: ours, an edge filter, and both two-hop covers where they can be built."""
     out = []

@@ -138,7 +138,7 @@ def _closed(n: int, src: np.ndarray, dst: np.ndarray, seed: np.ndarray) -> np.nd
     """Masks of all vertices under out(u) = seed(u) OR out of all successors; only changed masks are sent on."""
     order = np.argsort(src, kind="stable")
     src, dst = src[order], dst[order]
-    out, changed = seed.copy(), seed.any(axis=1)
+    out, changed = seed.copy(), _some(seed)
     while changed.any():
         use = np.flatnonzero(changed[dst])
         s = src[use]
@@ -148,7 +148,7 @@ def _closed(n: int, src: np.ndarray, dst: np.ndarray, seed: np.ndarray) -> np.nd
         sent = np.bitwise_or.reduceat(out[dst[use]], first, axis=0)
         at = s[first]
         new = out[at] | sent
-        moved = (new != out[at]).any(axis=1)
+        moved = _some(new ^ out[at])
         out[at] = new
         changed = np.zeros(n, bool)
         changed[at[moved]] = True
@@ -386,8 +386,19 @@ class _Clauses:
 
 
 def _has(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Rows of ``a`` that hold every bit of the row of ``b``."""
-    return ((a & b) == b).all(axis=1)
+    """Rows of ``a`` that hold every bit of the row of ``b``, word by word."""
+    out = (a[:, 0] & b[:, 0]) == b[:, 0]
+    for w in range(1, a.shape[1]):
+        out &= (a[:, w] & b[:, w]) == b[:, w]
+    return out
+
+
+def _some(a: np.ndarray) -> np.ndarray:
+    """Rows with any bit."""
+    out = a[:, 0] != 0
+    for w in range(1, a.shape[1]):
+        out |= a[:, w] != 0
+    return out
 
 
 class _Walk:
@@ -529,22 +540,22 @@ class _Walk:
             state, slot = state[good], slot[good]
 
         if "way_vertex" in self.rules:
-            target = b[c[state]]
-            keep("way_vertex", _has(x.wide_v[slot], x.own[target] | x.out_v[target]))
+            target = x.own[b] | x.out_v[b]
+            keep("way_vertex", _has(x.wide_v[slot], target[c[state]]))
         need = lambda: known.missing[known.at[clause[c[state]]] + s[state]]
         if "way_required" in self.rules:
             keep("way_required", _has(x.wide_l[slot], need()))
         for rule in ("way_forbidden", "horizon"):
-            if rule not in self.rules or not len(x.near_v):
+            if rule not in self.rules or not len(x.near_v) or (rule == "way_forbidden" and not known.forb_words[clause].any()):
                 continue
             target, bad, nearer = x.own[b[c[state]]], np.zeros(len(slot), bool), np.zeros(len(slot), bool)
             missing, forb, seen = need(), known.forb_words[clause[c[state]]], np.zeros_like(known.forb_words[clause[c[state]]])
             for hop in range(len(x.near_v)):
                 layer = x.near_l[hop][slot]
                 if rule == "way_forbidden":
-                    bad |= layer.any(axis=1) & _has(forb, layer) & ~nearer
+                    bad |= _some(layer) & _has(forb, layer) & ~nearer
                 elif hop:
-                    bad |= ~layer.any(axis=1) & (~nearer | ~_has(seen, missing))
+                    bad |= ~_some(layer) & (~nearer | ~_has(seen, missing))
                 nearer |= _has(x.near_v[hop][slot], target)
                 seen = seen | layer
             keep(rule, ~bad)
@@ -552,7 +563,7 @@ class _Walk:
 
     def _label_done(self, known, clause, c, v, s) -> np.ndarray:
         """States with all labels seen and no forbidden label beyond."""
-        clean = ((self.x.out_l[v] & known.forb_words[clause[c]]) == 0).all(axis=1)
+        clean = ~_some(self.x.out_l[v] & known.forb_words[clause[c]])
         return ~known.whole[clause[c]] & (s == known.size[clause[c]] - 1) & clean
 
     def _certified(self, known, query, clause, b, c, v, s, hop, found) -> np.ndarray:

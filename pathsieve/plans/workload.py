@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import weakref
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -13,6 +15,18 @@ from pathsieve.plans.search import SearchConfig, answer
 SRC, DST, LAB = (7919, 13), (104736, 3), (15485863, 11)
 
 
+_made: weakref.WeakKeyDictionary = weakref.WeakKeyDictionary()
+
+
+def _once(g: Graph, name: str, make) -> tuple[DataFrame, int]:
+    """A table of a graph and its rows, made once for all sets drawn from it."""
+    held = _made.setdefault(g, {})
+    if name not in held:
+        table = make()
+        held[name] = (table, table.count())
+    return held[name]
+
+
 def numbered_vertices(g: Graph) -> DataFrame:
     """(i, vid): vertices numbered in order of id."""
     return encode_vertices(g.vertices().withColumnRenamed("vid", "ext_id")).select(F.col("vid").alias("i"), F.col("ext_id").alias("vid"))
@@ -20,8 +34,7 @@ def numbered_vertices(g: Graph) -> DataFrame:
 
 def sample_pairs(g: Graph, n: int, first: int = 0) -> DataFrame:
     """(qid, src, dst) for qid first..first+n-1 by an arithmetic rule on vertex numbers; the same in any engine."""
-    v = cut(numbered_vertices(g), "numbered")
-    total = v.count()
+    v, total = _once(g, "vertices", lambda: cut(numbered_vertices(g), "numbered"))
     q = g.edges.sparkSession.range(first, first + n).withColumnRenamed("id", "qid")
     if total == 0:
         return q.select("qid", F.lit(0).cast("long").alias("src"), F.lit(0).cast("long").alias("dst")).limit(0)
@@ -34,9 +47,9 @@ def walk_pairs(g: Graph, n: int, first: int = 0, hops: int = 6) -> DataFrame:
 
     A walk that can go no further ends there. Sources without successors are replaced by those with.
     """
-    pairs = cut(g.edges.select("src", "dst").distinct(), "pairs")
-    v = cut(encode_vertices(pairs.select(F.col("src").alias("ext_id"))), "numbered")
-    total = max(v.count(), 1)
+    pairs, _ = _once(g, "pairs", lambda: cut(g.edges.select("src", "dst").distinct(), "pairs"))
+    v, total = _once(g, "sources", lambda: cut(encode_vertices(pairs.select(F.col("src").alias("ext_id"))), "numbered"))
+    total = max(total, 1)
     q = g.edges.sparkSession.range(first, first + n).select(F.col("id").alias("qid"), ((F.col("id") * SRC[0] + SRC[1]) % total).alias("vid"))
     at = q.join(v, "vid").select("qid", F.col("ext_id").alias("src"), F.col("ext_id").alias("dst"))
     for step in range(hops):
