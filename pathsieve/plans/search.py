@@ -12,12 +12,12 @@ from dataclasses import dataclass, replace
 from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Observation
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathsieve.functions import masks as M
 from pathsieve.functions import patterns as P
-from pathsieve.loop import Layers, cut
+from pathsieve.loop import Layers, cut, cut_counted, scratch
 from pathsieve.operators.graph import Graph
 from pathsieve.plans import point
 from pathsieve.plans.index import TwoAxisIndex
@@ -100,6 +100,7 @@ class _Run:
         edges, self.words = label_edges(g)
         self.rules = set(cfg.rules) if index is not None else set()
         self.state = ["qid", "clause", "vid", *M.names("s", self.words)]
+        self.carry = ["dst", *M.names("r", self.words), *M.names("f", self.words)]
         if index is None:
             self.edges = cut(edges, "edges")
         else:
@@ -109,6 +110,7 @@ class _Run:
             fused = index.fused().join(own, "vid", "left").join(index.inbound, "vid", "left")
             self.fused = cut(fused.na.fill({p + n[1:]: 0 for n in vw for p in "mi"}), "fused")
             self.nv, self.nl = len(index.cfg.vw), len(index.cfg.lw)
+            self.carry += [p + n[1:] for p in "dot" for n in index.cfg.vw]
             if not index.exact:
                 self.rules.discard("way_forbidden")
         self.trace: list[tuple] = []
@@ -140,35 +142,41 @@ class _Run:
         before = M.mask_contains(target, _cs("i", self.nv)) & M.mask_contains(target, _cs("m", self.nv))
         return out | {"way_forbidden": ~forbidden, "horizon": ~ended, "inbound": before}
 
-    def expand(self, frontier: DataFrame, clauses: DataFrame) -> DataFrame:
-        """States one edge further, repeats included, and whether each answers its query.
+    def start(self, clauses: DataFrame) -> DataFrame:
+        """The first states: at each clause's source, nothing seen."""
+        return clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(x) for x in M.names("s", self.words)], *self.carry)
 
-        Clauses, of which a query has a bounded number, are hashed by partition; states, ways and edges are sorted and merged.
+    def expand(self, frontier: DataFrame) -> DataFrame:
+        """Distinct states one edge further, and whether each answers its query.
+
+        States bring what their clause asks along, so no hop joins the clauses; they are grouped by what makes them distinct, which is
+        also how they then meet the visited ones.
         """
-        live = frontier.join(clauses.hint("shuffle_hash"), ["qid", "clause"])
+        live = frontier
         if self.index is not None:
             live = live.join(self.fused, "vid")
             filters = self.way_filters()
             for name, condition in filters.items():
                 if name in self.rules:
                     live = live.where(condition)
-            live = live.select(*self.state, "way", "dst", *M.names("r", self.words), *M.names("f", self.words))
+            live = live.select(*self.state, "way", *self.carry)
             steps = live.withColumnRenamed("vid", "src").join(self.edges.withColumnRenamed("dst", "to"), ["src", "way"])
         else:
             steps = live.withColumnRenamed("vid", "src").join(self.edges.withColumnRenamed("dst", "to"), "src")
         steps = steps.where(M.mask_disjoint(_cs("e", self.words), _cs("f", self.words)))
         seen = [s.bitwiseOR(e.bitwiseAND(r)).alias(n) for s, e, r, n in zip(_cs("s", self.words), _cs("e", self.words), _cs("r", self.words), M.names("s", self.words), strict=True)]
-        states = steps.select("qid", "clause", F.col("to").alias("vid"), *seen, "dst", *M.names("r", self.words))
+        states = steps.select("qid", "clause", F.col("to").alias("vid"), *seen, *self.carry)
+        states = states.groupBy(*self.state).agg(*[F.any_value(c).alias(c) for c in self.carry])
         hit = (F.col("vid") == F.col("dst")) & M.mask_contains(_cs("s", self.words), _cs("r", self.words))
-        return states.select(*self.state, F.coalesce(hit, F.lit(False)).alias("hit"))
+        return states.withColumn("hit", F.coalesce(hit, F.lit(False)))
 
-    def certified(self, states: DataFrame, clauses: DataFrame) -> DataFrame:
+    def certified(self, states: DataFrame) -> DataFrame:
         """qids with a state from which only reachability is left, proved by a tree interval.
 
         Nothing is left to see, and no forbidden label lies beyond the vertex: a clear bit proves its absence even where labels are folded.
         """
         out = self.index.out.select("vid", *[F.col(n).alias("b" + n[1:]) for n in self.index.cfg.lw])
-        done = states.join(clauses, ["qid", "clause"]).where(M.mask_empty(self._missing())).join(out, "vid", "left").na.fill({"b" + n[1:]: 0 for n in self.index.cfg.lw})
+        done = states.where(M.mask_empty(self._missing())).join(out, "vid", "left").na.fill({"b" + n[1:]: 0 for n in self.index.cfg.lw})
         free = done.where(M.mask_disjoint(_cs("b", self.nl), self._folded(_cs("f", self.words)))).select("qid", "vid", "dst").distinct()
         at = self.index.interval
         here = at.select("vid", "tree", "root", F.col("enter").alias("e0"), F.col("leave").alias("e1"))
@@ -188,18 +196,17 @@ class _Run:
         if self.index is not None:
             clauses = _target_columns(clauses, self.index)
         clauses = cut(clauses.where("clause >= 0"), "clauses")
-        start = clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(x) for x in M.names("s", self.words)])
-        states = Layers(start.select("*", F.lit(False).alias("hit"), F.lit(0).alias("hop")), "states")
+        states = Layers(self.start(clauses).select("*", F.lit(False).alias("hit"), F.lit(0).alias("hop")), "states")
         hits, answered, hop = [], None, 0
         if self.cfg.empty_path and targets:
             hits.append(cut(clauses.where(F.col("src") == F.col("dst")).where(M.mask_empty(_cs("r", self.words))).select("qid").distinct().withColumn("hop", F.lit(0)), "hits"))
             answered = hits[0].select("qid")
         while True:
-            live = states.last.select(*self.state)
+            live = states.last.drop("hit", "hop")
             if answered is not None:
                 live = live.join(answered, "qid", "left_anti")
             if "certificate" in self.rules and targets:
-                sure = self.certified(live, clauses)
+                sure = self.certified(live)
                 if not self.cfg.empty_path and hop == 0:
                     sure = sure.join(clauses.where(F.col("src") == F.col("dst")).select("qid"), "qid", "left_anti")
                 sure = cut(sure.withColumn("hop", F.lit(hop)), "hits")
@@ -207,18 +214,19 @@ class _Run:
                 live = live.join(sure.select("qid"), "qid", "left_anti")
             hop += 1
             t = time.time()
-            seen_live, seen_next = Observation(), Observation()
+            counts = []
             if self.cfg.trace:
-                live = live.observe(seen_live, F.count("*").alias("n"))
-            candidates = self.expand(live, clauses).distinct()
+                live, _, n = cut_counted(live, "live")
+                counts.append(n)
+            candidates = self.expand(live)
             if self.cfg.trace:
-                candidates = candidates.observe(seen_next, F.count("*").alias("n"))
+                candidates, _, n = cut_counted(candidates, "candidates")
+                counts.append(n)
             fresh = candidates.join(states.all.select(*self.state), self.state, "left_anti")
             if self.cfg.dominance:
                 fresh = self.dominated(fresh, states.all)
             grown = states.add(fresh.withColumn("hop", F.lit(hop)))
             if self.cfg.trace:
-                counts = [seen.get.get("n") or 0 for seen in (seen_live, seen_next)]
                 self.trace.append((hop, *counts, states.last.count() if grown else 0, time.time() - t))
             if not grown:
                 break
@@ -227,9 +235,9 @@ class _Run:
             if self.cfg.max_rounds is not None and hop >= self.cfg.max_rounds:
                 break
         if not targets:
-            return clauses.select("qid", F.lit(0).alias("hop")).limit(0), states.all.drop("hit")
+            return clauses.select("qid", F.lit(0).alias("hop")).limit(0), states.all.select(*self.state, "hop")
         hits.append(states.all.where("hit").select("qid", "hop"))
-        return reduce(DataFrame.unionByName, hits).groupBy("qid").agg(F.min("hop").alias("hop")), states.all.drop("hit")
+        return reduce(DataFrame.unionByName, hits).groupBy("qid").agg(F.min("hop").alias("hop")), states.all.select(*self.state, "hop")
 
 
 def _mask_mode(queries: DataFrame, g: Graph, alphabet: list[str]) -> tuple[DataFrame, dict[str, object]]:
@@ -261,6 +269,12 @@ def answer(g: Graph, queries: DataFrame, index: TwoAxisIndex | None = None, cfg:
                 raise
         else:
             return point.answer(g, held, queries, cfg.rules, cfg.empty_path, cfg.max_clauses)
+    with scratch(g.edges.sparkSession) as kept:
+        return kept.keep(cut(_answer_in_rounds(g, queries, index, cfg), "answers"))
+
+
+def _answer_in_rounds(g: Graph, queries: DataFrame, index: TwoAxisIndex | None, cfg: SearchConfig) -> DataFrame:
+    """As :func:`answer` by states that move between tasks; what the rounds wrote is read by the result."""
     alphabet = g.alphabet()
     if cfg.mode == "mask":
         return _answer_by_mask(g, queries, cfg, alphabet)
@@ -294,7 +308,11 @@ def answer_shared(g: Graph, queries: DataFrame, cfg: SearchConfig | None = None)
 
     For patterns over few labels together; the states of a source are shared by all its queries and targets.
     """
-    cfg = cfg or SearchConfig()
+    with scratch(g.edges.sparkSession) as kept:
+        return kept.keep(cut(_answer_shared(g, queries, cfg or SearchConfig()), "answers"))
+
+
+def _answer_shared(g: Graph, queries: DataFrame, cfg: SearchConfig) -> DataFrame:
     alphabet = g.alphabet()
     clauses, formulas = _mask_mode(queries, g, alphabet)
     run = _Run(g, None, cfg)
@@ -311,14 +329,17 @@ def answer_shared(g: Graph, queries: DataFrame, cfg: SearchConfig | None = None)
 
 def pattern_distance(g: Graph, queries: DataFrame, cfg: SearchConfig | None = None) -> DataFrame:
     """(qid, hops): fewest edges of a walk that satisfies the pattern; null if there is none."""
-    hits, _ = _Run(g, None, cfg or SearchConfig()).run(compile_queries(queries, g.alphabet()))
-    return queries.select("qid").distinct().join(hits, "qid", "left").select("qid", F.col("hop").alias("hops"))
+    with scratch(g.edges.sparkSession) as kept:
+        hits, _ = _Run(g, None, cfg or SearchConfig()).run(compile_queries(queries, g.alphabet()))
+        hops = queries.select("qid").distinct().join(hits, "qid", "left").select("qid", F.col("hop").alias("hops"))
+        return kept.keep(cut(hops, "hops"))
 
 
 def trace(g: Graph, queries: DataFrame, index: TwoAxisIndex | None = None, rules: tuple[str, ...] = RULES) -> DataFrame:
     """(round, states, candidates, kept, seconds) of a run."""
-    run = _Run(g, index, SearchConfig(rules=rules, trace=True))
-    run.run(compile_queries(queries, g.alphabet()))
+    with scratch(g.edges.sparkSession):
+        run = _Run(g, index, SearchConfig(rules=rules, trace=True))
+        run.run(compile_queries(queries, g.alphabet()))
     return g.edges.sparkSession.createDataFrame(run.trace, "round int, states long, candidates long, kept long, seconds double")
 
 
@@ -326,11 +347,12 @@ def answer_from(g: Graph, sources: DataFrame, pattern: str) -> DataFrame:
     """(src, dst): all targets of each source (vid) under a pattern, by one edge or more."""
     alphabet = g.alphabet()
     queries = sources.select(F.col("vid").alias("qid"), F.col("vid").alias("src"), F.lit(None).cast("long").alias("dst"), F.lit(pattern).alias("pattern")).distinct()
-    run = _Run(g, None, SearchConfig())
-    clauses = compile_queries(queries, alphabet)
-    _, visited = run.run(clauses, targets=False)
-    full = visited.where("hop > 0").join(clauses.drop("src", "dst"), ["qid", "clause"]).where(M.mask_empty(run._missing()))
-    return full.select(F.col("qid").alias("src"), F.col("vid").alias("dst")).distinct()
+    with scratch(g.edges.sparkSession) as kept:
+        run = _Run(g, None, SearchConfig())
+        clauses = compile_queries(queries, alphabet)
+        _, visited = run.run(clauses, targets=False)
+        full = visited.where("hop > 0").join(clauses.drop("src", "dst"), ["qid", "clause"]).where(M.mask_empty(run._missing()))
+        return kept.keep(cut(full.select(F.col("qid").alias("src"), F.col("vid").alias("dst")).distinct(), "targets"))
 
 
 def reach_counts(g: Graph, sources: DataFrame, pattern: str, top: int | None = None) -> DataFrame:
@@ -350,13 +372,13 @@ def quick(g: Graph, queries: DataFrame, index: TwoAxisIndex) -> DataFrame:
     """(qid, answer) of the queries that the index alone decides: refuted at the source, or certified with nothing to check."""
     run = _Run(g, index, SearchConfig())
     clauses = cut(_target_columns(compile_queries(queries, g.alphabet()), index), "clauses")
-    start = clauses.select("qid", "clause", F.col("src").alias("vid"), *[F.lit(0).cast("long").alias(x) for x in M.names("s", run.words)])
+    start = run.start(clauses)
     loops = queries.where("src = dst").select("qid")
-    open_states = start.join(clauses, ["qid", "clause"]).join(run.fused, "vid")
+    open_states = start.join(run.fused, "vid")
     for name, condition in run.way_filters().items():
         if name in run.rules:
             open_states = open_states.where(condition)
     left = open_states.select("qid").distinct()
-    true = run.certified(start, clauses).join(loops, "qid", "left_anti")
+    true = run.certified(start).join(loops, "qid", "left_anti")
     false = queries.select("qid").distinct().join(left, "qid", "left_anti").join(loops, "qid", "left_anti")
     return true.withColumn("answer", F.lit(True)).unionByName(false.join(true, "qid", "left_anti").withColumn("answer", F.lit(False)))

@@ -227,9 +227,8 @@ def test_no_python_in_the_mask_loop(spark, example):
     clauses = A._target_columns(A.compile_queries(asked(spark, [r[:4] for r in ASKED]), g.alphabet()), ix)
     from pathsieve.loop import cut
 
-    clauses = cut(clauses)
-    start = clauses.select("qid", "clause", F.col("src").alias("vid"), F.lit(0).cast("long").alias("s0"))
-    plan = run.expand(start, clauses)._jdf.queryExecution().executedPlan().toString()
+    frontier = cut(run.start(cut(clauses)))
+    plan = run.expand(frontier)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Cartesian" not in plan and "NestedLoop" not in plan
 
 
