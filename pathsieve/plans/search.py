@@ -254,7 +254,7 @@ def _mask_mode(queries: DataFrame, g: Graph, alphabet: list[str]) -> tuple[DataF
 
 
 def answer(g: Graph, queries: DataFrame, index: TwoAxisIndex | None = None, cfg: SearchConfig | None = None) -> DataFrame:
-    """(qid, answer) of pattern queries (qid, src, dst, pattern); walks may repeat vertices and edges.
+    """(qid, answer) of pattern queries (qid, src, dst, pattern) with unique qids; walks may repeat vertices and edges.
 
     Unknown vertices and labels are simply absent. A query with src = dst also has the empty path, which has no label.
     Patterns with too many clauses are answered by their formula. ``index`` may be tables or arrays
