@@ -232,6 +232,21 @@ def test_no_python_in_the_mask_loop(spark, example):
     assert "Python" not in plan and "Arrow" not in plan and "Cartesian" not in plan and "NestedLoop" not in plan
 
 
+def test_searches_leave_only_their_answers(spark):
+    from pathsieve.loop import scratch
+
+    edges = spark.createDataFrame([(1, 2, "a"), (2, 3, "b"), (3, 1, "c"), (3, 4, "a")], "src long, dst long, label string")
+    q = spark.createDataFrame([(0, 1, 4, "a AND b"), (1, 1, 4, "a AND c"), (2, 4, 1, "a")], "qid long, src long, dst long, pattern string")
+    g = G.Graph.from_edges(edges).stored()
+    with scratch(spark) as made:
+        got = A.answer(g, q, None, A.SearchConfig(place="rounds"))
+        assert {r.qid: r.answer for r in got.collect()} == {0: True, 1: True, 2: False}
+        hops = A.pattern_distance(g, q)
+        assert {r.qid: r.hops for r in hops.collect()} == {0: 3, 1: 6, 2: None}
+        assert [(r.states, r.kept) for r in A.trace(g, q).collect()][0] == (3, 2)
+        assert len(made.made) == 2
+
+
 def test_sql_functions(spark):
     sql.register(spark)
     assert spark.sql("SELECT mask_contains(7, 5), mask_disjoint(4, 3), mask_minus(7, 2), mask_size(7)").first()[:] == (True, True, 5, 3)
