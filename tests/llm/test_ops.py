@@ -416,6 +416,17 @@ def test_bucket_pairs_in_blocks(spark):
         assert len(got) == len(set(got)) and set(got) == want
 
 
+def test_near_duplicates_chain_in_one_bucket(spark):
+    """Texts that are linked only with the next one, all in one bucket: each link counts, whichever row the bucket compares first."""
+    names = [f"c{i}" for i in range(40)]
+    _, _, values, rows = next(near_dedup._sets(pa.array(names), 1))
+    shared = names[int(near_dedup.circulant_signatures(values, rows, 1)[:, 0].argmin())]
+    rest = [x for x in names if x != shared]
+    chain = table(spark, [" ".join([shared, *rest[i : i + 9]]) for i in range(9)])
+    got = near_dedup.near_duplicates(chain, shingle=1, bands=1, per_band=1).collect()
+    assert {r.component_id for r in got} == {0} and len(got) == 9
+
+
 def test_near_duplicates_without_or_with_repeated_ids(spark):
     """Rows are compared by their own texts, whatever ids they lack or share."""
     a, b, c, d = words(60, 1), words(60, 2), words(60, 3), words(60, 4)
