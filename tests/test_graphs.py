@@ -251,3 +251,29 @@ def test_sql_functions(spark):
     sql.register(spark)
     assert spark.sql("SELECT mask_contains(7, 5), mask_disjoint(4, 3), mask_minus(7, 2), mask_size(7)").first()[:] == (True, True, 5, 3)
     assert {tuple(r) for r in spark.sql("SELECT * FROM parse_clauses('a AND NOT b')").collect()} == {(0, "a", True), (0, "b", False)}
+
+
+def test_closure_by_components(spark):
+    """Closures over components, on arrays and in rounds, and pairs claimed by intervals, against brute force; loops and cycles included."""
+    import random
+
+    from pathsieve.operators import graph as operators
+    from pathsieve.plans.index import claimed_pairs
+
+    rng = random.Random(5)
+    rows = sorted({(rng.randrange(-2, 14), rng.randrange(-2, 14), rng.choice("ab")) for _ in range(20)} | {(30, 31, "a"), (31, 30, "b"), (40, 40, "a"), (31, 41, "a")})
+    g = operators.Graph.of(spark, rows)
+    want = {(s, d) for s, d, _ in rows}
+    while more := {(a, d) for a, b in want for c, d in want if b == c} - want:
+        want |= more
+    for most in (operators.SMALL_EDGES, 3):
+        parts, reach = operators.closure_components(g, most=most)
+        of, pairs = {r.vid: r.scc for r in parts.collect()}, {(r.a, r.b) for r in reach.collect()}
+        assert {(s, d) for s in of for d in of if (of[s], of[d]) in pairs} == want
+    assert sorted((r.src, r.dst) for r in operators.closure_pairs(g).collect()) == sorted(want)
+    asked = spark.createDataFrame([(30, 31), (31, 41), (41, 30), (41, 31)], "src long, dst long")
+    assert operators.unreached(g, asked).first()[0] == 2
+    spans = [(v, 0, v % 2, rng.randrange(40), 0) for v in range(30)]
+    spans = [(v, t, r, e, e + rng.randrange(20)) for v, t, r, e, _ in spans]
+    got = sorted((r.src, r.dst) for r in claimed_pairs(spark.createDataFrame(spans, "vid long, tree int, root long, enter long, leave long")).collect())
+    assert got == sorted((a[0], b[0]) for a in spans for b in spans if a[2] == b[2] and a[3] < b[3] <= a[4])
