@@ -277,3 +277,37 @@ def test_closure_by_components(spark):
     spans = [(v, t, r, e, e + rng.randrange(20)) for v, t, r, e, _ in spans]
     got = sorted((r.src, r.dst) for r in claimed_pairs(spark.createDataFrame(spans, "vid long, tree int, root long, enter long, leave long")).collect())
     assert got == sorted((a[0], b[0]) for a in spans for b in spans if a[2] == b[2] and a[3] < b[3] <= a[4])
+
+
+def test_nearest_vectors(spark, tmp_path):
+    """Copies, zeros and missing vectors, in several blocks, against every pair."""
+    import math
+    import random
+
+    from pathsieve.sources import graphs
+
+    rng = random.Random(11)
+    some = [[rng.uniform(-1, 1) for _ in range(4)] for _ in range(12)]
+    vectors = [some[i % 12] for i in range(30)] + [[0.0] * 4] * 5 + [None] * 2
+    rng.shuffle(vectors)
+    rows = [(i, v, i % 3) for i, v in enumerate(vectors)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+
+    def place(a, b):
+        if a is None or b is None:
+            return (1, 0.0)
+        size = math.sqrt(sum(x * x for x in a) * sum(x * x for x in b))
+        return (0, -sum(x * y for x, y in zip(a, b)) / size if size else -math.inf)
+
+    want = {(i, j, str(x)) for i, v, _ in rows for _, j, x in sorted((place(v, w), j, x) for j, w, x in rows if j != i)[:3]}
+    for block in (1000, 10):
+        got = {(r.src, r.dst, r.label) for r in graphs.vec_near(spark, str(tmp_path), block=block).edges.collect()}
+        assert got == want
+
+
+def test_uniform_graph_of_a_table(spark):
+    from pathsieve.sources import graphs
+
+    rows = spark.range(2000).withColumnRenamed("id", "event_id")
+    same = graphs.uniform_graph(spark, 500, 4, 8).edges.exceptAll(graphs.uniform_graph_of(rows, "event_id", 4, 8).edges)
+    assert same.isEmpty() and not graphs.uniform_graph_of(rows, "event_id", 4, 8).edges.isEmpty()
