@@ -33,3 +33,17 @@ def test_k_hop_of_every_customer(spark, tmp_path):
             for dst in near:
                 want.setdefault((src, dst), hops)
     assert {(r.src, r.dst): r.hops for r in entry.queries()["k_hop_customer"](spark, str(tmp_path)).collect()} == want
+
+
+def test_point_queries_beyond_the_bound_and_again(spark, monkeypatch):
+    """A graph too large for arrays is answered in rounds, and each call reads its table anew."""
+    from pathsieve import entries
+    from pathsieve.plans import point
+
+    small, read, table = "/root/testdata/sf0.001", [], entries.T.table
+    monkeypatch.setattr(entries.T, "table", lambda s, d, name: (read.append(name), table(s, d, name))[1])
+    run = entry.queries()["point_travel_style_part_chain"]
+    want = sorted(map(tuple, run(spark, small).collect()))
+    monkeypatch.setattr(point, "MOST_EDGES", 10)
+    monkeypatch.setattr(point.load, "__defaults__", (10,))
+    assert sorted(map(tuple, run(spark, small).collect())) == want and read == ["lineitem", "lineitem"]
