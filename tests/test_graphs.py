@@ -311,3 +311,30 @@ def test_uniform_graph_of_a_table(spark):
     rows = spark.range(2000).withColumnRenamed("id", "event_id")
     same = graphs.uniform_graph(spark, 500, 4, 8).edges.exceptAll(graphs.uniform_graph_of(rows, "event_id", 4, 8).edges)
     assert same.isEmpty() and not graphs.uniform_graph_of(rows, "event_id", 4, 8).edges.isEmpty()
+
+
+def random_rows(rng, n, size, labels="abcd"):
+    return sorted({(rng.randrange(n), rng.randrange(n), rng.choice(labels)) for _ in range(size)})
+
+
+def test_search_from_both_ends(spark):
+    """The traps and random graphs, with and without dominance; an end with nothing to go on from answers its query."""
+    rng = random.Random(5)
+    rows, queries, want = [], [], {}
+    for i, (_, text, s, d, p, truth) in enumerate(TRAPS):
+        rows += [(100 * i + int(a), 100 * i + int(b), x) for a, x, b in (e.split("-") for e in text.split())]
+        queries.append((i, 100 * i + s, 100 * i + d, p))
+        want[i] = truth
+    for i in range(20):
+        own, low = random_rows(rng, 9, 16), 2000 + 10 * i
+        rows += [(low + a, low + b, x) for a, b, x in own]
+        for text in ("ALL{a,b}", "ANY{c,d}", "NONE{a}", "ALL{a,b,c}", "(a OR c) AND NOT (b AND d)"):
+            s, d, qid = rng.randrange(9), rng.randrange(9), len(queries)
+            queries.append((qid, low + s, low + d, text))
+            want[qid] = brute(own, s, d, P.parse_pattern(text))
+    g, q = G.Graph.of(spark, rows).stored(), asked(spark, queries)
+    for dominance in (False, True):
+        assert got(A.answer(g, q, None, A.SearchConfig(place="rounds", both=True, dominance=dominance))) == want
+    assert 30 < sum(want.values()) < len(want) - 30
+    with pytest.raises(ValueError):
+        A.answer(g, q, None, A.SearchConfig(both=True, empty_path=False))
