@@ -338,3 +338,16 @@ def test_search_from_both_ends(spark):
     assert 30 < sum(want.values()) < len(want) - 30
     with pytest.raises(ValueError):
         A.answer(g, q, None, A.SearchConfig(both=True, empty_path=False))
+
+
+def test_minimal_sets_on_arrays_equal_rounds(spark, monkeypatch):
+    rng = random.Random(8)
+    rows = random_rows(rng, 12, 30) + [(a, b, "a") for a in (20, 21, 22) for b in (0, 30, 31)] + [(30, 1, "b"), (31, 2, "b"), (30, 40, "c"), (30, 41, "c"), (7, 7, "d")]
+    g = G.Graph.of(spark, rows).stored()
+    few = spark.createDataFrame([(20,), (3,), (99,)], "vid long")
+    with monkeypatch.context() as m:
+        m.setattr(G, "SMALL_EDGES", 0)
+        every, some = (set(map(tuple, B.minimal_closure(g, x).collect())) for x in (None, few))
+    monkeypatch.setattr(G, "Layers", None)
+    assert sorted(every) == sorted(map(tuple, B.minimal_closure(g).collect())) and len(every) > 200
+    assert sorted(some) == sorted(map(tuple, B.minimal_closure(g, few).collect())) and {r[0] for r in some} == {3, 20}
