@@ -351,3 +351,23 @@ def test_minimal_sets_on_arrays_equal_rounds(spark, monkeypatch):
     monkeypatch.setattr(G, "Layers", None)
     assert sorted(every) == sorted(map(tuple, B.minimal_closure(g).collect())) and len(every) > 200
     assert sorted(some) == sorted(map(tuple, B.minimal_closure(g, few).collect())) and {r[0] for r in some} == {3, 20}
+
+
+def test_two_hop_cover_on_arrays(spark, monkeypatch):
+    rng = random.Random(4)
+    rows = random_rows(rng, 25, 70) + [(100, 0, "a"), (101, 0, "b"), (100, 102, "c"), (103, 104, "a")]
+    g = G.Graph.of(spark, rows).stored()
+    ends = [*range(25), 100, 101, 102, 103, 104]
+    sets = [(i, rng.choice(ends), rng.choice(ends), rng.choice([["a"], ["a", "b"], ["b", "c", "d"], ["a", "c"]])) for i in range(300)]
+    q = spark.createDataFrame(sets, "qid long, src long, dst long, allowed array<string>")
+    truth = {i: brute([r for r in rows if r[2] in x], s, d, P.TRUE) for i, s, d, x in sets}
+    inside = B._cover_on_arrays
+    monkeypatch.setattr(B, "_cover_on_arrays", lambda *a: None)
+    rounds = B.two_hop_build(g, batch=16)
+    monkeypatch.setattr(B, "_cover_on_arrays", inside)
+    monkeypatch.setattr(B, "_spread", None)
+    cover = B.two_hop_build(g)
+    assert got(B.two_hop_answer(g, cover, q)) == truth == got(B.two_hop_answer(g, B.two_hop_build(g, True, True), q)) and len(set(truth.values())) == 2
+    assert cover.out.count() + cover.into.count() <= rounds.out.count() + rounds.into.count()
+    with pytest.raises(MemoryError):
+        B.two_hop_build(g, most_rows=10)
