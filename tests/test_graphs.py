@@ -371,3 +371,34 @@ def test_two_hop_cover_on_arrays(spark, monkeypatch):
     assert cover.out.count() + cover.into.count() <= rounds.out.count() + rounds.into.count()
     with pytest.raises(MemoryError):
         B.two_hop_build(g, most_rows=10)
+
+
+def reached(rows, ends, text, sources):
+    """How many vertices each source reaches by an edge or more under a pattern, without those that reach none."""
+    out, p = {}, P.parse_pattern(text)
+    for src in sources:
+        seen = {(b, frozenset([x])) for a, b, x in rows if a == src}
+        stack = list(seen)
+        while stack:
+            v, have = stack.pop()
+            new = {(b, have | {x}) for a, b, x in rows if a == v} - seen
+            seen |= new
+            stack += new
+        n = len({v for v, have in seen if P.holds(p, have)})
+        out |= {src: n} if n else {}
+    return out
+
+
+def test_reach_counts_by_components(spark, monkeypatch):
+    rng = random.Random(6)
+    rows = random_rows(rng, 30, 60) + [(7, 7, "a"), (50, 51, "b")]
+    g = G.Graph.of(spark, rows).stored()
+    sources = spark.createDataFrame([(i,) for i in [*range(20), 50, 99]], "vid long")
+    assert dict(map(tuple, A.reach_counts(g, sources, "a OR b").collect())) == reached(rows, range(52), "a OR b", [*range(20), 50])
+    monkeypatch.setattr(A, "answer_from", None)
+    for text in ("a", "a AND NOT b", "ALL{a,b,c}", "NONE{c}"):
+        want = reached(rows, range(52), text, [*range(20), 50])
+        assert dict(map(tuple, A.reach_counts(g, sources, text).collect())) == want and len(want) > 3, text
+    with monkeypatch.context() as m:
+        m.setattr(A, "count_reached", lambda *a: None)
+        assert dict(map(tuple, A.reach_counts(g, sources, "NONE{c}").collect())) == want
