@@ -111,3 +111,41 @@ def test_bounds(spark):
     empty = G.Graph.of(spark, []).stored()
     q = asked(spark, [(1, 0, 1, "a"), (2, 3, 3, "NOT a"), (3, 0, 1, "FALSE"), (4, None, None, "TRUE")])
     assert got(point.answer(empty, point.build(empty), q)) == {1: False, 2: True, 3: False, 4: False}
+
+
+def test_index_beyond_the_bound(spark, monkeypatch):
+    """A graph beyond the point form's bound is answered with the index that its query names, in the contracted graph or in rounds."""
+    from pathsieve import entries
+
+    small, used, build, rounds = "/root/testdata/sf0.001", [], point.build, entries.build_index
+    monkeypatch.setattr(point, "build", lambda g, cfg=None, **more: (used.append(cfg), build(g, cfg, **more))[1])
+    monkeypatch.setattr(entries, "build_index", lambda g, cfg=None: (used.append(cfg), rounds(g, cfg))[1])
+    run = entries.queries()["same_answers_folded_labels"]
+    want = got(run(spark, small))
+    for most in (60, 5):
+        monkeypatch.setattr(point, "MOST_EDGES", most)
+        monkeypatch.setattr(point.load, "__defaults__", (most,))
+        assert got(run(spark, small)) == want
+    assert used and all(cfg.label_bits == 31 for cfg in used) and len(used) >= 3
+
+
+def test_contracted_graphs(spark, monkeypatch):
+    """Answers of contracted graphs equal brute force, with and without an index, for patterns with forbidden labels, null and unknown ends."""
+    from pathsieve.plans import contract
+
+    rng = random.Random(33)
+    rows = random_edges(rng, 25) + [(1000 + i, 1000 + (i + 1) % 60, "a") for i in range(60)] + [(1000 + i, 1000 + (7 * i) % 60, "b") for i in range(60)]
+    g = G.Graph.of(spark, rows).stored()
+    queries, want = [(1000, None, 1001, "TRUE")], {1000: False}
+    for qid in range(400):
+        i, text = rng.randrange(27), rng.choice(TEXTS)
+        s, d = (10 * i + rng.randrange(6) for _ in range(2)) if i < 25 else (1000 + rng.randrange(61) for _ in range(2))
+        queries.append((qid, s, d, text))
+        want[qid] = brute([r for r in rows if (r[0] // 10 == i if i < 25 else r[0] >= 1000)], s, d, P.parse_pattern(text, list("abcd")))
+    most = len(set(rows)) - 70
+    monkeypatch.setattr(point, "MOST_EDGES", most)
+    for index in (True, False):
+        found = contract.answer(g, g.vertices(), asked(spark, queries), index, IndexConfig(label_bits=31))
+        assert got(found) == want
+    chain = G.Graph.of(spark, [(i, i + 1, "a") for i in range(most + 9)]).stored()
+    assert contract.answer(chain, chain.vertices(), asked(spark, queries)) is None
