@@ -402,3 +402,18 @@ def test_reach_counts_by_components(spark, monkeypatch):
     with monkeypatch.context() as m:
         m.setattr(A, "count_reached", lambda *a: None)
         assert dict(map(tuple, A.reach_counts(g, sources, "NONE{c}").collect())) == want
+
+
+def test_counts_beyond_the_closures_bounds(spark, monkeypatch):
+    """Counts make no pairs, so they stay on arrays where a closure's edges and pairs are beyond their bounds."""
+    rng = random.Random(8)
+    rows = {(rng.randrange(40), rng.randrange(40), "a") for _ in range(60)}
+    monkeypatch.setattr(G, "SMALL_EDGES", 10)
+    monkeypatch.setattr(G, "SMALL_PAIRS", 10)
+    beyond = {v: {d for s, d, _ in rows if s == v} for v in range(40)}
+    for _ in range(40):
+        beyond = {v: x.union(*(beyond[d] for d in x)) for v, x in beyond.items()}
+    told = G.count_reached(G.Graph.of(spark, sorted(rows)), (2, 1))
+    ends = {v for s, d, _ in rows for v in (s, d)}
+    assert told is not None and {r.vid: r.n for r in told.collect()} == {v: sum(d % 2 for d in beyond[v]) for v in ends}
+    assert G.count_reached(G.Graph.of(spark, sorted(rows)), (2, 1), most=10) is None
